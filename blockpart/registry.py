@@ -2,14 +2,14 @@
 
 from __future__ import annotations
 
+from blockpart.queries import measures, model, relational
 
-def _groups() -> list:
-    return []
+GROUPS = (model, measures, relational)
 
 
 def queries() -> dict:
-    return {k: v[0] for g in _groups() for k, v in g.QUERIES.items()}
+    return {k: v[0] for g in GROUPS for k, v in g.QUERIES.items()}
 
 
 def oracle_sql() -> dict:
-    return {k: v[1] for g in _groups() for k, v in g.QUERIES.items() if v[1]}
+    return {k: v[1] for g in GROUPS for k, v in g.QUERIES.items() if v[1]}
