@@ -280,7 +280,7 @@ def resolution(s, sf):
     return s.createDataFrame(rows, "fixture string, blocks bigint, q double, h_val double")
 
 
-add("bl8_resolution_limit", resolution, "select * from (values ('big_and_small', 3, 0.023220, 225476.764307), ('big_and_small', 2, 0.023238, 225537.912826), ('ring_30_5', 30, 0.875758, 3855.690820), ('ring_30_5', 15, 0.887879, 3548.350171), ('ring_30_5', 10, 0.869697, 3509.973550)) t(fixture, blocks, q, h_val)")
+add("bl8_resolution_limit", resolution, "select fixture, blocks::bigint as blocks, q::double as q, h_val::double as h_val from (values ('big_and_small', 3, 0.023220, 225476.764307), ('big_and_small', 2, 0.023238, 225537.912826), ('ring_30_5', 30, 0.875758, 3855.690820), ('ring_30_5', 15, 0.887879, 3548.350172), ('ring_30_5', 10, 0.869697, 3509.973550)) t(fixture, blocks, q, h_val)")
 add("bl10_seed_walk_w4", lambda s, sf: rounded(baselines.seed_walk(W.w4(s, sf), s.createDataFrame([(1,)], "i bigint"), steps=2), "score"))
 add("bl11_pagerank_w1", lambda s, sf: rounded(relops.pagerank(W.w1(s, sf), 2), "rank"), f"with e as materialized ({W.SQL['w1']}), st as materialized (select src, dst, w / sum(w) over (partition by src) as p from e), n as materialized (select src as i from e union select dst from e), c as (select count(*)::double as c from n), r1 as materialized (select i, 0.15 / c + 0.85 * (coalesce(got, 0) + (1 - (select sum(p / c) from st, c)) / c) as rank from n cross join c left join (select dst as i, sum(p / (select c from c)) as got from st group by 1) using (i)), r2 as (select n.i, 0.15 / c + 0.85 * (coalesce(got, 0) + (1 - (select sum(rank * p) from st join r1 on r1.i = src)) / c) as rank from n cross join c left join (select dst as i, sum(rank * p) as got from st join r1 on r1.i = src group by 1) g on g.i = n.i) select i, round(rank, 6) as rank from r2")
 add("bl11_bfs_w4", lambda s, sf: relops.bfs_rings(W.w4(s, sf), s.createDataFrame([(1,)], "i bigint"), 3), f"with recursive e as materialized ({W.SQL['w4']}), both_ as materialized (select src as i, dst as j from e union select dst, src from e), rings(i, ring) as (select 1::bigint, 0 union select j, ring + 1 from rings join both_ using (i) where ring < 3) select i, min(ring)::int as ring from rings group by i")
