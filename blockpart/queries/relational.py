@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import sys
 import tempfile
 
 import pandas as pd
+from pyspark import cloudpickle
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -130,6 +132,8 @@ add("udf_pandas_poisson", poisson_udf)
 
 # Sources and sinks
 def planted_source(s, sf):
+    # Planning workers need not have this library on their path.
+    cloudpickle.register_pickle_by_value(sys.modules[PlantedSource.__module__])
     s.dataSource.register(PlantedSource)
     return s.read.format("planted").option("nodes", 200).option("blocks", 4).load()
 
