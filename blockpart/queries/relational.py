@@ -50,9 +50,9 @@ add("rel_grouping_sets", grouping_sets, "select n_regionkey, c_mktsegment, count
 _YEAR = lambda s, sf, y: T(s, sf, "orders", "o_custkey", "o_orderdate").where(F.year("o_orderdate") == y).select("o_custkey")
 for _op, _call in (("union", lambda a, b: a.union(b).distinct()), ("union all", lambda a, b: a.unionAll(b)), ("intersect", lambda a, b: a.intersect(b)), ("except", lambda a, b: a.subtract(b)), ("intersect all", lambda a, b: a.intersectAll(b)), ("except all", lambda a, b: a.exceptAll(b))):
     add(f"rel_set_{_op.replace(' ', '_')}", lambda s, sf, c=_call: c(_YEAR(s, sf, 1996), _YEAR(s, sf, 1997)), f"select o_custkey from orders where year(o_orderdate) = 1996 {_op} select o_custkey from orders where year(o_orderdate) = 1997")
-_W = Window.partitionBy("user_id").orderBy("ts", "event_id")
+_W = lambda: Window.partitionBy("user_id").orderBy("ts", "event_id")
 add("rel_window_rank", lambda s, sf: T(s, sf, "customer", "c_custkey", "c_nationkey", "c_acctbal").select("c_custkey", *[f.over(Window.partitionBy("c_nationkey").orderBy("c_acctbal", "c_custkey")).alias(n) for n, f in (("rn", F.row_number()), ("rk", F.rank()), ("dr", F.dense_rank()), ("nt", F.ntile(4)))], F.round(F.percent_rank().over(Window.partitionBy("c_nationkey").orderBy("c_acctbal", "c_custkey")), 6).alias("pr"), F.round(F.cume_dist().over(Window.partitionBy("c_nationkey").orderBy("c_acctbal", "c_custkey")), 6).alias("cd")), "select c_custkey, row_number() over w as rn, rank() over w as rk, dense_rank() over w as dr, ntile(4) over w as nt, round(percent_rank() over w, 6) as pr, round(cume_dist() over w, 6) as cd from customer window w as (partition by c_nationkey order by c_acctbal, c_custkey)")
-add("rel_window_offsets", lambda s, sf: T(s, sf, "events", "event_id", "user_id", "ts", "event_type").select("event_id", F.lag("event_type").over(_W).alias("before"), F.lead("event_type").over(_W).alias("after"), F.first_value("event_type").over(_W).alias("first"), F.nth_value("event_type", 2).over(_W).alias("second")), "select event_id, lag(event_type) over w as before, lead(event_type) over w as after, first_value(event_type) over w as first, nth_value(event_type, 2) over w as second from events window w as (partition by user_id order by ts, event_id)")
+add("rel_window_offsets", lambda s, sf: T(s, sf, "events", "event_id", "user_id", "ts", "event_type").select("event_id", F.lag("event_type").over(_W()).alias("before"), F.lead("event_type").over(_W()).alias("after"), F.first_value("event_type").over(_W()).alias("first"), F.nth_value("event_type", 2).over(_W()).alias("second")), "select event_id, lag(event_type) over w as before, lead(event_type) over w as after, first_value(event_type) over w as first, nth_value(event_type, 2) over w as second from events window w as (partition by user_id order by ts, event_id)")
 add("rel_window_range", lambda s, sf: T(s, sf, "events", "event_id", "user_id", "ts").select("event_id", F.count(F.lit(1)).over(Window.partitionBy("user_id").orderBy(F.unix_timestamp(F.col("ts").cast("timestamp"))).rangeBetween(-86400, 0)).alias("n")), "select event_id, count(*) over (partition by user_id order by epoch(date_trunc('second', ts))::bigint range between 86400 preceding and current row) as n from events")
 add("rel_distinct_agg", lambda s, sf: T(s, sf, "lineitem", "l_suppkey", "l_partkey", "l_quantity").groupBy("l_suppkey").agg(F.count_distinct("l_partkey").alias("parts"), F.max_by("l_partkey", F.struct("l_quantity", "l_partkey")).alias("most"), F.sum(F.when(F.col("l_quantity") > 25, 1).otherwise(0)).alias("large")), "select l_suppkey, count(distinct l_partkey) as parts, arg_max(l_partkey, (l_quantity, l_partkey)) as most, count(*) filter (where l_quantity > 25) as large from lineitem group by 1")
 add("rel_collect", lambda s, sf: T(s, sf, "orders", "o_custkey", "o_orderkey").groupBy("o_custkey").agg(F.concat_ws(",", F.transform(F.sort_array(F.collect_list("o_orderkey")), lambda x: x.cast("string"))).alias("orders")), "select o_custkey, string_agg(o_orderkey::varchar, ',' order by o_orderkey) as orders from orders group by 1")
