@@ -127,7 +127,7 @@ class WordHash:
 
     def _grow(self, n: int) -> None:
         if len(self.up) <= n:
-            n = 1 << n.bit_length()
+            n += n >> 3
             for name, base in (("up", self.base), ("down", self.back)):
                 step = np.full(n, base, np.uint64)
                 step[0] = 1

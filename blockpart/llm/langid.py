@@ -62,7 +62,7 @@ def word_table(data: np.ndarray, start: np.ndarray, end: np.ndarray, known: np.n
 class Memo:
     """Scores of words seen before, by hash; emptied when it holds too many."""
 
-    def __init__(self, model: "Model", most: int = 1_500_000):
+    def __init__(self, model: "Model", most: int = 500_000):
         self.model, self.most = model, most
         self.clear()
 
@@ -179,7 +179,7 @@ def label_texts(texts: pa.Array, model: Model, penalty: float = PENALTY, memo: M
     """For each text: language, score, and spans (first and end byte, language)."""
     data, at = byte_view(texts)
     memo = memo or Memo(model)
-    for a, b in row_slices(at, 8 << 20):
+    for a, b in row_slices(at, 4 << 20):
         part, here = data[at[a] : at[b]], at[a : b + 1] - at[a]
         start, end, first = word_spans(SOLID[part], here)
         if not len(start) or not model.languages:

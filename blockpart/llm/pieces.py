@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 SPACE = "▁"
-MEMO = 700_000
+MEMO = 250_000
 VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
 
 
@@ -253,8 +253,8 @@ class Encoder:
         window = 2 * self.vocabulary.longest
         long = {u for u in new if len(u) > window}
         if rest := list(new - long):
-            for k in range(0, len(rest), 50_000):
-                self.solve(rest[k : k + 50_000])
+            for k in range(0, len(rest), 20_000):
+                self.solve(rest[k : k + 20_000])
         rare = {u: np.array([i for ids in streaming_viterbi((u,), self.vocabulary) for i in ids], np.int32).tobytes() for u in long}
         for units in own:
             out.append(b"".join([memo[u] for u in units] if not rare else [memo.get(u) or rare[u] for u in units]))
