@@ -29,6 +29,8 @@ PER_LANGUAGE = 2000
 BUCKETS = 1 << 16
 GRAMS = (1, 2, 3, 4)
 PENALTY = 4.0
+#: Words whose n-grams are laid out at once.
+WORDS_AT_ONCE = 1 << 15
 #: A language uses a script that holds at least this share of its letters.
 SCRIPT_SHARE = 0.02
 UND = "und"
@@ -131,6 +133,10 @@ class Model:
 
     def scores(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """For each word and language the mean log probability times its letters; and the numbers of letters."""
+        parts = [self._scores(words[k : k + WORDS_AT_ONCE]) for k in range(0, len(words), WORDS_AT_ONCE)]
+        return np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
+
+    def _scores(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
         who, what, n_letters, script = features(words)
         total = np.zeros((len(words), len(self.languages)))
         many = np.maximum(np.bincount(who, minlength=len(words)), 1)
@@ -224,9 +230,11 @@ def train(labelled: DataFrame, per_language: int = PER_LANGUAGE) -> Model:
                     start, end, _ = word_spans(SOLID[part], at[a : b + 1] - at[a])
                     if len(start):
                         _, _, many, words = word_table(part, start, end)
-                        who, what, n_letters, script = features(words)
-                        own[:BUCKETS] += np.bincount(what, many[who], BUCKETS).astype(np.int64)
-                        own[BUCKETS:] += np.bincount(script, n_letters * many, len(NAMES)).astype(np.int64)
+                        for k in range(0, len(words), WORDS_AT_ONCE):
+                            who, what, n_letters, script = features(words[k : k + WORDS_AT_ONCE])
+                            times = many[k : k + WORDS_AT_ONCE]
+                            own[:BUCKETS] += np.bincount(what, times[who], BUCKETS).astype(np.int64)
+                            own[BUCKETS:] += np.bincount(script, n_letters * times, len(NAMES)).astype(np.int64)
         for tag, own in counts.items():
             some = np.flatnonzero(own)
             yield pa.RecordBatch.from_arrays([pa.array([tag] * len(some), pa.string()), pa.array(some), pa.array(own[some])], names=["lang", "bucket", "n"])

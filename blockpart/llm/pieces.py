@@ -23,6 +23,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from blockpart.llm.common import byte_view, ranges, row_slices
+
 SPACE = "▁"
 MEMO = 250_000
 VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
@@ -285,8 +287,6 @@ def decoder(vocabulary: Vocabulary) -> "tuple[np.ndarray, np.ndarray]":
 
 def decode(ids: np.ndarray, table: "tuple[np.ndarray, np.ndarray]") -> str:
     """The text: bytes of the pieces end to end, without the space put in front."""
-    from blockpart.llm.common import ranges
-
     data, at = table
     raw = data[ranges(at[ids], at[ids + 1] - at[ids])].tobytes()
     return raw[1:].decode("utf-8", "replace")
@@ -299,8 +299,8 @@ def encode_texts(docs: DataFrame, vocabulary: str = VOCABULARY) -> DataFrame:
     def run(batches):
         _, encoder, _ = ready(shared.value)
         for batch in batches:
-            for k in range(0, batch.num_rows, 1000):
-                part = batch.slice(k, 1000)
+            for low, high in row_slices(byte_view(batch.column(1))[1]):
+                part = batch.slice(low, high - low)
                 texts = part.column(1).to_pylist()
                 raw = encoder.encode_all(texts)
                 size = np.array([len(r) // 4 for r in raw])
@@ -336,8 +336,8 @@ def report(docs: DataFrame, vocabulary: str = VOCABULARY) -> DataFrame:
     def run(batches):
         _, encoder, table = ready(shared.value)
         for batch in batches:
-            for k in range(0, batch.num_rows, 1000):
-                part = batch.slice(k, 1000)
+            for low, high in row_slices(byte_view(batch.column(1))[1]):
+                part = batch.slice(low, high - low)
                 texts = part.column(1).to_pylist()
                 raw = encoder.encode_all(texts)
                 size = np.array([len(r) // 4 for r in raw])
