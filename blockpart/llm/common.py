@@ -7,6 +7,7 @@ table of 256 flags, so a word class must be the same for all bytes of a multi-by
 from __future__ import annotations
 
 import atexit
+import ctypes
 import shutil
 import tempfile
 import uuid
@@ -89,6 +90,20 @@ def row_slices(at: np.ndarray, most: int = SLICE_BYTES) -> Iterator[tuple[int, i
         low = min(high, n)
 
 
+def portions(batch: pa.RecordBatch, text: int, most: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
+    """The batch in slices of about `most` bytes in its text column."""
+    for low, high in row_slices(byte_view(batch.column(text))[1], most):
+        yield batch.slice(low, high - low)
+
+
+def give_back() -> None:
+    """Return what a worker process no longer uses to the system; it may serve other tasks for long."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:  # glibc only
+        trim(0)
+
+
 def word_spans(flag: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Starts and ends of maximal runs of flagged bytes that cross no text border; and per text the first word's number (n + 1)."""
     first, last = flag.copy(), flag.copy()
@@ -138,7 +153,11 @@ class WordHash:
             return np.zeros(0, np.uint64)
         self._grow(len(data) + 1)
         total = np.zeros(len(data) + 1, np.uint64)
-        np.cumsum((data.astype(np.uint64) + np.uint64(1)) * self.up[: len(data)], out=total[1:])
+        now = total[1:]
+        now[:] = data
+        now += np.uint64(1)
+        now *= self.up[: len(data)]
+        np.cumsum(now, out=now)
         out = (total[end] - total[start]) * self.down[start]
         out ^= out >> np.uint64(29)
         out *= np.uint64(0xBF58476D1CE4E5B9)

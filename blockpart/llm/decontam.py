@@ -1,6 +1,6 @@
 """Benchmark decontamination with an FM-index per shard of documents.
 
-A shard is one Arrow batch of documents. Its words become symbols (the number of the word among the benchmark's
+A shard is some SHARD_BYTES of documents. Its words become symbols (the number of the word among the benchmark's
 words, 0 for others). A window holds benchmark words only, so only runs of such words that are as long as the
 shortest window can hold one: these runs, with separators, are the indexed sequence. Windows are found by backward
 search over the ranks of a level-wise wavelet tree, and their places by walking to sampled suffix positions.
@@ -21,12 +21,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockpart.llm.common import ALNUM, LOWER, WordHash, byte_view, ranges, row_slices, word_spans
+from blockpart.llm.common import ALNUM, LOWER, WordHash, byte_view, give_back, portions, ranges, row_slices, word_spans
 
 WINDOW = 10
 #: Bytes of benchmark text that one pass broadcasts; a larger benchmark takes several passes.
 BLOCK_BYTES = 8 << 20
 SAMPLE = 8
+#: Bytes of text under one index.
+SHARD_BYTES = 8 << 20
 
 
 class WaveletTree:
@@ -220,6 +222,22 @@ def shard_hits(texts: pa.Array, block: Windows, hashes: WordHash) -> Iterator[tu
             yield b - a, 0, [], np.zeros(0, np.int64), set()
 
 
+def searched(batch: pa.RecordBatch, names: list[str], block: Windows, hashes: WordHash) -> pa.RecordBatch:
+    """A shard with what this block of the benchmark adds to its n_words, hits, spans and items."""
+    found = {"n_words": [], "hits": [], "spans": [], "items": []}
+    old = {k: batch.column(names.index(k)) for k in ("hits", "spans", "items")}
+    for d, (n, _, cut, words, own) in enumerate(shard_hits(batch.column(names.index("text")), block, hashes)):
+        found["n_words"].append(n)
+        if len(cut):
+            found["hits"].append(sorted({*old["hits"][d].as_py(), *words.tolist()}))
+            found["spans"].append(old["spans"][d].as_py() + [{"a": x, "b": y} for x, y in cut])
+            found["items"].append(sorted({*old["items"][d].as_py(), *(block.names[i] for i in own)}))
+        else:
+            for k in old:
+                found[k].append(old[k][d].as_py() if len(old[k][d]) else [])
+    return pa.RecordBatch.from_arrays([pa.array(found[k], f.type) if k in found else batch.column(i) for i, (k, f) in enumerate(zip(names, batch.schema, strict=True))], schema=batch.schema)
+
+
 def _blocks(benchmark: DataFrame, block_bytes: int) -> Iterator[list]:
     """The benchmark in blocks of about block_bytes, dealt by hash: (item_id, text) rows, one block on the driver at a time."""
     rows = benchmark.select(F.col("item_id"), F.col("text"))
@@ -244,21 +262,11 @@ def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, b
         def scan(batches, shared=shared):
             block = shared.value
             hashes = WordHash(block.base)
-            for batch in batches:
-                names = batch.schema.names
-                text = batch.column(names.index("text"))
-                found = {"n_words": [], "hits": [], "spans": [], "items": []}
-                old = {k: batch.column(names.index(k)) for k in ("hits", "spans", "items")}
-                for d, (n, _, cut, words, own) in enumerate(shard_hits(text, block, hashes)):
-                    found["n_words"].append(n)
-                    if len(cut):
-                        found["hits"].append(sorted({*old["hits"][d].as_py(), *words.tolist()}))
-                        found["spans"].append(old["spans"][d].as_py() + [{"a": x, "b": y} for x, y in cut])
-                        found["items"].append(sorted({*old["items"][d].as_py(), *(block.names[i] for i in own)}))
-                    else:
-                        for k in old:
-                            found[k].append(old[k][d].as_py() if len(old[k][d]) else [])
-                yield pa.RecordBatch.from_arrays([pa.array(found[k], f.type) if k in found else batch.column(i) for i, (k, f) in enumerate(zip(names, batch.schema, strict=True))], schema=batch.schema)
+            for whole in batches:
+                names = whole.schema.names
+                for batch in portions(whole, names.index("text"), SHARD_BYTES):
+                    yield searched(batch, names, block, hashes)
+            give_back()
 
         out = out.mapInArrow(scan, out.schema)
     return out

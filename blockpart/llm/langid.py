@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockpart.llm.common import SOLID, WordHash, byte_view, row_slices, word_spans
+from blockpart.llm.common import SOLID, WordHash, byte_view, give_back, portions, row_slices, word_spans
 
 PER_LANGUAGE = 2000
 BUCKETS = 1 << 16
@@ -185,7 +185,7 @@ def label_texts(texts: pa.Array, model: Model, penalty: float = PENALTY, memo: M
     """For each text: language, score, and spans (first and end byte, language)."""
     data, at = byte_view(texts)
     memo = memo or Memo(model)
-    for a, b in row_slices(at, 4 << 20):
+    for a, b in row_slices(at):
         part, here = data[at[a] : at[b]], at[a : b + 1] - at[a]
         start, end, first = word_spans(SOLID[part], here)
         if not len(start) or not model.languages:
@@ -235,6 +235,7 @@ def train(labelled: DataFrame, per_language: int = PER_LANGUAGE) -> Model:
                             times = many[k : k + WORDS_AT_ONCE]
                             own[:BUCKETS] += np.bincount(what, times[who], BUCKETS).astype(np.int64)
                             own[BUCKETS:] += np.bincount(script, n_letters * times, len(NAMES)).astype(np.int64)
+        give_back()
         for tag, own in counts.items():
             some = np.flatnonzero(own)
             yield pa.RecordBatch.from_arrays([pa.array([tag] * len(some), pa.string()), pa.array(some), pa.array(own[some])], names=["lang", "bucket", "n"])
@@ -245,19 +246,23 @@ def train(labelled: DataFrame, per_language: int = PER_LANGUAGE) -> Model:
     return Model(languages, table[:, :BUCKETS], table[:, BUCKETS:])
 
 
-def predict(docs: DataFrame, model: Model, keep: list[str] | None = None, penalty: float = PENALTY, spans: bool = True) -> DataFrame:
+def predict(docs: DataFrame, model: Model, keep: list[str] | None = None, penalty: float = PENALTY, spans: bool = True, text: str = "text") -> DataFrame:
     """The columns `keep` (default doc_id), lang_pred, score and spans."""
     keep = ["doc_id"] if keep is None else keep
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    own = docs.select(F.col("text").alias("_text"), *keep)
+    own = docs.select(*keep) if text in keep else docs.select(*keep, text)
+    at = own.columns.index(text)
     kind = pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64()), ("lang", pa.string())]))
 
     def run(batches):
         memo = Memo(shared.value)
         for batch in batches:
-            found = list(label_texts(batch.column(0), shared.value, penalty, memo))
-            more = [pa.array([[{"a": a, "b": b, "lang": g} for a, b, g in f[2]] for f in found], kind)] if spans else []
-            yield pa.RecordBatch.from_arrays([*batch.columns[1:], pa.array([f[0] for f in found], pa.string()), pa.array([f[1] for f in found], pa.float64()), *more], names=[*batch.schema.names[1:], "lang_pred", "score", *(["spans"] if spans else [])])
+            for part in portions(batch, at):
+                found = list(label_texts(part.column(at), shared.value, penalty, memo))
+                more = [pa.array([[{"a": a, "b": b, "lang": g} for a, b, g in f[2]] for f in found], kind)] if spans else []
+                yield pa.RecordBatch.from_arrays([*part.columns[: len(keep)], pa.array([f[0] for f in found], pa.string()), pa.array([f[1] for f in found], pa.float64()), *more], names=[*keep, "lang_pred", "score", *(["spans"] if spans else [])])
+        del memo
+        give_back()
 
     schema = ", ".join([*(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep), "lang_pred string, score double", *(["spans array<struct<a:bigint,b:bigint,lang:string>>"] if spans else [])])
     return own.mapInArrow(run, schema)
@@ -279,5 +284,5 @@ def identified(docs: DataFrame, **options) -> DataFrame:
     model = train(docs.where(~held_out("doc_id")), **options)
     names = {c: f"_own_{i}" for i, c in enumerate(docs.columns)}
     own = docs.select(*[F.col(f"`{c}`").alias(n) for c, n in names.items()])
-    found = predict(own.withColumn("text", F.col(names["text"])), model, keep=list(names.values()), spans=False)
+    found = predict(own, model, keep=list(names.values()), spans=False, text=names["text"])
     return found.where(F.col("lang_pred") != UND).select(*[F.col(n).alias(c) for c, n in names.items()])

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockpart.llm.common import byte_view, ranges, row_slices
+from blockpart.llm.common import give_back, portions, ranges
 
 SPACE = "▁"
 MEMO = 250_000
@@ -299,14 +299,15 @@ def encode_texts(docs: DataFrame, vocabulary: str = VOCABULARY) -> DataFrame:
     def run(batches):
         _, encoder, _ = ready(shared.value)
         for batch in batches:
-            for low, high in row_slices(byte_view(batch.column(1))[1]):
-                part = batch.slice(low, high - low)
+            for part in portions(batch, 1):
                 texts = part.column(1).to_pylist()
                 raw = encoder.encode_all(texts)
                 size = np.array([len(r) // 4 for r in raw])
                 offsets = pa.array(np.concatenate([[0], np.cumsum(size)]).astype(np.int32))
                 ids = pa.ListArray.from_arrays(offsets, pa.array(np.frombuffer(b"".join(raw), np.int32)), mask=pa.array([t is None for t in texts], pa.bool_()))
                 yield pa.RecordBatch.from_arrays([*part.columns, ids], names=["doc_id", "text", "ids"])
+        encoder.memo.clear()
+        give_back()
 
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, text string, ids array<int>")
 
@@ -336,8 +337,7 @@ def report(docs: DataFrame, vocabulary: str = VOCABULARY) -> DataFrame:
     def run(batches):
         _, encoder, table = ready(shared.value)
         for batch in batches:
-            for low, high in row_slices(byte_view(batch.column(1))[1]):
-                part = batch.slice(low, high - low)
+            for part in portions(batch, 1):
                 texts = part.column(1).to_pylist()
                 raw = encoder.encode_all(texts)
                 size = np.array([len(r) // 4 for r in raw])
@@ -348,5 +348,7 @@ def report(docs: DataFrame, vocabulary: str = VOCABULARY) -> DataFrame:
                 ids = pa.ListArray.from_arrays(offsets, pa.array(flat), mask=pa.array(gone, pa.bool_()))
                 sha = lambda x: hashlib.sha256(x).hexdigest()
                 yield pa.RecordBatch.from_arrays([part.column(0), ids, pa.array(size.astype(np.int64)), pa.array([sha(r) for r in raw]), pa.array([None if n else sha(b.encode()) for b, n in zip(back, gone, strict=True)], pa.string()), pa.array([(t or "") == b for t, b in zip(texts, back, strict=True)])], names=["doc_id", "ids", "n_ids", "ids_sha256", "text_sha256", "lossless"])
+        encoder.memo.clear()
+        give_back()
 
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, ids array<int>, n_ids bigint, ids_sha256 string, text_sha256 string, lossless boolean")
