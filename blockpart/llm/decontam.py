@@ -295,12 +295,21 @@ def cleaned(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
     rest = [c for c in docs.columns if c != "text"]
     found = contamination(docs, benchmark, keep=rest, **options).where("n_words = 0 or size(hits) < n_words")
 
-    @F.udf("string")
-    def cut(text, spans):
-        return without_spans(text, [(s["a"], s["b"]) for s in spans])
-
+    # Bytes between the spans, end to end; spans of several blocks may overlap.
+    raw, none = F.col("text").cast("binary"), F.lit(b"")
+
+    def gap(low, high):
+        return F.substr(raw, (low + 1).cast("int"), F.greatest(high - low, F.lit(0)).cast("int"))
+
+    start = F.struct(F.lit(0).cast("bigint").alias("done"), none.alias("out"))
+    ended = F.aggregate(
+        F.array_sort("spans"),
+        start,
+        lambda have, span: F.struct(F.greatest(have["done"], span["b"]).alias("done"), F.concat(have["out"], gap(have["done"], span["a"])).alias("out")),
+        lambda have: F.concat(have["out"], gap(have["done"], F.octet_length("text").cast("bigint"))),
+    )
     hit = F.size("spans") > 0
-    text = F.when(hit, cut("text", "spans")).otherwise(F.col("text"))
+    text = F.when(hit, ended.cast("string")).otherwise(F.col("text"))
     out = found.withColumn("text", text)
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.when(hit, F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))

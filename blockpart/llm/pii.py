@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockpart.llm.common import forget, materialise
+from blockpart.llm.common import give_back, materialise, portions
 
 KEY = b"surrogates"
 ROUNDS = 64
@@ -244,9 +244,7 @@ def replaced(docs: DataFrame, key: bytes = KEY) -> DataFrame:
     def run(batches):
         at = places.index(text)
         for batch in batches:
-            # Few rows at a time: texts are long.
-            for k in range(0, batch.num_rows, 1000):
-                part = batch.slice(k, 1000)
+            for part in portions(batch, at):
                 texts, counts = [], []
                 for body, given in zip(part.column(at).to_pylist(), part.column(len(places)), strict=True):
                     stand_in = {(p["kind"], p["entity"]): p["stand_in"] for p in given.as_py() or ()}
@@ -259,6 +257,7 @@ def replaced(docs: DataFrame, key: bytes = KEY) -> DataFrame:
                     counts.append(n)
                 columns = [pa.array(texts, pa.string()) if i == at else part.column(i) for i in range(len(places))]
                 yield pa.RecordBatch.from_arrays([*columns, pa.array(counts, pa.int64())], names=[*places, "_n"])
+        give_back()
 
     schema = ", ".join([*(f"{n} {docs.schema[c].dataType.simpleString()}" for c, n in names.items()), "_n bigint"])
     out = some.select(*places, "_pairs").mapInArrow(run, schema).unionByName(own.where(~hint).withColumn("_n", F.lit(0).cast("bigint")))

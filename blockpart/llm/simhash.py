@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockpart.llm.common import LOWER, SOLID, byte_view, forget, hot_share, materialise, row_slices, word_spans
+from blockpart.llm.common import LOWER, SOLID, byte_view, forget, give_back, hot_share, materialise, portions, row_slices, word_spans
 
 BITS = 64
 BUDGET = 2
@@ -91,8 +91,10 @@ def fingerprint_table(docs: DataFrame, shingle: int = SHINGLE, seed: int = SEED)
 
     def run(batches):
         for batch in batches:
-            fp = fingerprints(batch.column(1), shingle, seed)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fp.view(np.int64))], names=["doc_id", "fp"])
+            for part in portions(batch, 1):
+                fp = fingerprints(part.column(1), shingle, seed)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fp.view(np.int64))], names=["doc_id", "fp"])
+        give_back()
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, fp bigint")
@@ -184,6 +186,8 @@ def trie_links(distinct: DataFrame, budget: int = BUDGET) -> DataFrame:
             if len(linked):
                 signed = fp.view(np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array(signed[linked]), pa.array(signed[label[linked]]), pa.array(links[linked])], names=["fp", "root", "links"])
+        del fps, copies, tries
+        give_back()
 
     return dealt.mapInArrow(run, "fp bigint, root bigint, links bigint")
 
