@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockpart.llm.common import hot_share
+from blockpart.llm.common import hot_share, mapped
 
 BUDGET = 1024
 HISTORY = 256
@@ -163,7 +163,7 @@ def formatted(conversations: DataFrame, budget: int = BUDGET, history: int = HIS
             conv, k, text, mask, repeated = zip(*part, strict=True)
             yield pa.RecordBatch.from_arrays([pa.array(conv, pa.int64() if kind == "bigint" else None), pa.array(k, pa.int64()), pa.array(text), pa.array([[{"a": a, "b": b} for a, b in m] for m in mask], pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())]))), pa.array(repeated, pa.int64())], names=names)
 
-    return ordered(conversations).mapInArrow(batches_of, f"conv_id {kind}, window bigint, text string, mask array<struct<a:bigint,b:bigint>>, repeated bigint")
+    return mapped(ordered(conversations), batches_of, f"conv_id {kind}, window bigint, text string, mask array<struct<a:bigint,b:bigint>>, repeated bigint")
 
 
 def report(windows_: DataFrame) -> DataFrame:
@@ -204,4 +204,4 @@ def report(windows_: DataFrame) -> DataFrame:
         if done:
             yield table()
 
-    return rows.mapInArrow(run, f"conv_id {kind}, n_turns bigint, turns_sha256 string, loss_chars bigint, loss_sha256 string, formatted_chars bigint, n_windows bigint")
+    return mapped(rows, run, f"conv_id {kind}, n_turns bigint, turns_sha256 string, loss_chars bigint, loss_sha256 string, formatted_chars bigint, n_windows bigint")

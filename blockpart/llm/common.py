@@ -20,6 +20,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 SLICE_BYTES = 2 << 20
+#: Bytes of an Arrow batch between the JVM and a Python worker, as both sides hold it whole; by rows alone it would grow with the texts' length.
+BATCH_BYTES = 8 << 20
 
 
 # ---- scratch -----------------------------------------------------------------------------------------------------
@@ -56,6 +58,14 @@ def forget(df: DataFrame) -> None:
         where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
 
 
+def mapped(df: DataFrame, run, schema) -> DataFrame:
+    """mapInArrow in batches of about BATCH_BYTES (a longer row stands alone), unless the session names a size."""
+    conf, key = df.sparkSession.conf, "spark.sql.execution.arrow.maxBytesPerBatch"
+    if conf.get(key, None) is None:
+        conf.set(key, str(BATCH_BYTES))
+    return df.mapInArrow(run, schema)
+
+
 def documents(spark: SparkSession, sf_dir: str, name: str = "documents") -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

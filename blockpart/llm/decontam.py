@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockpart.llm.common import ALNUM, LOWER, WordHash, byte_view, give_back, portions, ranges, row_slices, word_spans
+from blockpart.llm.common import ALNUM, LOWER, WordHash, byte_view, give_back, mapped, portions, ranges, row_slices, word_spans
 
 WINDOW = 10
 #: Bytes of benchmark text that one pass broadcasts; a larger benchmark takes several passes.
@@ -268,7 +268,7 @@ def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, b
                     yield searched(batch, names, block, hashes)
             give_back()
 
-        out = out.mapInArrow(scan, out.schema)
+        out = mapped(out, scan, out.schema)
     return out
 
 

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockpart.llm.common import byte_view, materialise
+from blockpart.llm.common import byte_view, mapped, materialise
 
 UNIT = 192
 MCU = 384
@@ -433,7 +433,7 @@ def store(docs: DataFrame) -> DataFrame:
                 own = [raw[at[i] : at[i + 1]] for i in range(k, min(k + 512, batch.num_rows))]
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(k, len(own)), pa.array([len(x) for x in own], pa.int64()), pa.array([encode(pad(x)) for x in own], pa.binary())], names=["doc_id", "n_bytes", "media"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, n_bytes bigint, media binary")
+    return mapped(docs.select("doc_id", "text"), run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, n_bytes bigint, media binary")
 
 
 def tensors(media: DataFrame, column: str = "media") -> DataFrame:
@@ -447,7 +447,7 @@ def tensors(media: DataFrame, column: str = "media") -> DataFrame:
                 rgb = to_rgb(decode(batch.column(k)[i].as_py()))
                 yield pa.RecordBatch.from_arrays([*(batch.column(j).slice(i, 1) for j in range(batch.num_columns) if j != k), pa.array([rgb.shape[0]]), pa.array([rgb.shape[1]]), pa.array([rgb.tobytes()], pa.binary())], names=[*(n for n in batch.schema.names if n != column), "height", "width", "rgb"])
 
-    return media.mapInArrow(run, ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rest), "height bigint, width bigint, rgb binary"]))
+    return mapped(media, run, ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rest), "height bigint, width bigint, rgb binary"]))
 
 
 def report(media: DataFrame) -> DataFrame:
@@ -465,7 +465,7 @@ def report(media: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array([r[k] for r in rows], t) for k, t in enumerate(kinds.values()))], names=["doc_id", *kinds])
 
     kind = media.schema["doc_id"].dataType.simpleString()
-    return media.select("doc_id", "n_bytes", "media").mapInArrow(run, f"doc_id {kind}, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string")
+    return mapped(media.select("doc_id", "n_bytes", "media"), run, f"doc_id {kind}, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string")
 
 
 def stored_and_read(docs: DataFrame) -> DataFrame:

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockpart.llm.common import SOLID, WordHash, byte_view, give_back, portions, row_slices, word_spans
+from blockpart.llm.common import SOLID, WordHash, byte_view, give_back, mapped, portions, row_slices, word_spans
 
 PER_LANGUAGE = 2000
 BUCKETS = 1 << 16
@@ -241,7 +241,7 @@ def train(labelled: DataFrame, per_language: int = PER_LANGUAGE) -> Model:
             yield pa.RecordBatch.from_arrays([pa.array([tag] * len(some), pa.string()), pa.array(some), pa.array(own[some])], names=["lang", "bucket", "n"])
 
     table = np.zeros((len(languages), BUCKETS + len(NAMES)))
-    for r in chosen.mapInArrow(run, "lang string, bucket bigint, n bigint").groupBy("lang", "bucket").agg(F.sum("n")).collect():
+    for r in mapped(chosen, run, "lang string, bucket bigint, n bigint").groupBy("lang", "bucket").agg(F.sum("n")).collect():
         table[languages.index(r[0]), r[1]] = r[2]
     return Model(languages, table[:, :BUCKETS], table[:, BUCKETS:])
 
@@ -265,7 +265,7 @@ def predict(docs: DataFrame, model: Model, keep: list[str] | None = None, penalt
         give_back()
 
     schema = ", ".join([*(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep), "lang_pred string, score double", *(["spans array<struct<a:bigint,b:bigint,lang:string>>"] if spans else [])])
-    return own.mapInArrow(run, schema)
+    return mapped(own, run, schema)
 
 
 def held_out(doc_id) -> F.Column:

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockpart.llm.common import ALNUM, LOWER, WordHash, byte_view, materialise, row_slices, word_spans
+from blockpart.llm.common import ALNUM, LOWER, WordHash, byte_view, mapped, materialise, row_slices, word_spans
 
 THRESHOLD = 0.75
 #: Notices as they are commonly written: fixed values.
@@ -80,7 +80,7 @@ def frequencies(files: DataFrame) -> tuple[int, dict[str, int]]:
                     total += np.bincount(np.unique(doc * len(keys) + place[hit]) % len(keys), minlength=len(keys))
         yield pa.RecordBatch.from_arrays([pa.array([-1, *range(len(vocabulary))]), pa.array([many, *total.tolist()])], names=["term", "n"])
 
-    rows = dict(files.select("text").mapInArrow(run, "term bigint, n bigint").groupBy("term").agg(F.sum("n")).collect())
+    rows = dict(mapped(files.select("text"), run, "term bigint, n bigint").groupBy("term").agg(F.sum("n")).collect())
     return rows.get(-1, 0), {t: rows.get(i, 0) for i, t in enumerate(vocabulary)}
 
 
@@ -133,7 +133,7 @@ def own_licenses(files: DataFrame) -> DataFrame:
 
     hint = F.coalesce(F.col("text").rlike(HINT), F.lit(False))
     columns = [F.col(f"`{f.name}`") for f in rest]
-    some = files.where(hint).select("text", *columns).mapInArrow(run, ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rest), "own string, score double"]))
+    some = mapped(files.where(hint).select("text", *columns), run, ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rest), "own string, score double"]))
     return some.unionByName(files.where(~hint).select(*columns, F.lit(None).cast("string").alias("own"), F.lit(0.0).alias("score")))
 
 

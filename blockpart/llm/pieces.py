@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockpart.llm.common import give_back, portions, ranges
+from blockpart.llm.common import give_back, mapped, portions, ranges
 
 SPACE = "▁"
 MEMO = 250_000
@@ -309,7 +309,7 @@ def encode_texts(docs: DataFrame, vocabulary: str = VOCABULARY) -> DataFrame:
         encoder.memo.clear()
         give_back()
 
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, text string, ids array<int>")
+    return mapped(docs.select("doc_id", "text"), run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, text string, ids array<int>")
 
 
 def decode_ids(encoded: DataFrame, vocabulary: str = VOCABULARY) -> DataFrame:
@@ -327,7 +327,7 @@ def decode_ids(encoded: DataFrame, vocabulary: str = VOCABULARY) -> DataFrame:
             out = [None if n else decode(flat[at[i] : at[i + 1]].astype(np.int64), table) for i, n in enumerate(gone)]
             yield pa.RecordBatch.from_arrays([*(c for j, c in enumerate(batch.columns) if j != k), pa.array(out, pa.string())], names=[*(n for n in batch.schema.names if n != "ids"), "decoded"])
 
-    return encoded.mapInArrow(run, ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rest), "decoded string"]))
+    return mapped(encoded, run, ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rest), "decoded string"]))
 
 
 def report(docs: DataFrame, vocabulary: str = VOCABULARY) -> DataFrame:
@@ -351,4 +351,4 @@ def report(docs: DataFrame, vocabulary: str = VOCABULARY) -> DataFrame:
         encoder.memo.clear()
         give_back()
 
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, ids array<int>, n_ids bigint, ids_sha256 string, text_sha256 string, lossless boolean")
+    return mapped(docs.select("doc_id", "text"), run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, ids array<int>, n_ids bigint, ids_sha256 string, text_sha256 string, lossless boolean")

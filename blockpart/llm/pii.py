@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockpart.llm.common import give_back, materialise, portions
+from blockpart.llm.common import give_back, mapped, materialise, portions
 
 KEY = b"surrogates"
 ROUNDS = 64
@@ -198,7 +198,7 @@ def entities(docs: DataFrame) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(list(c), pa.string()) for c in zip(*sorted(rows), strict=True)], names=["text_key", "kind", "entity", "gender"])
 
     some = docs.where(F.col("text").rlike(HINT)).select(F.md5("text").alias("text_key"), "text")
-    return some.mapInArrow(run, "text_key string, kind string, entity string, gender string").distinct()
+    return mapped(some, run, "text_key string, kind string, entity string, gender string").distinct()
 
 
 def assignment(found: DataFrame, key: bytes = KEY) -> DataFrame:
@@ -209,7 +209,7 @@ def assignment(found: DataFrame, key: bytes = KEY) -> DataFrame:
             for batch in batches:
                 yield batch.append_column("stand_in", pa.array([surrogate(*row, attempt, key) for row in zip(*(c.to_pylist() for c in batch.columns), strict=True)], pa.string()))
 
-        return frame.mapInArrow(run, "kind string, entity string, gender string, stand_in string")
+        return mapped(frame, run, "kind string, entity string, gender string, stand_in string")
 
     # A person addressed in two ways is one entity; the gender told decides over none.
     all_ = materialise(found.groupBy("kind", "entity").agg(F.max(F.when(F.col("gender") == "n", "").otherwise(F.col("gender"))).alias("gender")).select("kind", "entity", F.when((F.col("kind") == "person") & (F.col("gender") == ""), "n").otherwise(F.col("gender")).alias("gender")))
@@ -260,7 +260,7 @@ def replaced(docs: DataFrame, key: bytes = KEY) -> DataFrame:
         give_back()
 
     schema = ", ".join([*(f"{n} {docs.schema[c].dataType.simpleString()}" for c, n in names.items()), "_n bigint"])
-    out = some.select(*places, "_pairs").mapInArrow(run, schema).unionByName(own.where(~hint).withColumn("_n", F.lit(0).cast("bigint")))
+    out = mapped(some.select(*places, "_pairs"), run, schema).unionByName(own.where(~hint).withColumn("_n", F.lit(0).cast("bigint")))
     return out.select(*[F.col(n).alias(c) for c, n in names.items()], F.col("_n").alias("n_replaced" if "n_replaced" not in docs.columns else "n_replaced_"))
 
 

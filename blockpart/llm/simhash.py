@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockpart.llm.common import LOWER, SOLID, byte_view, forget, give_back, hot_share, materialise, portions, row_slices, word_spans
+from blockpart.llm.common import LOWER, SOLID, byte_view, forget, give_back, hot_share, mapped, materialise, portions, row_slices, word_spans
 
 BITS = 64
 BUDGET = 2
@@ -97,7 +97,7 @@ def fingerprint_table(docs: DataFrame, shingle: int = SHINGLE, seed: int = SEED)
         give_back()
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, fp bigint")
+    return mapped(docs.select("doc_id", "text"), run, f"doc_id {kind}, fp bigint")
 
 
 def trie_pairs(fp: np.ndarray, lead: int, earlier: list[int], budget: int = BUDGET):
@@ -189,7 +189,7 @@ def trie_links(distinct: DataFrame, budget: int = BUDGET) -> DataFrame:
         del fps, copies, tries
         give_back()
 
-    return dealt.mapInArrow(run, "fp bigint, root bigint, links bigint")
+    return mapped(dealt, run, "fp bigint, root bigint, links bigint")
 
 
 def components(edges: DataFrame) -> DataFrame:

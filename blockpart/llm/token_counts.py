@@ -14,6 +14,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from blockpart.llm.common import mapped
 from blockpart.llm.pieces import ESCAPED, MEMO, NEVER, SPACE, VOCABULARY, Encoder, PieceTables, Vocabulary, read_model, streaming_viterbi
 
 
@@ -102,4 +103,4 @@ def token_counts(docs: DataFrame, vocabulary: str = VOCABULARY, keep: str = "doc
                 part = batch.slice(k, 2000)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(_READY[key].counts(part.column(1).to_pylist()), pa.int64())], names=[keep, "n_tokens"])
 
-    return docs.select(keep, "text").mapInArrow(run, f"{keep} {docs.schema[keep].dataType.simpleString()}, n_tokens bigint")
+    return mapped(docs.select(keep, "text"), run, f"{keep} {docs.schema[keep].dataType.simpleString()}, n_tokens bigint")

@@ -26,7 +26,7 @@ import pyarrow.fs as pafs
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockpart.llm.common import materialise, scratch_dir
+from blockpart.llm.common import mapped, materialise, scratch_dir
 
 #: Fixed value of the format.
 VERSION = "WARC/1.1"
@@ -149,7 +149,7 @@ def write_warc(pages: DataFrame, root: str, roll_bytes: int = ROLL_BYTES, range_
         yield pa.RecordBatch.from_arrays([pa.array(list(x), t) for x, t in zip(zip(*done, strict=True) if done else [[]] * 4, (pa.string(), pa.int64(), pa.int64(), pa.string()), strict=True)], names=["page_file", "n_records", "compressed_bytes", "sha256"])
 
     pafs_root(root)
-    manifest = rows.mapInArrow(run, MANIFEST)
+    manifest = mapped(rows, run, MANIFEST)
     where = f"{root}/_manifest"
     manifest.write.parquet(where)
     return spark.read.schema(MANIFEST).parquet(where)
@@ -214,7 +214,7 @@ def read_warc(manifest: DataFrame, root: str, with_payload: bool = False) -> Dat
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(list(x), t) for x, t in zip(zip(*rows, strict=True), types, strict=False)], names=names)
 
-    return manifest.select("page_file").repartition(max(1, manifest.count()), "page_file").mapInArrow(run, kinds)
+    return mapped(manifest.select("page_file").repartition(max(1, manifest.count()), "page_file"), run, kinds)
 
 
 def round_trip(pages: DataFrame, root: str | None = None, **options) -> DataFrame:
