@@ -14,6 +14,8 @@ component are null; an empty table gives an empty result; other columns are not
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -49,9 +51,9 @@ def lead_masks() -> list[tuple[int, list[int], list[int]]]:
 MASKS = lead_masks()
 
 
-def fingerprints(texts: pa.Array, shingle: int = SHINGLE, seed: int = SEED) -> np.ndarray:
+def shingle_hashes(texts: pa.Array, shingle: int = SHINGLE, seed: int = SEED) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray]]:
+    """(a, b, hashes, doc, many) by slices of rows a to b: the shingles' hashes, the row (from a) of each, and their number for each row. Slices without a word are left out."""
     data, at = byte_view(texts)
-    out = np.zeros(len(at) - 1, np.uint64)
     digest = xxhash.xxh64_intdigest
     for a, b in row_slices(at):
         part, here = data[at[a] : at[b]], at[a : b + 1] - at[a]
@@ -74,7 +76,12 @@ def fingerprints(texts: pa.Array, shingle: int = SHINGLE, seed: int = SEED) -> n
         lead = np.cumsum(many) - many
         begin = first[:-1][doc] + np.arange(len(doc)) - lead[doc]
         cuts = zip(head[begin].tolist(), tail[begin + size[doc] - 1].tolist(), strict=True)
-        hashes = np.fromiter((digest(raw[x:y], seed) for x, y in cuts), np.uint64, len(doc))
+        yield a, b, np.fromiter((digest(raw[x:y], seed) for x, y in cuts), np.uint64, len(doc)), doc, many
+
+
+def fingerprints(texts: pa.Array, shingle: int = SHINGLE, seed: int = SEED) -> np.ndarray:
+    out = np.zeros(len(texts), np.uint64)
+    for a, b, hashes, doc, many in shingle_hashes(texts, shingle, seed):
         ones = np.zeros((b - a, BITS), np.int64)
         for k in range(0, len(doc), 1 << 17):
             own = doc[k : k + (1 << 17)]
@@ -163,6 +170,8 @@ def merge_labels(label: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
 
 def trie_links(distinct: DataFrame, budget: int = BUDGET) -> DataFrame:
     """fp, root (a linked fingerprint, the same for a whole cluster of this trie) and links (documents at its links); fps without a link are left out."""
+    if budget > BUDGET:
+        raise ValueError(f"the tries' leading bits hold every link of {BUDGET} differing bits, not of {budget}")
     lead = F.array(*[F.lit(m - (1 << 64) if m >> 63 else m).cast("bigint") for m, _ in MASKS])
     dealt = distinct.select("fp", "copies", F.posexplode(lead).alias("trie", "mask")).select("fp", "copies", F.col("trie").cast("int"), F.col("fp").bitwiseAND(F.col("mask")).alias("head"))
     dealt = dealt.repartition(hot_share(distinct.sparkSession), F.xxhash64("trie", "head")).select("fp", "copies", "trie")

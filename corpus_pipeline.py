@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from blockpart.llm import decontam, langid, pieces, pii, simhash
+from blockpart.llm import decontam, langid, nearcopies, pieces, pii
 from blockpart.llm.common import documents, materialise
 
 
@@ -16,8 +16,8 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates stays."""
-    return simhash.one_of_each(docs, shingle=PIPELINE_SHINGLE)
+    """One document of each group of near duplicates (five-word shingles, similarity 0.8 or more) stays."""
+    return nearcopies.one_of_each(docs)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -35,8 +35,6 @@ def encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return pieces.report(docs)
 
 
-#: The contract of the near-duplicate operator: words in a shingle.
-PIPELINE_SHINGLE = simhash.SHINGLE
 STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
     ("language", language),
     ("near_duplicates", near_duplicates),

@@ -12,7 +12,7 @@ import pyarrow as pa
 import pytest
 import xxhash
 
-from blockpart.llm import chat, decontam, jpeg, langid, licenses, pieces, pii, queries, simhash, token_counts, warc
+from blockpart.llm import chat, decontam, jpeg, langid, licenses, nearcopies, pieces, pii, queries, simhash, token_counts, warc
 from blockpart.llm.common import SOLID, byte_view, word_spans
 
 DOCS = "doc_id bigint, text string, lang string, source string, n_chars bigint"
@@ -161,6 +161,42 @@ def test_components_of_a_path_and_a_star(spark):
     assert got == {i: 0 for i in range(41)} | {100 + i: 100 for i in range(20)}
 
 
+# ---- near copies of the pipeline ------------------------------------------------------------------------------------
+
+def shingle_set(text):
+    words = [w for w in re.split("[\x20\x09-\x0d]+", lower(text)) if w]
+    return {tuple(words[k : k + 5]) for k in range(max(1, len(words) - 4))} if words else set()
+
+
+def test_pipeline_links_every_near_copy(spark):
+    import corpus_pipeline
+
+    rng = np.random.default_rng(8)
+    texts = []
+    for k in range(60):
+        words = [f"w{x}" for x in rng.integers(0, 9000, int(rng.integers(60, 300)))]
+        texts.append(" ".join(words))
+        for share in (0.01, 0.02, 0.06):
+            other = words.copy()
+            for i in rng.choice(len(words), max(1, int(share * len(words))), replace=False):
+                other[i] = f"v{rng.integers(0, 9000)}"
+            texts.append(" ".join(other))
+    texts += [None, "", " \t", "x y", "X  y"]
+    sets = [shingle_set(t) for t in texts]
+    linked = [(a, b) for a in range(len(sets)) for b in range(a) if sets[a] == sets[b] or len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])]
+    assert len(linked) > 60 and any(len(sets[a] & sets[b]) < 0.85 * len(sets[a] | sets[b]) for a, b in linked)
+    label = list(range(len(texts)))
+    for _ in texts:
+        for a, b in linked:
+            label[a] = label[b] = min(label[a], label[b])
+    docs = docs_of(spark, texts)
+    assert dict(nearcopies.near_copies(docs).collect()) == dict(enumerate(label))
+    assert {r["doc_id"] for r in corpus_pipeline.near_duplicates(spark, docs, "").collect()} == set(label)
+    assert nearcopies.near_copies(docs_of(spark, [])).count() == 0
+    with pytest.raises(ValueError):
+        simhash.near_duplicates(docs, budget=3).count()
+
+
 # ---- op 4 ------------------------------------------------------------------------------------------------------------
 
 def test_warc_round_trip(spark, tmp_path):
