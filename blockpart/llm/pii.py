@@ -8,6 +8,7 @@ a phone's country code and fictional exchange, an address's octet lengths and wh
 digit, an IBAN's country and check, a secret's case; e-mails go to reserved example domains, persons keep form of address,
 gender of ending and script. All distinct entities of the corpus are then compared: a surrogate that two have, or that is an
 entity of the corpus, stays with none but the first, and the others draw again, in rounds over written tables until none is left.
+Where many entities share a small format, later rounds draw from more: longer locals, names and phones, all octets, then all addresses.
 
 Results for odd input: null and empty texts stay; texts without entities stay as they are; repeated rows repeat; overlapping finds go to the
 earlier, then longer one; an empty table gives an empty one; other columns pass unread, whatever their names.
@@ -17,6 +18,7 @@ from __future__ import annotations
 
 import hashlib
 import hmac
+import itertools
 import re
 from collections.abc import Iterator
 
@@ -27,7 +29,8 @@ from pyspark.sql import functions as F
 from blockpart.llm.common import give_back, mapped, materialise, portions
 
 KEY = b"surrogates"
-ROUNDS = 64
+#: Rounds in the entity's own format, and rounds until what that format fixes beyond its type is given up too.
+NARROW, WIDE = 4, 16
 #: Forms of address and the gender that they tell, by script-independent plain text: fixed values.
 ADDRESS = {"Mr.": "m", "Mr": "m", "Mrs.": "f", "Mrs": "f", "Ms.": "f", "Ms": "f", "Miss": "f", "Dr.": "n", "Prof.": "n", "Herr": "m", "Frau": "f", "Monsieur": "m", "Madame": "f", "Señor": "m", "Señora": "f", "Господин": "m", "Госпожа": "f"}
 _NAME = r"[^\W\d_a-zà-öø-ÿа-я][\w'’-]+"
@@ -120,48 +123,57 @@ def script(word: str) -> str:
     return "cyrillic" if "Ѐ" <= c <= "ԯ" else "greek" if "Ͱ" <= c <= "Ͽ" else "latin"
 
 
-def name_like(word: str, gender: str, draw: Draw) -> str:
+def name_like(word: str, gender: str, draw: Draw, more: int = 0) -> str:
     kind = script(word)
-    made = "".join(SYLLABLES[kind][draw(16)] for _ in range(max(2, min(5, len(word) // 2)))) + ENDINGS[kind][gender]
+    made = "".join(SYLLABLES[kind][draw(16)] for _ in range(max(2, min(5, len(word) // 2)) + more)) + ENDINGS[kind][gender]
     return made.upper() if word.isupper() and len(word) > 1 else made.capitalize()
 
 
 def surrogate(kind: str, entity: str, gender: str, attempt: int, key: bytes = KEY) -> str:
-    """The stand-in of a canonical entity, in canonical form."""
+    """The stand-in of a canonical entity, in canonical form. Later attempts draw from larger spaces."""
     draw = Draw(key, kind, entity, attempt)
+    more, wide = attempt // NARROW, attempt >= WIDE
     if kind == "email":
         local, _, domain = entity.partition("@")
         labels = domain.split(".")
         ending = ("com", "net", "org")[Draw(key, "domain", domain, 0)(3)]
         host = [like(x, Draw(key, "domain", domain, k)) for k, x in enumerate(labels[:-2])]
-        return f"{like(local, draw)}@{'.'.join([*host, 'example', ending])}"
+        return f"{like(local + 'x' * more, draw)}@{'.'.join([*host, 'example', ending])}"
     if kind == "phone":
         head = re.match(r"\+1|\+\d{2}|", entity)[0]
         rest = entity[len(head) :]
-        new = "".join(str(draw(10)) for _ in rest)
-        return head + (new[:3] + "555" + new[6:] if len(rest) == 10 and rest[3:6] == "555" else new)
+        # Numbers with another country code may get longer; those of ten digits have room.
+        new = "".join(str(draw(10)) for _ in range(len(rest) + (attempt // WIDE if head != "+1" and head else 0)))
+        return head + (new[:3] + "555" + new[6:] if len(rest) == 10 and rest[3:6] == "555" and not wide else new)
     if kind == "ssn":
-        return "9" + "".join(str(draw(10)) for _ in entity[1:])
+        return (str(draw(10)) if wide else "9") + "".join(str(draw(10)) for _ in entity[1:])
     if kind == "card":
         while True:
-            new = entity[0] + "".join(str(draw(10)) for _ in entity[1:])
+            new = (str(draw(10)) if wide else entity[0]) + "".join(str(draw(10)) for _ in entity[1:])
             if luhn(new) == luhn(entity):
                 return new
     if kind == "iban":
-        body = like(entity[4:], draw)
+        body = "".join("0123456789ABCDEFGHIJKLMNOPQRSTUVWXYZ"[draw(36)] for _ in entity[4:]) if wide else like(entity[4:], draw)
         number = int("".join(str(int(c, 36)) for c in body + entity[:2] + "00"))
         return f"{entity[:2]}{98 - number % 97:02d}{body}"
     if kind == "ipv4":
         parts = entity.split(".")
         fixed = 1 if parts[0] in ("10", "127") else 2 if parts[:2] == ["192", "168"] or parts[0] == "172" and 16 <= int(parts[1]) <= 31 else 0
         ranges = {1: (1, 9), 2: (10, 99), 3: (100, 223)}
+        if attempt >= 2 * WIDE:
+            return ".".join(str(draw(256)) for _ in range(4))
+        if attempt >= NARROW:
+            # All octets; a private network may become the largest one. Public addresses stay outside of networks told by their first octets.
+            public = [k for k in range(1, 224) if k not in (10, 127, 172, 192)]
+            out = ["10"] if wide and fixed == 2 else parts[:fixed] or [str(public[draw(len(public))])]
+            return ".".join([*out, *(str(draw(256)) for _ in range(4 - len(out)))])
         out = parts[:fixed]
         for k in range(fixed, 4):
             low, high = ranges[len(parts[k])]
             out.append(str(low + draw((high if k == 0 or len(parts[k]) < 3 else 254) - low + 1)))
         return ".".join(out)
     if kind == "person":
-        return " ".join(name_like(w, gender, Draw(key, "name", w, gender, attempt)) for w in entity.split(" "))
+        return " ".join(name_like(w, gender, Draw(key, "name", w, gender, attempt), more) for w in entity.split(" "))
     if re.fullmatch(r"[0-9a-fA-F]+", entity):
         upper = entity.upper() == entity
         return "".join(("0123456789ABCDEF" if upper else "0123456789abcdef")[draw(16)] for _ in entity)
@@ -173,7 +185,7 @@ def dressed(kind: str, mention: str, stand_in: str) -> str:
     """A stand-in in the format of one mention: its separators, its form of address, its case."""
     if kind in ("phone", "card", "ssn", "iban"):
         letters = iter(stand_in)
-        return "".join(next(letters) if c.isalnum() or c == "+" else c for c in mention)
+        return "".join([*(next(letters) if c.isalnum() or c == "+" else c for c in mention), *letters])
     if kind == "person":
         return f"{mention.split(' ', 1)[0]} {stand_in}"
     if kind == "email":
@@ -214,7 +226,7 @@ def assignment(found: DataFrame, key: bytes = KEY) -> DataFrame:
     # A person addressed in two ways is one entity; the gender told decides over none.
     all_ = materialise(found.groupBy("kind", "entity").agg(F.max(F.when(F.col("gender") == "n", "").otherwise(F.col("gender"))).alias("gender")).select("kind", "entity", F.when((F.col("kind") == "person") & (F.col("gender") == ""), "n").otherwise(F.col("gender")).alias("gender")))
     fixed, left = None, all_
-    for attempt in range(ROUNDS):
+    for attempt in itertools.count():
         tried = materialise(drawn(left, attempt))
         free = tried.join(all_.select("kind", F.col("entity").alias("stand_in")), ["kind", "stand_in"], "left_anti")
         if fixed is not None:
@@ -225,7 +237,6 @@ def assignment(found: DataFrame, key: bytes = KEY) -> DataFrame:
         left = materialise(all_.join(fixed, ["kind", "entity"], "left_anti"))
         if left.isEmpty():
             return fixed
-    raise ValueError("distinct entities outnumber the surrogates of their format")
 
 
 def replaced(docs: DataFrame, key: bytes = KEY) -> DataFrame:

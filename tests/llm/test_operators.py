@@ -495,6 +495,22 @@ def test_surrogates_are_distinct_and_coreferent(spark, monkeypatch):
     assert pii.replaced(docs.where("false")).count() == 0
 
 
+def test_small_formats_do_not_run_out(spark):
+    texts = [f"at 192.168.{x}.{y} or {chr(97 + x)}{chr(97 + y)}@a{x}.org and {chr(97 + x)}@b{y}.com" for x in range(1, 10) for y in range(1, 10)]
+    texts += [f"Mr. {a}{b}{c}" for a in "ABCDEFGH" for b in "aeiou" for c in "klmnrstv"]
+    found = pii.entities(docs_of(spark, texts))
+    rows = pii.assignment(found.select("kind", "entity", "gender")).collect()
+    made = {(r["kind"], r["stand_in"]) for r in rows}
+    assert len(made) == len(rows) == found.select("kind", "entity").distinct().count() >= 81 * 2 + 320
+    assert not {r["stand_in"] for r in rows} & {r["entity"] for r in rows}
+    assert all(r["stand_in"].startswith("192.168.") for r in rows if r["kind"] == "ipv4")
+    for attempt in (0, 5, 20, 40):
+        for mention in ("192.168.1.2", "8.8.8.8", "127.0.0.1", "a@b.org", "+49 1 23 45", "4111 1111 1111 1111", "DE89 3704 0044 0532 0130 00", "123-45-6789", "Mrs. Li"):
+            [kind] = [k for *_, k in pii.find(mention)]
+            new = pii.dressed(kind, mention, pii.surrogate(kind, pii.canonical(kind, mention), pii.gender_of(kind, mention), attempt))
+            assert [(a, b, k) for a, b, k in pii.find(new)] == [(0, len(new), kind)]
+
+
 # ---- op 9 ------------------------------------------------------------------------------------------------------------
 
 def test_licenses_are_found_and_inherited(spark):
