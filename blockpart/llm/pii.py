@@ -44,19 +44,38 @@ PATTERNS = {
     "card": r"(?<![\d-])\d(?:[ -]?\d){12,18}(?![\d-])",
     "person": r"(?<!\w)(?:" + "|".join(re.escape(a) for a in sorted(ADDRESS, key=len, reverse=True)) + rf") {_NAME}(?: {_NAME})?",
 }
+IBAN = re.compile(r"[A-Z]{2}\d{2}(?: ?[0-9A-Z]{4}){2,7}(?: ?[0-9A-Z]{1,3})?")
 FIND = re.compile("|".join(f"(?P<{k}>{v})" for k, v in PATTERNS.items()))
 #: What a text with an entity must hold.
 HINT = r"[0-9@]|\b(Mr|Mrs|Ms|Miss|Dr|Prof|Herr|Frau|Monsieur|Madame|Señor|Señora|Господин|Госпожа)\b"
 QUICK = re.compile(HINT)
 
 
+def is_card(text: str, a: int, b: int) -> bool:
+    """Whether a card number stands from a to b: 13 digits or more, no digit or hyphen after it, check digit right."""
+    return "0" <= text[b - 1] <= "9" and not re.match(r"[\d-]", text[b : b + 1]) and len(digits := re.sub(r"\D", "", text[a:b])) >= 13 and luhn(digits)
+
+
+def is_iban(text: str, a: int, b: int) -> bool:
+    return not re.match("[0-9A-Za-z]", text[b : b + 1]) and IBAN.fullmatch(text, a, b) is not None and mod97(text[a:b].replace(" ", ""))
+
+
+#: Types with check digits: the longest part of a match that holds them counts.
+CHECKED = {"card": is_card, "iban": is_iban}
+
+
 def find(text: str) -> Iterator[tuple[int, int, str]]:
     """(first, end, type) of each entity, in order."""
     if QUICK.search(text):
-        for m in FIND.finditer(text):
-            if m.lastgroup == "card" and not luhn(re.sub(r"\D", "", m[0])) or m.lastgroup == "iban" and not mod97(m[0].replace(" ", "")):
-                continue
-            yield m.start(), m.end(), m.lastgroup
+        at = 0
+        while m := FIND.search(text, at):
+            (a, b), kind = m.span(), m.lastgroup
+            if kind in CHECKED:
+                b = next((k for k in range(b, a, -1) if CHECKED[kind](text, a, k)), a)
+            # Nothing that holds its check begins here: another entity may begin inside.
+            if b > a:
+                yield a, b, kind
+            at = max(b, a + 1)
 
 
 def canonical(kind: str, entity: str) -> str:
