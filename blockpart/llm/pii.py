@@ -6,7 +6,7 @@ numbers, secrets (runs of 32 or more hexadecimal digits, and common token prefix
 A surrogate keeps case, digits and punctuation in place and draws the rest from HMAC-SHA256 of the key, type, entity and attempt. It keeps:
 a phone's country code and fictional exchange, an address's octet lengths and whether it is private, a card's first digit and check
 digit, an IBAN's country and check, a secret's case; e-mails go to reserved example domains, persons keep form of address,
-gender of ending and script. All distinct entities of the corpus are then compared: a surrogate that two have, or that is an
+gender of ending and script; Mr. and Mrs. of one name are two persons, a Dr. is the only one of them or a third. All distinct entities of the corpus are then compared: a surrogate that two have, or that is an
 entity of the corpus, stays with none but the first, and the others draw again, in rounds over written tables until none is left.
 Where many entities share a small format, later rounds draw from more: longer locals, names and phones, all octets, then all addresses.
 
@@ -232,8 +232,16 @@ def entities(docs: DataFrame) -> DataFrame:
     return mapped(some, run, "text_key string, kind string, entity string, gender string").distinct()
 
 
+def told(found: DataFrame) -> DataFrame:
+    """Distinct (kind, entity, gender) and own, the gender of the person meant: Mr. and Mrs. of one name are two; one without a told gender is the only other, if there is one."""
+    forms = found.select("kind", "entity", "gender").distinct()
+    known = forms.where("kind = 'person' and gender <> 'n'").groupBy("kind", "entity").agg(F.min("gender").alias("low"), F.max("gender").alias("high"))
+    own = F.when((F.col("gender") == "n") & (F.col("low") == F.col("high")), F.col("low")).otherwise(F.col("gender"))
+    return forms.join(known, ["kind", "entity"], "left").select("kind", "entity", "gender", own.alias("own"))
+
+
 def assignment(found: DataFrame, key: bytes = KEY) -> DataFrame:
-    """kind, entity, gender and a stand_in that no other entity has and that is no entity, by rounds."""
+    """kind, entity, gender (as told) and a stand_in that no other entity has and that is no entity, by rounds."""
 
     def drawn(frame: DataFrame, attempt: int) -> DataFrame:
         def run(batches):
@@ -242,20 +250,20 @@ def assignment(found: DataFrame, key: bytes = KEY) -> DataFrame:
 
         return mapped(frame, run, "kind string, entity string, gender string, stand_in string")
 
-    # A person addressed in two ways is one entity; the gender told decides over none.
-    all_ = materialise(found.groupBy("kind", "entity").agg(F.max(F.when(F.col("gender") == "n", "").otherwise(F.col("gender"))).alias("gender")).select("kind", "entity", F.when((F.col("kind") == "person") & (F.col("gender") == ""), "n").otherwise(F.col("gender")).alias("gender")))
+    forms = materialise(told(found))
+    all_ = materialise(forms.select("kind", "entity", F.col("own").alias("gender")).distinct())
+    names = all_.select("kind", F.col("entity").alias("stand_in")).distinct()
     fixed, left = None, all_
     for attempt in itertools.count():
         tried = materialise(drawn(left, attempt))
-        free = tried.join(all_.select("kind", F.col("entity").alias("stand_in")), ["kind", "stand_in"], "left_anti")
+        free = tried.join(names, ["kind", "stand_in"], "left_anti")
         if fixed is not None:
             free = free.join(fixed.select("kind", "stand_in"), ["kind", "stand_in"], "left_anti")
-        first = free.groupBy("kind", "stand_in").agg(F.min("entity").alias("entity"))
-        won = tried.join(first, ["kind", "stand_in", "entity"], "left_semi").select("kind", "entity", "gender", "stand_in")
+        won = free.groupBy("kind", "stand_in").agg(F.min(F.struct("entity", "gender")).alias("first")).select("kind", "first.entity", "first.gender", "stand_in")
         fixed = materialise(won if fixed is None else fixed.unionByName(won))
-        left = materialise(all_.join(fixed, ["kind", "entity"], "left_anti"))
+        left = materialise(all_.join(fixed, ["kind", "entity", "gender"], "left_anti"))
         if left.isEmpty():
-            return fixed
+            return forms.join(fixed.withColumnRenamed("gender", "own"), ["kind", "entity", "own"]).select("kind", "entity", "gender", "stand_in")
 
 
 def replaced(docs: DataFrame, key: bytes = KEY) -> DataFrame:
@@ -265,8 +273,8 @@ def replaced(docs: DataFrame, key: bytes = KEY) -> DataFrame:
     text = names["text"]
     found = materialise(entities(docs))
     table = assignment(found.select("kind", "entity", "gender"), key)
-    pairs = found.select("text_key", "kind", "entity").distinct().join(table.select("kind", "entity", "stand_in"), ["kind", "entity"])
-    pairs = pairs.groupBy("text_key").agg(F.collect_list(F.struct("kind", "entity", "stand_in")).alias("_pairs"))
+    pairs = found.join(table, ["kind", "entity", "gender"])
+    pairs = pairs.groupBy("text_key").agg(F.collect_list(F.struct("kind", "entity", "gender", "stand_in")).alias("_pairs"))
     hint = F.coalesce(F.col(text).rlike(HINT), F.lit(False))
     some = own.where(hint).withColumn("text_key", F.md5(text)).join(pairs, "text_key", "left").drop("text_key")
     places = list(names.values())
@@ -277,11 +285,11 @@ def replaced(docs: DataFrame, key: bytes = KEY) -> DataFrame:
             for part in portions(batch, at):
                 texts, counts = [], []
                 for body, given in zip(part.column(at).to_pylist(), part.column(len(places)), strict=True):
-                    stand_in = {(p["kind"], p["entity"]): p["stand_in"] for p in given.as_py() or ()}
+                    stand_in = {(p["kind"], p["entity"], p["gender"]): p["stand_in"] for p in given.as_py() or ()}
                     out, done, n = [], 0, 0
                     for a, b, kind in find(body) if stand_in else ():
                         mention = body[a:b]
-                        out += [body[done:a], dressed(kind, mention, stand_in[kind, canonical(kind, mention)])]
+                        out += [body[done:a], dressed(kind, mention, stand_in[kind, canonical(kind, mention), gender_of(kind, mention)])]
                         done, n = b, n + 1
                     texts.append("".join([*out, body[done:]]))
                     counts.append(n)

@@ -504,6 +504,15 @@ def test_failed_checks_hide_no_entity():
     assert [k for *_, k in pii.find(f"AB12 3456 7890 ann@x.org {card} 12 {iban[1]} 2024 {card}")] == ["email", "card", "iban", "card"]
 
 
+def test_persons_of_one_name_keep_their_gender(spark):
+    texts = ["Mr. Smith", "Mrs. Smith", "Dr. Smith", "Ms. Smith", "Mrs. Brown", "Prof. Brown", "Dr. Lee", "Herr Lang", "Dr. Lang", "Mr. Smith and Mrs. Smith"]
+    got = [r["text"] for r in pii.replaced(docs_of(spark, texts)).orderBy("doc_id").collect()]
+    mr, mrs, dr, ms, brown, prof, lee, lang, doctor = (t.split()[-1] for t in got[:9])
+    assert len({mr, mrs, dr}) == 3 and ms == mrs and brown == prof and lang == doctor
+    assert [x[-1] for x in (mr, mrs, dr, brown, lee, lang)] == ["o", "a", "e", "a", "e", "o"]
+    assert got[9] == f"Mr. {mr} and Mrs. {mrs}"
+
+
 def test_small_formats_do_not_run_out(spark):
     texts = [f"at 192.168.{x}.{y} or {chr(97 + x)}{chr(97 + y)}@a{x}.org and {chr(97 + x)}@b{y}.com" for x in range(1, 10) for y in range(1, 10)]
     texts += [f"Mr. {a}{b}{c}" for a in "ABCDEFGH" for b in "aeiou" for c in "klmnrstv"]
