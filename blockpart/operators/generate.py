@@ -43,13 +43,22 @@ def omega(spark: SparkSession, blocks: int, within: float, between: float = 1.0)
 
 
 def poisson_count(x: Column, rate: Column, most: int = 12) -> Column:
-    """The number of k with CDF(k) <= x, for small rates."""
+    """The number of k with CDF(k) <= x: `most` terms in a row, and all further ones only where the draw is beyond them."""
     term, cdf, out = F.exp(-rate), None, F.lit(0)
     for k in range(most):
         term = term if k == 0 else term * rate / k
         cdf = term if cdf is None else cdf + term
         out = out + F.when(F.round(cdf, 12) <= x, 1).otherwise(0)
-    return out
+    # Terms by their logarithms, as exp(-rate) may be too small; far enough that the CDF is 1 to 12 digits.
+    end = F.ceil(rate + 12 * F.sqrt(rate) + 40).cast("int")
+    start = F.struct((-rate).alias("ln"), F.exp(-rate).alias("cdf"), F.when(F.round(F.exp(-rate), 12) <= x, 1).otherwise(0).alias("n"))
+
+    def step(acc: Column, k: Column) -> Column:
+        ln = acc["ln"] + F.ln(rate) - F.ln(k.cast("double"))
+        total = acc["cdf"] + F.exp(ln)
+        return F.struct(ln.alias("ln"), total.alias("cdf"), (acc["n"] + F.when(F.round(total, 12) <= x, 1).otherwise(0)).alias("n"))
+
+    return F.when(F.round(cdf, 12) <= x, F.aggregate(F.sequence(F.lit(1), end), start, step, lambda acc: acc["n"])).otherwise(out)
 
 
 def planted(truth: DataFrame, theta: DataFrame, strength: DataFrame, mean_degree: float = DEGREE, seed: int = 42, method: str = "blockpair") -> DataFrame:

@@ -1,13 +1,15 @@
 """The engine against anchors, brute force, enumeration, and SQL on the small tables."""
 
 import itertools
+import math
 
 import duckdb
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from blockpart import registry
-from blockpart.operators import merge, metrics, node, relops, stats
+from blockpart.operators import generate, merge, metrics, node, relops, stats
 from blockpart.operators.baselines import cliques
 from blockpart.plans import local, search
 from blockpart.queries.measures import tab
@@ -93,6 +95,21 @@ def test_merges_reach_their_target(spark):
     assert len(one) == len(two) == 3
 
 
+def test_poisson_draws_have_no_cap(spark):
+    rates, draws = (0.3, 5.0, 12.0, 60.0, 210.0, 900.0), np.linspace(0.0005, 0.9995, 1000).tolist()
+    frame = spark.createDataFrame([(r, x) for r in rates for x in draws], "rate double, x double")
+    got = {}
+    for r in frame.select("rate", "x", generate.poisson_count(F.col("x"), F.col("rate")).alias("n")).collect():
+        got.setdefault(r["rate"], []).append((r["x"], r["n"]))
+    for rate in rates:
+        cdf, total = [], 0.0
+        for k in range(int(rate + 12 * rate**0.5 + 40)):
+            total += math.exp(k * math.log(rate) - rate - math.lgamma(k + 1))
+            cdf.append(total)
+        assert all(n == sum(c <= x for c in cdf) for x, n in got[rate]), rate
+        assert abs(sum(n for _, n in got[rate]) / 1000 - rate) < 0.01 * rate
+
+
 def test_search_visits_the_least():
     lengths = lambda b: (b - 37) ** 2
     tried = [(500, lengths(500))]
