@@ -291,9 +291,10 @@ def without_spans(text: str | None, spans: list[tuple[int, int]]) -> str | None:
 
 
 def cleaned(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
-    """The documents, same columns, with benchmark passages cut out of their texts; those left without a word go."""
-    rest = [c for c in docs.columns if c != "text"]
-    found = contamination(docs, benchmark, keep=rest, **options).where("n_words = 0 or size(hits) < n_words")
+    """The documents, same columns (whatever their names), with benchmark passages cut out of their texts; those left without a word go."""
+    names = {c: f"_own_{i}" for i, c in enumerate(docs.columns) if c != "text"}
+    own = docs.select("text", *[F.col(f"`{c}`").alias(n) for c, n in names.items()])
+    found = contamination(own, benchmark, keep=list(names.values()), **options).where("n_words = 0 or size(hits) < n_words")
 
     # Bytes between the spans, end to end; spans of several blocks may overlap.
     raw, none = F.col("text").cast("binary"), F.lit(b"")
@@ -309,8 +310,7 @@ def cleaned(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
         lambda have: F.concat(have["out"], gap(have["done"], F.octet_length("text").cast("bigint"))),
     )
     hit = F.size("spans") > 0
-    text = F.when(hit, ended.cast("string")).otherwise(F.col("text"))
-    out = found.withColumn("text", text)
-    if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(hit, F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
-    return out.select(*docs.columns)
+    out = found.withColumn("text", F.when(hit, ended.cast("string")).otherwise(F.col("text")))
+    if size := names.get("n_chars"):
+        out = out.withColumn(size, F.when(hit, F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col(size)))
+    return out.select(*[F.col("text") if c == "text" else F.col(names[c]).alias(c) for c in docs.columns])
