@@ -23,12 +23,13 @@ import re
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from blockpart.llm.common import give_back, mapped, materialise, portions
 
-KEY = b"surrogates"
+#: The session's setting that names the key; without it surrogates follow from a key that is no secret, fit for tests only.
+KEY_SETTING, KEY = "spark.blockpart.pii.key", b"surrogates"
 #: Rounds in the entity's own format, and rounds until what that format fixes beyond its type is given up too.
 NARROW, WIDE = 4, 16
 #: Forms of address and the gender that they tell, by script-independent plain text: fixed values.
@@ -240,8 +241,13 @@ def told(found: DataFrame) -> DataFrame:
     return forms.join(known, ["kind", "entity"], "left").select("kind", "entity", "gender", own.alias("own"))
 
 
-def assignment(found: DataFrame, key: bytes = KEY) -> DataFrame:
+def session_key(spark: SparkSession) -> bytes:
+    return spark.conf.get(KEY_SETTING, KEY.decode()).encode()
+
+
+def assignment(found: DataFrame, key: bytes | None = None) -> DataFrame:
     """kind, entity, gender (as told) and a stand_in that no other entity has and that is no entity, by rounds."""
+    key = session_key(found.sparkSession) if key is None else key
 
     def drawn(frame: DataFrame, attempt: int) -> DataFrame:
         def run(batches):
@@ -266,8 +272,8 @@ def assignment(found: DataFrame, key: bytes = KEY) -> DataFrame:
             return forms.join(fixed.withColumnRenamed("gender", "own"), ["kind", "entity", "own"]).select("kind", "entity", "gender", "stand_in")
 
 
-def replaced(docs: DataFrame, key: bytes = KEY) -> DataFrame:
-    """All rows and columns, with surrogates in the texts; n_replaced (mentions) is added."""
+def replaced(docs: DataFrame, key: bytes | None = None) -> DataFrame:
+    """All rows and columns, with surrogates in the texts; n_replaced (mentions) is added. Without a key that of the session is taken."""
     names = {c: f"_own_{i}" for i, c in enumerate(docs.columns)}
     own = docs.select(*[F.col(f"`{c}`").alias(n) for c, n in names.items()])
     text = names["text"]
@@ -302,9 +308,9 @@ def replaced(docs: DataFrame, key: bytes = KEY) -> DataFrame:
     return out.select(*[F.col(n).alias(c) for c, n in names.items()], F.col("_n").alias("n_replaced" if "n_replaced" not in docs.columns else "n_replaced_"))
 
 
-def protected(docs: DataFrame, key: bytes = KEY) -> DataFrame:
+def protected(docs: DataFrame, key: bytes | None = None) -> DataFrame:
     """The documents, same columns, with surrogates; n_chars, where it is a column, follows the text."""
-    out = replaced(docs, key).select(*docs.columns)
+    out = replaced(docs, key).select(*[F.col(f"`{c}`") for c in docs.columns])
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.when(F.col("text").isNotNull(), F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
     return out
