@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import base64
 import hashlib
+import json
 import re
 import uuid
 import zlib
@@ -23,7 +24,7 @@ from collections.abc import Iterator
 
 import pyarrow as pa
 import pyarrow.fs as pafs
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from blockpart.llm.common import mapped, materialise, scratch_dir
@@ -33,8 +34,8 @@ VERSION = "WARC/1.1"
 ROLL_BYTES = 256 << 20
 RANGE_BYTES = 64 << 20
 SAMPLES = 64
-#: Ranges at most; beyond it they hold more bytes, and roll more files each.
-RANGES = 4096
+#: Ranges at most; beyond it they hold more bytes, and roll more files each. Their boundaries are literals in the plan, looked up in two steps of FAN.
+RANGES, FAN = 65_536, 256
 LEVEL = 4
 #: References up to this many rows (some 50 bytes each) are broadcast; more are joined.
 BROADCAST_ROWS = 200_000
@@ -110,22 +111,56 @@ def boundaries(table: DataFrame, range_bytes: int) -> list[tuple[int | None, str
     return sorted({keys[len(keys) * k // parts] for k in range(1, parts)}) if keys else []
 
 
+def range_of(edges: list[tuple[int | None, str]]) -> F.Column:
+    """The number of edges at or below (page_id, digest)."""
+    if not edges:
+        return F.lit(0)
+    kind, key = "struct<page_id:bigint,digest:string>", F.struct(F.col("page_id"), F.col("digest"))
+    own = [[{"page_id": p, "digest": d} for p, d in edges[k : k + FAN]] for k in range(0, len(edges), FAN)]
+    below = lambda held: F.size(F.filter(held, lambda x: x <= key))
+    group = below(F.from_json(F.lit(json.dumps([g[0] for g in own])), f"array<{kind}>"))
+    within = below(F.element_at(F.from_json(F.lit(json.dumps(own)), f"array<array<{kind}>>"), group))
+    return F.when(group == 0, 0).otherwise((group - 1) * FAN + within)
+
+
+def lanes(spark: SparkSession, n: int) -> list[int]:
+    """For each of n partitions a number that Spark's hash deals to it: then repartition gives each range a task of its own."""
+    found: dict[int, int] = {}
+    low, step = 0, 16 * n + 64
+    while len(found) < n:
+        drawn = spark.range(low, low + step).select(F.pmod(F.hash("id"), F.lit(n)).alias("to"), "id").groupBy("to").agg(F.min("id"))
+        for to, first in drawn.collect():
+            found.setdefault(to, first)
+        low += step
+    return [found[k] for k in range(n)]
+
+
+def with_first(rows: DataFrame, first: DataFrame) -> DataFrame:
+    """Adds least and repeated. Payloads of many rows are few, and broadcast; only the others are joined by their digest."""
+    many = first.count()
+    if many <= BROADCAST_ROWS:
+        return rows.join(F.broadcast(first.drop("n")), "digest", "left")
+    total = first.agg(F.sum("n")).first()[0]
+    hot = F.col("n") * (BROADCAST_ROWS // 4) >= total  # BROADCAST_ROWS / 4 at most
+    rows = rows.join(F.broadcast(first.where(hot).select("digest", F.col("least").alias("_l"), F.col("repeated").alias("_r"))), "digest", "left")
+    rows = rows.withColumn("_key", F.when(F.col("_r").isNull(), F.col("digest")).otherwise(F.concat(F.lit("-"), F.xxhash64("page_id", "url").cast("string"))))
+    rows = rows.join(first.where(~hot).select(F.col("digest").alias("_key"), "least", "repeated"), "_key", "left")
+    return rows.withColumn("least", F.coalesce("least", "_l")).withColumn("repeated", F.coalesce("repeated", "_r")).drop("_key", "_l", "_r")
+
+
 def write_warc(pages: DataFrame, root: str, roll_bytes: int = ROLL_BYTES, range_bytes: int = RANGE_BYTES, floor: int = 0, level: int = LEVEL) -> DataFrame:
     """Write all rows of pages(page_id, url, html) under root; the committed manifest. Payloads of fewer than `floor` bytes are all responses."""
     spark = pages.sparkSession
     table = materialise(digests(pages))
     edges = boundaries(table, range_bytes)
     groups = table.where(F.col("payload_bytes") >= floor).groupBy("digest").agg(F.count(F.lit(1)).alias("n"), F.min("page_id").alias("least"))
-    first = materialise(groups.where("n > 1").select("digest", "least", F.lit(True).alias("repeated")))
-    key = F.struct(F.col("page_id"), F.col("digest"))
-    bounds = F.array(*[F.struct(F.lit(p).cast("bigint").alias("page_id"), F.lit(d).alias("digest")) for p, d in edges])
-    part = F.size(F.filter(bounds, lambda x: x <= key)) if edges else F.lit(0)
+    first = materialise(groups.where("n > 1").select("digest", "n", "least", F.lit(True).alias("repeated")))
     payload = F.coalesce(F.col("html"), F.lit(""))
     rows = pages.select("page_id", F.coalesce(F.col("url"), F.lit("")).alias("url"), payload.alias("html"), F.sha1(payload).alias("digest"))
-    rows = rows.join(F.broadcast(first) if first.count() <= BROADCAST_ROWS else first, "digest", "left")
-    rows = rows.withColumn("part", part.cast("int"))
-    # A key of (part) only: ranges are as many as tasks, and AQE may not merge them.
-    rows = rows.repartition(len(edges) + 1, "part").sortWithinPartitions("part", F.col("page_id").asc_nulls_first(), "digest", "url")
+    rows = with_first(rows, first).withColumn("part", range_of(edges).cast("int"))
+    # One range a task. With a number given AQE may not merge them.
+    lane = F.element_at(F.from_json(F.lit(json.dumps(lanes(spark, len(edges) + 1))), "array<bigint>"), F.col("part") + 1)
+    rows = rows.repartition(len(edges) + 1, lane).sortWithinPartitions("part", F.col("page_id").asc_nulls_first(), "digest", "url")
     rows = rows.select("page_id", "url", "html", "digest", "least", "repeated", "part")
 
     def run(batches: Iterator[pa.RecordBatch]):
@@ -214,7 +249,7 @@ def read_warc(manifest: DataFrame, root: str, with_payload: bool = False) -> Dat
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(list(x), t) for x, t in zip(zip(*rows, strict=True), types, strict=False)], names=names)
 
-    return mapped(manifest.select("page_file").repartition(max(1, manifest.count()), "page_file"), run, kinds)
+    return mapped(manifest.select("page_file").coalesce(1).repartition(max(1, manifest.count())), run, kinds)
 
 
 def round_trip(pages: DataFrame, root: str | None = None, **options) -> DataFrame:
