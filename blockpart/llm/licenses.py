@@ -1,8 +1,14 @@
 """License scans: sparse TF-IDF cosine to templates, then inheritance from the nearest ancestor directory.
 
-Terms are lower-cased words. Document frequencies of the templates' terms are counted over all texts; other terms weigh as if in
-none. A text is compared line by line, and within longer lines by windows as long as a template from each place of the template's
-first word; whole texts are scanned. The best cosine of at least THRESHOLD gives the text's own licence (ties: the name that sorts first).
+Terms are words of ASCII letters and digits (and what stands beside them beyond ASCII, punctuation excepted), lower-cased; line ends do not part them, so
+wrapped notices and comment signs do no harm. Document frequencies of the templates' terms are counted over all texts; other terms weigh as if in none.
+
+Every window of a text, from every place, of three quarters of, as many as, or five quarters of a template's terms (or the whole of a shorter text) is
+compared with the template. Two bounds save work and lose nothing: a cosine c needs shared terms that hold c squared of the template's squared norm, which is
+looked up for a whole batch of texts by one matrix product; and a window's cosine is at most its exact dot product over the norm it would have if no term were
+repeated, both differences of prefix sums, so windows are scored only while that can still win. The best cosine of at least THRESHOLD gives the text's own
+licence (ties: the longer template, then the name that sorts first). Below THRESHOLD the score is 0.
+
 Files named LICENSE, LICENCE, COPYING or UNLICENSE (any extension) speak for their directory. A file without a licence of its own takes that of the
 nearest directory above it that has one: directories, not files, are joined with their ancestors, and files with their directory.
 
@@ -20,30 +26,28 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockpart.llm.common import ALNUM, LOWER, WordHash, byte_view, mapped, materialise, row_slices, word_spans
+from blockpart.llm.common import ALNUM, LOWER, WordHash, byte_view, give_back, mapped, materialise, row_slices, word_spans
 
 THRESHOLD = 0.75
 #: Notices as they are commonly written: fixed values.
 TEMPLATES = {
-    "AGPL-3.0": ("Licensed under the GNU Affero General Public License, version 3.", "This program is licensed under the GNU Affero General Public License"),
-    "Apache-2.0": ("Licensed under the Apache License, Version 2.0.", "Licensed under the Apache License, Version 2.0 (the License); you may not use this file except in compliance with the License.", "SPDX-License-Identifier: Apache-2.0"),
-    "BSD-2-Clause": ("Released under the BSD 2-Clause License.", "SPDX-License-Identifier: BSD-2-Clause"),
-    "BSD-3-Clause": ("Released under the BSD 3-Clause License.", "SPDX-License-Identifier: BSD-3-Clause"),
+    "AGPL-3.0": ("Licensed under the GNU Affero General Public License, version 3.", "This program is licensed under the GNU Affero General Public License", "GNU AFFERO GENERAL PUBLIC LICENSE Version 3, 19 November 2007"),
+    "Apache-2.0": ("Licensed under the Apache License, Version 2.0.", "Licensed under the Apache License, Version 2.0 (the License); you may not use this file except in compliance with the License.", "SPDX-License-Identifier: Apache-2.0", "Apache License Version 2.0, January 2004 http://www.apache.org/licenses/"),
+    "BSD-2-Clause": ("Released under the BSD 2-Clause License.", "SPDX-License-Identifier: BSD-2-Clause", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met"),
+    "BSD-3-Clause": ("Released under the BSD 3-Clause License.", "SPDX-License-Identifier: BSD-3-Clause", "Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission."),
     "CC-BY-4.0": ("Licensed under CC BY 4.0.", "This work is licensed under a Creative Commons Attribution 4.0 International License."),
     "CC-BY-NC-4.0": ("Licensed under CC BY-NC 4.0.", "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License."),
     "CC-BY-SA-4.0": ("Licensed under CC BY-SA 4.0.", "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License."),
-    "CC0-1.0": ("Dedicated to the public domain under CC0 1.0.", "SPDX-License-Identifier: CC0-1.0"),
-    "GPL-2.0": ("This work is licensed under the GNU General Public License, version 2.", "SPDX-License-Identifier: GPL-2.0-only"),
-    "GPL-3.0": ("This work is licensed under the GNU General Public License, version 3.", "SPDX-License-Identifier: GPL-3.0-or-later"),
-    "ISC": ("Released under the ISC License.", "SPDX-License-Identifier: ISC"),
-    "LGPL-3.0": ("This library is licensed under the GNU Lesser General Public License, version 3.", "SPDX-License-Identifier: LGPL-3.0-or-later"),
+    "CC0-1.0": ("Dedicated to the public domain under CC0 1.0.", "SPDX-License-Identifier: CC0-1.0", "Creative Commons CC0 1.0 Universal"),
+    "GPL-2.0": ("This work is licensed under the GNU General Public License, version 2.", "SPDX-License-Identifier: GPL-2.0-only", "GNU GENERAL PUBLIC LICENSE Version 2, June 1991"),
+    "GPL-3.0": ("This work is licensed under the GNU General Public License, version 3.", "SPDX-License-Identifier: GPL-3.0-or-later", "GNU GENERAL PUBLIC LICENSE Version 3, 29 June 2007"),
+    "ISC": ("Released under the ISC License.", "SPDX-License-Identifier: ISC", "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies."),
+    "LGPL-3.0": ("This library is licensed under the GNU Lesser General Public License, version 3.", "SPDX-License-Identifier: LGPL-3.0-or-later", "GNU LESSER GENERAL PUBLIC LICENSE Version 3, 29 June 2007"),
     "MIT": ("Released under the MIT License.", "Licensed under the MIT License.", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files", "SPDX-License-Identifier: MIT"),
-    "MPL-2.0": ("This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.", "SPDX-License-Identifier: MPL-2.0"),
+    "MPL-2.0": ("This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.", "SPDX-License-Identifier: MPL-2.0", "Mozilla Public License Version 2.0"),
     "Unlicense": ("This is free and unencumbered software released into the public domain.",),
 }
 TERM = re.compile(r"[^\W_]+")
-#: Every template holds one of these words, and so does any text at THRESHOLD from it.
-HINT = r"(?i)licen[sc]e|spdx|permission|public domain"
 FILE = r"(?i)^(un)?(licen[sc]e|copying)(\.[^/]*)?$"
 
 
@@ -55,29 +59,43 @@ def template_terms() -> list[str]:
     return sorted({t for notices in TEMPLATES.values() for n in notices for t in terms(n)})
 
 
+class Terms:
+    """Finds the terms of texts, and the number in the templates' vocabulary of each (-1: none)."""
+
+    def __init__(self):
+        self.vocabulary, self.hashes = template_terms(), WordHash()
+        raw, end = np.frombuffer("".join(self.vocabulary).encode(), np.uint8), np.cumsum([len(t) for t in self.vocabulary])
+        keys = self.hashes(raw, end - [len(t) for t in self.vocabulary], end)
+        self.order = np.argsort(keys)
+        self.keys = keys[self.order]
+
+    def __call__(self, part: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Of texts end to end in part: each term's hash and number, and per text its first term (n + 1)."""
+        flag = ALNUM[part]
+        if len(part) > 2:  # general punctuation: U+2000 to U+206F
+            mark = np.flatnonzero((part[:-2] == 0xE2) & ((part[1:-1] == 0x80) | (part[1:-1] == 0x81)))
+            for k in range(3):
+                flag[mark + k] = False
+        start, stop, first = word_spans(flag, at)
+        own = self.hashes(LOWER[part], start, stop)
+        place = np.minimum(np.searchsorted(self.keys, own), len(self.keys) - 1)
+        return own, np.where(self.keys[place] == own, self.order[place], -1), first
+
+
 def frequencies(files: DataFrame) -> tuple[int, dict[str, int]]:
-    """The number of texts, and of texts that hold each template term (by Unicode-blind words, as all template terms are ASCII)."""
+    """The number of texts, and of texts that hold each template term."""
     vocabulary = template_terms()
 
     def run(batches):
-        hashes = WordHash()
-        raw = np.frombuffer("".join(vocabulary).encode(), np.uint8)
-        end = np.cumsum([len(t) for t in vocabulary])
-        keys = hashes(raw, end - [len(t) for t in vocabulary], end)
-        order = np.argsort(keys)
+        find = Terms()
         total, many = np.zeros(len(vocabulary), np.int64), 0
         for batch in batches:
             data, at = byte_view(batch.column(0))
             many += batch.num_rows
             for a, b in row_slices(at):
-                part = data[at[a] : at[b]]
-                start, stop, first = word_spans(ALNUM[part], at[a : b + 1] - at[a])
-                if len(start):
-                    own = hashes(LOWER[part], start, stop)
-                    place = order[np.minimum(np.searchsorted(keys[order], own), len(keys) - 1)]
-                    hit = keys[place] == own
-                    doc = np.repeat(np.arange(b - a), np.diff(first))[hit]
-                    total += np.bincount(np.unique(doc * len(keys) + place[hit]) % len(keys), minlength=len(keys))
+                _, number, first = find(data[at[a] : at[b]], at[a : b + 1] - at[a])
+                doc = np.repeat(np.arange(b - a), np.diff(first))[number >= 0]
+                total += np.bincount(np.unique(doc * len(vocabulary) + number[number >= 0]) % len(vocabulary), minlength=len(vocabulary))
         yield pa.RecordBatch.from_arrays([pa.array([-1, *range(len(vocabulary))]), pa.array([many, *total.tolist()])], names=["term", "n"])
 
     rows = dict(mapped(files.select("text"), run, "term bigint, n bigint").groupBy("term").agg(F.sum("n")).collect())
@@ -85,39 +103,63 @@ def frequencies(files: DataFrame) -> tuple[int, dict[str, int]]:
 
 
 class Matcher:
-    def __init__(self, n: int, known: dict[str, int]):
+    def __init__(self, n: int, known: dict[str, int], threshold: float = THRESHOLD):
+        self.find, self.threshold = Terms(), threshold
         self.rare = math.log(1 + n) + 1
-        self.idf = {t: math.log((1 + n) / (1 + d)) + 1 for t, d in known.items()}
-        self.templates = []
-        for name, notices in sorted(TEMPLATES.items()):
+        self.idf = np.array([math.log((1 + n) / (1 + known[t])) + 1 for t in self.find.vocabulary])
+        place = {t: i for i, t in enumerate(self.find.vocabulary)}
+        rows = []
+        for name, notices in TEMPLATES.items():
             for notice in notices:
                 own = terms(notice)
-                self.templates.append((name, own[0], len(own), *self.vector(own)))
-
-    def vector(self, own: list[str]) -> tuple[dict[str, float], float]:
-        counts: dict[str, int] = {}
-        for t in own:
-            counts[t] = counts.get(t, 0) + 1
-        weights = {t: c * self.idf.get(t, self.rare) for t, c in counts.items()}
-        return weights, math.sqrt(sum(w * w for w in weights.values()))
-
-    def cosine(self, own: list[str], weights: dict[str, float], norm: float) -> float:
-        mine, size = self.vector(own)
-        return sum(w * weights[t] for t, w in mine.items() if t in weights) / (size * norm) if size else 0.0
-
-    def best(self, text: str) -> tuple[str | None, float]:
-        found: tuple[str | None, float] = (None, 0.0)
-        for line in text.split("\n"):
-            if not re.search(HINT, line):
-                continue
-            own = terms(line)
-            for name, head, n, weights, norm in self.templates:
-                tries = [own] if len(own) <= 2 * n else []
-                tries += [own[k : k + n] for k, t in enumerate(own) if t == head]
-                score = max((self.cosine(x, weights, norm) for x in tries), default=0.0)
-                if score > found[1] + 1e-12:
-                    found = name, score
-        return found if found[1] >= THRESHOLD else (None, round(found[1], 9))
+                weight = np.bincount([place[t] for t in own], minlength=len(place)) * self.idf
+                rows.append((-len(own), name, weight / math.sqrt(weight @ weight)))
+        # The longest first, then by name: the first of equal scores wins.
+        self.templates = sorted(rows, key=lambda r: r[:2])
+        self.weights = np.array([w for _, _, w in self.templates])
+
+    def cosine(self, hashes: np.ndarray, number: np.ndarray, weight: np.ndarray) -> float:
+        """Of one window's terms with a template."""
+        other = number < 0
+        count = np.bincount(number[~other], minlength=len(weight)) * self.idf
+        strange = np.unique(hashes[other], return_counts=True)[1] * self.rare
+        size = math.sqrt(count @ count + strange @ strange)
+        return float(count @ weight) / size if size else 0.0
+
+    def window(self, hashes: np.ndarray, number: np.ndarray, n: int, weight: np.ndarray, least: float) -> float:
+        """The best cosine of a window if it is over `least`, else 0."""
+        known = number >= 0
+        idf = np.where(known, self.idf[number], self.rare)
+        dot = np.concatenate([[0.0], np.cumsum(np.where(known, self.idf[number] * weight[number], 0.0))])
+        norm = np.concatenate([[0.0], np.cumsum(idf * idf)])
+        best = least
+        for size in sorted({min(len(number), s) for s in (n, -(-3 * n // 4), 5 * n // 4)}):
+            bound = (dot[size:] - dot[:-size]) / np.sqrt(norm[size:] - norm[:-size])
+            some = np.flatnonzero(bound > best + 1e-9)
+            for k in some[np.argsort(-bound[some], kind="stable")].tolist():
+                if bound[k] <= best + 1e-9:
+                    break
+                best = max(best, self.cosine(hashes[k : k + size], number[k : k + size], weight))
+        return best if best > least else 0.0
+
+    def best(self, texts: pa.Array) -> list[tuple[str | None, float]]:
+        data, at = byte_view(texts)
+        out: list[tuple[str | None, float]] = []
+        for a, b in row_slices(at):
+            hashes, number, first = self.find(data[at[a] : at[b]], at[a : b + 1] - at[a])
+            doc = np.repeat(np.arange(b - a), np.diff(first))
+            held = np.zeros((b - a, len(self.idf)), np.float32)
+            held[doc[number >= 0], number[number >= 0]] = 1
+            hopeful = held @ (self.weights * self.weights).T.astype(np.float32) >= self.threshold**2 - 1e-5
+            found: dict[int, tuple[str, float]] = {}
+            for d, t in zip(*(x.tolist() for x in np.nonzero(hopeful)), strict=True):
+                size, name, weight = self.templates[t]
+                own = slice(first[d], first[d + 1])
+                score = self.window(hashes[own], number[own], -size, weight, max(self.threshold - 1e-9, found.get(d, ("", 0.0))[1]))
+                if score:
+                    found[d] = name, score
+            out += [(found[d][0], round(found[d][1], 9)) if d in found else (None, 0.0) for d in range(b - a)]
+        return out
 
 
 def own_licenses(files: DataFrame) -> DataFrame:
@@ -128,13 +170,11 @@ def own_licenses(files: DataFrame) -> DataFrame:
     def run(batches):
         matcher = Matcher(n, known)
         for batch in batches:
-            found = [matcher.best(t.as_py()) for t in batch.column(0)]
+            found = matcher.best(batch.column(0))
             yield pa.RecordBatch.from_arrays([*batch.columns[1:], pa.array([f[0] for f in found], pa.string()), pa.array([f[1] for f in found], pa.float64())], names=[*batch.schema.names[1:], "own", "score"])
+        give_back()
 
-    hint = F.coalesce(F.col("text").rlike(HINT), F.lit(False))
-    columns = [F.col(f"`{f.name}`") for f in rest]
-    some = mapped(files.where(hint).select("text", *columns), run, ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rest), "own string, score double"]))
-    return some.unionByName(files.where(~hint).select(*columns, F.lit(None).cast("string").alias("own"), F.lit(0.0).alias("score")))
+    return mapped(files.select("text", *[F.col(f"`{f.name}`") for f in rest]), run, ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rest), "own string, score double"]))
 
 
 def inherited(found: DataFrame) -> DataFrame:
