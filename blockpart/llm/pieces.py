@@ -183,13 +183,13 @@ class PieceTables:
 
 
 class Encoder:
-    """Encodes texts unit by unit. Units that fit a window are solved side by side, longer ones by the streaming pass."""
+    """Encodes texts unit by unit. Units of at most one piece's length, which a window holds whole, are solved side by side; all longer ones go through the streaming pass."""
 
     def __init__(self, vocabulary: Vocabulary, memo: int = MEMO):
         self.vocabulary, self.most, self.memo, self.tables = vocabulary, memo, {}, PieceTables(vocabulary)
 
     def solve(self, units: list[str]) -> None:
-        """Put the ids of units of at most two piece lengths into the memo: the pass of streaming_viterbi, one place of all units after another."""
+        """Put the ids of units of at most one piece's length into the memo: the pass of streaming_viterbi, one place of all units after another."""
         t = self.tables
         units.sort(key=len, reverse=True)
         size, code, hashed = t.prefixes(units)
@@ -252,7 +252,7 @@ class Encoder:
         memo, out = self.memo, []
         own = [self.units(t) if t else [] for t in texts]
         new = {u for units in own for u in units if u not in memo}
-        window = 2 * self.vocabulary.longest
+        window = self.vocabulary.longest
         long = {u for u in new if len(u) > window}
         if rest := list(new - long):
             for k in range(0, len(rest), 20_000):

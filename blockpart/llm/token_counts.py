@@ -4,8 +4,8 @@ The pre-tokens of a portion of texts (units as in the encoder) are sorted, which
 rows at each depth. Forward scores and piece counts are computed once per node from those of its ancestors; a pre-token's count is
 that of its terminal node, and a text's the sum over its pre-tokens. Counts equal the numbers of ids that encoding yields.
 
-Results for odd input: a null text has null tokens, an empty one 0; repeated rows repeat; long pre-tokens make a deep trie of their
-own, by the streaming pass; an empty table gives no row; other columns are not read.
+Results for odd input: a null text has null tokens, an empty one 0; repeated rows repeat; pre-tokens longer than
+two pieces, which share next to no prefix, are counted by the streaming pass of the encoder; an empty table gives no row; other columns are not read.
 """
 
 from __future__ import annotations
@@ -14,7 +14,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from blockpart.llm.common import mapped
+from blockpart.llm.common import give_back, mapped, portions
 from blockpart.llm.pieces import ESCAPED, MEMO, NEVER, SPACE, VOCABULARY, Encoder, PieceTables, Vocabulary, read_model, streaming_viterbi
 
 
@@ -99,8 +99,7 @@ def token_counts(docs: DataFrame, vocabulary: str = VOCABULARY, keep: str = "doc
             _READY.clear()
             _READY[key] = Counter(Vocabulary(shared.value))
         for batch in batches:
-            for k in range(0, batch.num_rows, 2000):
-                part = batch.slice(k, 2000)
+            for part in portions(batch, 1):
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(_READY[key].counts(part.column(1).to_pylist()), pa.int64())], names=[keep, "n_tokens"])
 
     return mapped(docs.select(keep, "text"), run, f"{keep} {docs.schema[keep].dataType.simpleString()}, n_tokens bigint")
