@@ -30,6 +30,8 @@ from blockpart.llm.common import byte_view, mapped, materialise
 UNIT = 192
 MCU = 384
 WIDE = 64
+#: MCUs of a column at most, as the format has 16 bits for a height: higher pictures grow wide instead.
+HIGH = 4095
 BANDS = ((1, 5), (6, 63))
 DC_BITS = 8
 
@@ -80,7 +82,7 @@ def pad(raw: bytes) -> bytes:
 def encode(payload: bytes) -> bytes:
     """A progressive JPEG whose coefficients are the payload's bytes."""
     mcus = -(-len(payload) // MCU)
-    high = -(-mcus // WIDE)
+    high = -(-mcus // max(WIDE, -(-mcus // HIGH)))
     wide = -(-mcus // high)
     n = wide * high
     data = np.zeros(n * MCU, np.uint8)
