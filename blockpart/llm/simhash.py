@@ -19,10 +19,10 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from blockpart.llm.common import LOWER, SOLID, byte_view, forget, give_back, hot_share, mapped, materialise, portions, row_slices, word_spans
+from blockpart.llm.common import LOWER, SOLID, byte_view, forget, give_back, hot_share, mapped, materialise, portions, ranges, row_slices, word_spans
 
 BITS = 64
 BUDGET = 2
@@ -30,6 +30,8 @@ SHINGLE = 3
 SEED = 42
 #: Pairs of nodes that go down together at a time.
 FRONT = 1 << 20
+#: Fingerprints of a task at about most (some 300 bytes each with the counts of their bits).
+PORTION_ROWS = 1 << 20
 
 
 def _bits(low: int, high: int) -> int:
@@ -79,32 +81,36 @@ def shingle_hashes(texts: pa.Array, shingle: int = SHINGLE, seed: int = SEED) ->
         yield a, b, np.fromiter((digest(raw[x:y], seed) for x, y in cuts), np.uint64, len(doc)), doc, many
 
 
+def majority(hashes: np.ndarray, doc: np.ndarray, many: np.ndarray) -> np.ndarray:
+    """The fingerprint of each row: bits set in over half of its hashes."""
+    ones = np.zeros((len(many), BITS), np.int64)
+    for k in range(0, len(doc), 1 << 17):
+        own = doc[k : k + (1 << 17)]
+        bits = np.unpackbits(hashes[k : k + (1 << 17)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
+        border = np.flatnonzero(np.concatenate([[True], own[1:] != own[:-1]]))
+        ones[own[border]] += np.add.reduceat(bits, border, axis=0, dtype=np.int64)
+    return np.packbits(ones * 2 > many[:, None], axis=1, bitorder="little").view(np.uint64).reshape(-1)
+
+
 def fingerprints(texts: pa.Array, shingle: int = SHINGLE, seed: int = SEED) -> np.ndarray:
     out = np.zeros(len(texts), np.uint64)
     for a, b, hashes, doc, many in shingle_hashes(texts, shingle, seed):
-        ones = np.zeros((b - a, BITS), np.int64)
-        for k in range(0, len(doc), 1 << 17):
-            own = doc[k : k + (1 << 17)]
-            bits = np.unpackbits(hashes[k : k + (1 << 17)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
-            border = np.flatnonzero(np.concatenate([[True], own[1:] != own[:-1]]))
-            ones[own[border]] += np.add.reduceat(bits, border, axis=0, dtype=np.int64)
-        most = np.packbits(ones * 2 > many[:, None], axis=1, bitorder="little")
-        out[a:b] = most.view(np.uint64).reshape(-1)
+        out[a:b] = majority(hashes, doc, many)
     return out
 
 
 def fingerprint_table(docs: DataFrame, shingle: int = SHINGLE, seed: int = SEED) -> DataFrame:
-    """doc_id and fp (the 64 bits as a signed long) of each row."""
+    """doc_id, copy (the MD5 sum of the text) and fp (the 64 bits as a signed long) of each row."""
 
     def run(batches):
         for batch in batches:
             for part in portions(batch, 1):
                 fp = fingerprints(part.column(1), shingle, seed)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fp.view(np.int64))], names=["doc_id", "fp"])
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array(fp.view(np.int64))], names=["doc_id", "copy", "fp"])
         give_back()
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return mapped(docs.select("doc_id", "text"), run, f"doc_id {kind}, fp bigint")
+    return mapped(docs.select("doc_id", "text", copy_key().alias("copy")), run, f"doc_id {kind}, copy binary, fp bigint")
 
 
 def trie_pairs(fp: np.ndarray, lead: int, earlier: list[int], budget: int = BUDGET):
@@ -114,30 +120,46 @@ def trie_pairs(fp: np.ndarray, lead: int, earlier: list[int], budget: int = BUDG
     border = np.flatnonzero(np.concatenate([[True], head[1:] != head[:-1]])) if n else np.zeros(0, np.int64)
     stop = np.append(border[1:], n)
     many = stop - border > 1
-    rest = [i for i in range(BITS - 1, -1, -1) if not lead >> i & 1]
+    a, b = border[many], stop[many]
+    for i, j in node_pairs(fp, [i for i in range(BITS - 1, -1, -1) if not lead >> i & 1], a, b, a, b, budget):
+        good = np.ones(len(i), bool)
+        for mask in earlier:
+            good &= ((fp[i] ^ fp[j]) & np.uint64(mask)) != 0
+        if good.any():
+            yield i[good], j[good]
+
+
+def node_pairs(fp: np.ndarray, rest: list[int], alo: np.ndarray, ahi: np.ndarray, blo: np.ndarray, bhi: np.ndarray, budget: int):
+    """Index pairs at `budget` or fewer differing bits, in portions, between tries that go down together: rows alo:ahi with rows blo:bhi, each range
+    sorted by the bits `rest` from the first on. A range with itself gives each pair once; two ranges must else be apart."""
+    n = len(fp)
     ones = []
     for i in rest:
         count = np.zeros(n + 1, np.int32)
         np.cumsum((fp >> np.uint64(i)) & np.uint64(1), out=count[1:])
         ones.append(count)
-    a, b = border[many], stop[many]
-    stack = [(0, a, b, a, b, np.zeros(len(a), np.int8))]
+    stack = [(0, alo, ahi, blo, bhi, np.zeros(len(alo), np.int8))]
     while stack:
         level, alo, ahi, blo, bhi, apart = stack.pop()
         if len(alo) > FRONT:
             half = len(alo) // 2
             stack += [(level, *(x[:half] for x in (alo, ahi, blo, bhi, apart))), (level, *(x[half:] for x in (alo, ahi, blo, bhi, apart)))]
             continue
-        single = (ahi - alo == 1) & (bhi - blo == 1)
         if level == len(rest):
-            single[:] = True
+            # Equal fingerprints below each node: every pair of theirs.
+            each = ahi - alo
+            alo, blo, bhi = ranges(alo, each), np.repeat(blo, each), np.repeat(bhi, each)
+            within = (alo >= blo) & (alo < bhi)
+            blo = np.where(within, alo + 1, blo)
+            i, j = np.repeat(alo, bhi - blo), ranges(blo, bhi - blo)
+            if len(i):
+                yield i, j
+            continue
+        single = (ahi - alo == 1) & (bhi - blo == 1)
         if single.any():
             i, j = alo[single], blo[single]
             i, j = i[i != j], j[i != j]
-            differ = fp[i] ^ fp[j]
-            good = np.bitwise_count(differ) <= budget
-            for mask in earlier:
-                good &= (differ & np.uint64(mask)) != 0
+            good = np.bitwise_count(fp[i] ^ fp[j]) <= budget
             if good.any():
                 yield i[good], j[good]
             alo, ahi, blo, bhi, apart = (x[~single] for x in (alo, ahi, blo, bhi, apart))
@@ -174,7 +196,9 @@ def trie_links(distinct: DataFrame, budget: int = BUDGET) -> DataFrame:
         raise ValueError(f"the tries' leading bits hold every link of {BUDGET} differing bits, not of {budget}")
     lead = F.array(*[F.lit(m - (1 << 64) if m >> 63 else m).cast("bigint") for m, _ in MASKS])
     dealt = distinct.select("fp", "copies", F.posexplode(lead).alias("trie", "mask")).select("fp", "copies", F.col("trie").cast("int"), F.col("fp").bitwiseAND(F.col("mask")).alias("head"))
-    dealt = dealt.repartition(hot_share(distinct.sparkSession), F.xxhash64("trie", "head")).select("fp", "copies", "trie")
+    # A task holds its whole portion, so portions grow in number with the rows.
+    portions_ = max(hot_share(distinct.sparkSession), -(-distinct.count() * len(MASKS) // PORTION_ROWS))
+    dealt = dealt.repartition(portions_, F.xxhash64("trie", "head")).select("fp", "copies", "trie")
 
     def run(batches):
         got = [(b.column(0).to_numpy(), b.column(1).to_numpy(), b.column(2).to_numpy()) for b in batches]
@@ -234,9 +258,29 @@ def near_duplicates(docs: DataFrame, shingle: int = SHINGLE, budget: int = BUDGE
     return table.join(materialise(known), "fp", "left").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id", "links")
 
 
-def one_of_each(docs: DataFrame, **options) -> DataFrame:
-    """The documents, same columns, with one of each component: that with the least doc_id, once. Rows without doc_id stay."""
-    found = near_duplicates(docs, **options)
-    kept = materialise(found.where("doc_id = component_id").select("doc_id").distinct())
-    own = docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*docs.columns)
-    return own.unionByName(docs.where("doc_id is null"))
+def one_row_of_each(docs: DataFrame, classes: DataFrame) -> DataFrame:
+    """The documents, same columns, with one row of each class: that of the least doc_id (none comes last), then of the least MD5 sum of its text.
+
+    classes(doc_id, copy, root): copy is the MD5 sum, and rows of one doc_id and text may repeat. Rows of other texts under one doc_id stay apart.
+    """
+    key = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "copy")
+    kept = classes.groupBy("root").agg(F.min(key).alias("k")).select(F.col("k.doc_id").alias("_id"), F.col("k.copy").alias("_kept"))
+    names = {c: f"_own_{i}" for i, c in enumerate(docs.columns)}
+    own = docs.select(*[F.col(f"`{c}`").alias(n) for c, n in names.items()], copy_key().alias("_copy"))
+    ident = F.col(names["doc_id"])
+    found = own.join(materialise(kept), (F.col("_copy") == F.col("_kept")) & ident.eqNullSafe(F.col("_id")), "left_semi").dropDuplicates([names["doc_id"], "_copy"])
+    return found.select(*[F.col(n).alias(c) for c, n in names.items()])
+
+
+def copy_key() -> Column:
+    return F.unhex(F.md5(F.coalesce("text", F.lit(""))))
+
+
+def one_of_each(docs: DataFrame, shingle: int = SHINGLE, budget: int = BUDGET, seed: int = SEED) -> DataFrame:
+    """The documents, same columns, with one row of each component."""
+    table = materialise(fingerprint_table(docs, shingle, seed))
+    distinct = materialise(table.groupBy("fp").agg(F.count(F.lit(1)).alias("copies"), F.min("doc_id").alias("least")))
+    stars = materialise(trie_links(distinct, budget))
+    roots = components(stars.select(F.col("fp").alias("u"), F.col("root").alias("v"))).withColumnRenamed("node", "fp")
+    classes = table.join(roots, "fp", "left").select("doc_id", "copy", F.coalesce("root", "fp").alias("root"))
+    return one_row_of_each(docs, classes)

@@ -197,6 +197,42 @@ def test_pipeline_links_every_near_copy(spark):
         simhash.near_duplicates(docs, budget=3).count()
 
 
+def test_near_copies_of_a_group_in_blocks(spark, monkeypatch):
+    """A group of texts around the similarity, far more than a block holds: the same classes as by brute force."""
+    for name, few in (("BLOCK_ROWS", 8), ("HELD", 500), ("COMPARED", 3000)):
+        monkeypatch.setattr(nearcopies, name, few)
+    rng = np.random.default_rng(5)
+    base = [f"w{x}" for x in rng.integers(0, 900, 120)]
+    texts = []
+    for k in range(90):
+        own = base.copy()
+        for i in rng.choice(len(own), int(rng.integers(1, 9)), replace=False):
+            own[i] = f"v{rng.integers(0, 9000)}"
+        texts.append(" ".join(own))
+    sets = [shingle_set(t) for t in texts]
+    label = list(range(len(texts)))
+    linked = [(a, b) for a in range(len(sets)) for b in range(a) if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])]
+    for _ in texts:
+        for a, b in linked:
+            label[a] = label[b] = min(label[a], label[b])
+    assert len(set(label)) > 3
+    assert dict(nearcopies.near_copies(docs_of(spark, texts)).collect()) == dict(enumerate(label))
+
+
+def test_near_copies_lose_no_text_of_a_shared_id(spark):
+    texts = ["a b c d e f g", "h i j k l m n", "h i j k l m n", "o p q r s t u", None, " ", "o p q r s t u"]
+    docs = docs_of(spark, texts, [1, 1, 1, 2, 3, None, None]).selectExpr("*", "1 `a.b`", "2 items", "3 hits", "4 copy", "5 root", "6 node")
+    for module in (nearcopies, simhash):
+        kept = module.one_of_each(docs)
+        assert kept.columns == docs.columns
+        assert sorted((r["doc_id"], r["text"]) for r in kept.collect()) == [(1, texts[0]), (1, texts[1]), (2, texts[3]), (3, None)]
+    from blockpart.llm import decontam, langid, pii
+
+    bench = spark.createDataFrame([("x", "a b c d e f g")], "item_id string, text string")
+    assert decontam.cleaned(docs, bench).columns == docs.columns and pii.protected(docs).columns == docs.columns and langid.identified(docs).columns == docs.columns
+    assert decontam.cleaned(docs, bench).count() == len(texts) - 1
+
+
 # ---- op 4 ------------------------------------------------------------------------------------------------------------
 
 def test_warc_round_trip(spark, tmp_path):
@@ -222,6 +258,27 @@ def test_warc_round_trip(spark, tmp_path):
     assert warc.round_trip(pages.where("false"), f"file://{tmp_path}/none").count() == 0
 
 
+def test_each_range_has_a_lane(spark):
+    for n in (1, 7, 40):
+        own = warc.lanes(spark, n)
+        got = spark.createDataFrame([(x,) for x in own], "x bigint").repartition(n, "x").selectExpr("x", "spark_partition_id() as p").collect()
+        assert len({r["p"] for r in got}) == n
+    edges = sorted((int(k), f"{k:x}") for k in np.random.default_rng(1).integers(-50, 10**12, 700))
+    rows = spark.createDataFrame([(None, "a"), (-99, "0"), (edges[300][0], edges[300][1]), (edges[300][0], ""), (2 * 10**12, "f")], "page_id bigint, digest string")
+    assert [r[0] for r in rows.select(warc.range_of(edges)).collect()] == [0, 0, 301, 300, 700]
+
+
+def test_warc_of_many_repeated_payloads(spark, monkeypatch):
+    monkeypatch.setattr(warc, "BROADCAST_ROWS", 8)
+    pages = spark.createDataFrame([(i, "u", "" if i % 3 == 0 else f"p{i // 4}") for i in range(120)], "page_id bigint, url string, html string")
+    got = {r["page_id"]: (r["record_type"], r["refers_to"]) for r in warc.round_trip(pages).collect()}
+    first = {}
+    for i in range(120):
+        first.setdefault("" if i % 3 == 0 else f"p{i // 4}", i)
+    want = {i: ("response", None) if first[k] == i else ("revisit", first[k]) for i in range(120) for k in ["" if i % 3 == 0 else f"p{i // 4}"]}
+    assert got == want
+
+
 # ---- op 5 ------------------------------------------------------------------------------------------------------------
 
 @pytest.mark.parametrize("n", [192, 384, 960, 192 * 70, 192 * 300])
@@ -539,6 +596,39 @@ def test_licenses_are_found_and_inherited(spark):
     assert licenses.report(docs_of(spark, [])).count() == 0
 
 
+def test_license_windows_are_brute_force():
+    """No window over the threshold is missed, and the best one is found, whatever stands around or between the lines."""
+    known = {t: 3 + 7 * (k % 40) for k, t in enumerate(licenses.template_terms())}
+    matcher = licenses.Matcher(400, known)
+    rng = np.random.default_rng(4)
+    vocabulary = [*licenses.template_terms(), "zeta", "eta", "rho"]
+    notices = [n for own in licenses.TEMPLATES.values() for n in own]
+    texts = [None, "", "Released under the MIT", "Released under the BSD 3-Clause", "public domain under CC0 1.0.", " # This work is licensed under the GNU General Public\n # License,\n # version 3.", "“Licensed under CC BY-NC 4.0.”"]
+    texts += [" ".join([*rng.choice(vocabulary, 9), notices[int(rng.integers(len(notices)))].replace(" ", "\n * "), *rng.choice(vocabulary, 7)]) for _ in range(25)]
+    texts += [" ".join(rng.choice(vocabulary, 12)) for _ in range(25)]
+
+    def naive(text):
+        own, best = licenses.terms(text or ""), (0.0, 0, "")
+        idf = lambda t: np.log(401 / (1 + known[t])) + 1 if t in known else np.log(401) + 1
+        for name, list_ in licenses.TEMPLATES.items():
+            for notice in list_:
+                want = licenses.terms(notice)
+                n = len(want)
+                weigh = lambda w: {t: w.count(t) * idf(t) for t in w}
+                two = weigh(want)
+                for size in {min(len(own), s) for s in (n, -(-3 * n // 4), 5 * n // 4)} - {0}:
+                    for k in range(len(own) - size + 1):
+                        one = weigh(own[k : k + size])
+                        score = sum(w * two.get(t, 0) for t, w in one.items()) / np.sqrt(sum(w * w for w in one.values()) * sum(w * w for w in two.values()))
+                        if score >= licenses.THRESHOLD and (round(score, 9), n) > best[:2]:
+                            best = round(score, 9), n, name
+        return best
+
+    for text, (name, score) in zip(texts, matcher.best(pa.array(texts, pa.string())), strict=True):
+        want = naive(text)
+        assert score == pytest.approx(want[0], abs=1e-8) and (name or "") == want[2], text
+
+
 # ---- pipeline --------------------------------------------------------------------------------------------------------
 
 def test_pipeline(spark, sf_dir):
