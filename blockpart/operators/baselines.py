@@ -68,19 +68,48 @@ def power_step(edges: DataFrame, vector: DataFrame) -> DataFrame:
     return deg.join(spread, "i").join(F.broadcast(total)).select("i", (F.col("ax") - F.col("k") * F.col("kx") / F.col("e")).alias("x"))
 
 
-def spectral(edges: DataFrame, rounds: int = 15, seed: int = 42) -> DataFrame:
-    """assign in two by the sign of the leading eigenvector (shifted power iteration), or one block if that gains nothing."""
+def spectral(edges: DataFrame, rounds: int = 15, seed: int = 42, levels: int = 20) -> DataFrame:
+    """assign by splits in two, all blocks of a level at once, by the sign of the leading eigenvector of each block's own modularity matrix (shifted power
+    iteration); a block is split only if that gains modularity, and a level without gain ends it."""
     nodes = settled(edges.select(F.col("src").alias("i")).union(edges.select("dst")).distinct())
-    edges = settled(edges)
-    shift = edges.select(F.col("src").alias("i"), "w").unionAll(edges.select("dst", "w")).groupBy("i").agg(F.sum("w").alias("k")).agg(F.max("k")).first()[0]
-    x = nodes.select("i", (u01(seed, "batch", 0, F.col("i")) - 0.5).alias("x"))
-    for _ in range(rounds):
-        y = power_step(edges, x).join(x.withColumnRenamed("x", "old"), "i").select("i", (F.col("x") + shift * F.col("old")).alias("x"))
-        y = settled(y)
-        size = y.agg(F.sqrt(F.sum(F.col("x") * F.col("x")))).first()[0]
-        x = y.select("i", (F.col("x") / size).alias("x"))
-    split = x.select("i", F.when(F.col("x") > 0, 1).otherwise(0).cast("bigint").alias("b"))
-    return split if (modularity(edges, split).first()[0] or 0.0) > 1e-9 else nodes.select("i", F.lit(0).cast("bigint").alias("b"))
+    both = settled(edges.select("src", "dst", (F.col("w") / 2).alias("w")).unionAll(edges.select("dst", "src", F.col("w") / 2)))
+    deg = settled(both.groupBy(F.col("src").alias("i")).agg(F.sum("w").alias("k")))
+    e = deg.agg(F.sum("k")).first()[0] or 1.0
+    assign = settled(nodes.select("i", F.lit(0).cast("bigint").alias("b")))
+    closed = assign.sparkSession.createDataFrame([], "b bigint")
+    for level in range(levels):
+        live = settled(assign.join(closed, "b", "left_anti").join(deg, "i"))
+        inner = both.join(live.select(F.col("i").alias("src"), "b"), "src").join(live.select(F.col("i").alias("dst"), F.col("b").alias("b2")), "dst").where("b = b2").select("src", "dst", "w")
+        inner = settled(inner)
+        # What a node has within its block beyond expectation is taken off its diagonal.
+        size = live.groupBy("b").agg(F.sum("k").alias("d"))
+        own = inner.groupBy(F.col("src").alias("i")).agg(F.sum("w").alias("own"))
+        rows = live.join(size, "b").join(own, "i", "left").select("i", "b", "k", (F.coalesce("own", F.lit(0.0)) - F.col("k") * F.col("d") / e).alias("off"))
+        rows = settled(rows)
+        shift = 2 * (rows.agg(F.max("k")).first()[0] or 0.0)
+        x = rows.select("i", "b", "k", "off", (u01(seed, "batch", level, F.col("i")) - 0.5).alias("x"))
+        for _ in range(rounds):
+            pull = x.groupBy("b").agg(F.sum(F.col("k") * F.col("x")).alias("kx"))
+            spread = inner.join(x.select(F.col("i").alias("dst"), "x"), "dst").groupBy(F.col("src").alias("i")).agg(F.sum(F.col("w") * F.col("x")).alias("ax"))
+            y = x.join(spread, "i", "left").join(pull, "b")
+            y = settled(y.select("i", "b", "k", "off", (F.coalesce("ax", F.lit(0.0)) - F.col("k") * F.col("kx") / e - F.col("off") * F.col("x") + shift * F.col("x")).alias("x")))
+            norm = y.groupBy("b").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm"))
+            x = y.join(norm, "b").select("i", "b", "k", "off", F.when(F.col("norm") > 0, F.col("x") / F.col("norm")).otherwise(F.col("x")).alias("x"))
+        side = settled(x.select("i", "b", "k", F.when(F.col("x") > 0, 1).otherwise(0).cast("bigint").alias("side")))
+        # Gain of each block's split: what it cuts against what the degrees of both sides expect.
+        cut = inner.join(side.select(F.col("i").alias("src"), "b", F.col("side").alias("s1")), "src").join(side.select(F.col("i").alias("dst"), F.col("side").alias("s2")), "dst")
+        cut = cut.where("s1 <> s2").groupBy("b").agg(F.sum("w").alias("cut"))
+        halves = side.groupBy("b").agg(F.sum(F.when(F.col("side") == 1, F.col("k")).otherwise(0.0)).alias("d1"), F.sum(F.when(F.col("side") == 0, F.col("k")).otherwise(0.0)).alias("d0"))
+        gain = halves.join(cut, "b", "left").select("b", ((2 * F.col("d1") * F.col("d0") / e - F.coalesce("cut", F.lit(0.0))) / e).alias("gain"))
+        good = settled(gain.where("gain > 1e-9").select("b"))
+        if good.isEmpty():
+            break
+        closed = settled(assign.select("b").distinct().join(good, "b", "left_anti").select((2 * F.col("b")).alias("b")))
+        split = side.join(good, "b").select("i", "side")
+        assign = settled(assign.join(split, "i", "left").select("i", (2 * F.col("b") + F.coalesce("side", F.lit(0))).alias("b")))
+    from blockpart.operators.merge import relabel
+
+    return relabel(assign)
 
 
 def multislice(edges: DataFrame, assign: DataFrame, gamma: float = 1.0, coupling: float = 0.1) -> DataFrame:

@@ -57,6 +57,41 @@ def tensor(proposals: DataFrame, edges: DataFrame, assign: DataFrame, counts: Da
     return full.select("i", "p", "q", (F.coalesce("m", F.lit(0.0)) + F.coalesce("dm", F.lit(0.0))).alias("m"))
 
 
+def propose(edges: DataFrame, assign: DataFrame, counts: DataFrame, blocks: int) -> DataFrame:
+    """row, col, v: the chance that node `row` proposes block `col`, for all nodes and blocks at once: the neighbour-pick matrix (a node's shares of blocks)
+    times the block-pick matrix ((M + M' + 1) / (d + B)). Dense in the blocks, so of a checked size."""
+    share = row_contrib(edges, assign).unionAll(col_contrib(edges, assign)).groupBy("row", "col").agg(F.sum("v").alias("v"))
+    size = share.groupBy("row").agg(F.sum("v").alias("k"))
+    if size.count() * blocks > DENSE_LIMIT:
+        raise ValueError("too large for all chances of all nodes")
+    pick = share.join(size, "row").select("row", "col", (F.col("v") / F.col("k")).alias("v"))
+    both = node.symmetric(counts).select(F.col("u").alias("row"), F.col("t").alias("col"), F.col("m").alias("v"))
+    every = counts.sparkSession.range(blocks).toDF("col")
+    full = block_degrees(counts).select(F.col("t").alias("row"), "d").crossJoin(F.broadcast(every)).join(both, ["row", "col"], "left")
+    return mul(pick, full.select("row", "col", ((F.coalesce("v", F.lit(0.0)) + 1) / (F.col("d") + blocks)).alias("v")))
+
+
+def accept(proposals: DataFrame, edges: DataFrame, assign: DataFrame, counts: DataFrame, blocks: int, beta: float, seed: int, it: int) -> DataFrame:
+    """i, r, s, a, accept of all nodes: changes of the objective by contraction of the difference tensor; the forward chance read from the matrix of proposals, the
+    backward one from the same product over each node's proposed counts."""
+    moving = proposals.where("r <> s").select("i", "r", "s")
+    near, selfs = node.node_block(edges, assign), node.self_weights(edges)
+    gain = node.delta_s(proposals, tensor(proposals, edges, assign, counts), counts, block_degrees(counts), near, selfs)
+    ahead = propose(edges, assign, counts, blocks).select(F.col("row").alias("i"), F.col("col").alias("s"), F.col("v").alias("p_fwd"))
+    cube = tensor(proposals, edges, assign, counts, dense=True)
+    # Row r of the proposed counts in both directions, and degrees after the move, for each node.
+    back = cube.join(moving.select("i", "r"), "i").select("i", "r", F.explode(F.array(
+        F.struct(F.col("p").alias("t"), F.when(F.col("q") == F.col("r"), F.col("m")).otherwise(0.0).alias("m"), F.col("m").alias("d")),
+        F.struct(F.col("q").alias("t"), F.when(F.col("p") == F.col("r"), F.col("m")).otherwise(0.0).alias("m"), F.col("m").alias("d")),
+    )).alias("x")).groupBy("i", F.col("x.t").alias("t")).agg(F.sum("x.m").alias("m"), F.sum("x.d").alias("d"))
+    share = node.node_weights(near, selfs, assign).join(moving, "i")
+    loops = moving.join(selfs, "i")
+    shift = loops.select("i", F.col("r").alias("t"), (-2 * F.col("w_self")).alias("k")).unionAll(loops.select("i", "s", 2 * F.col("w_self")))
+    share = share.select("i", "t", "k").unionAll(shift).groupBy("i", "t").agg(F.sum("k").alias("k"))
+    behind = share.join(back, ["i", "t"]).groupBy("i").agg((F.sum(F.col("k") * (F.col("m") + 1) / (F.col("d") + blocks)) / F.sum("k")).alias("p_bwd"))
+    return node.decided(gain.join(ahead, ["i", "s"]).join(behind, "i"), beta, seed, it).select("i", "r", "s", "a", "accept")
+
+
 def objective_of_tensor(dense: DataFrame) -> DataFrame:
     """i, s_val: the objective of each node's proposed counts, in full."""
     out = dense.groupBy("i", "p").agg(F.sum("m").alias("d")).select("i", (-phi(F.col("d"))).alias("x"))

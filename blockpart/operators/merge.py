@@ -7,11 +7,14 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from blockpart.functions.math import u01
-from blockpart.operators.node import cell_delta, delta_s, node_block, node_weights, self_weights, symmetric, weighted_pick
-from blockpart.operators.stats import block_degrees
+from blockpart.operators.node import gains, look_up, symmetric
+from blockpart.operators.relops import settled
+from blockpart.operators.stats import block_degrees, contract
 
 #: Picks that the driver sorts and joins by itself; more go the distributed way.
 DRIVER_PICKS = 5_000_000
+#: Blocks that one window numbers.
+WINDOW_BLOCKS = 1_000_000
 
 
 def as_graph(counts: DataFrame) -> tuple[DataFrame, DataFrame]:
@@ -27,31 +30,29 @@ def all_pairs(counts: DataFrame) -> DataFrame:
 
 
 def propose(counts: DataFrame, blocks: int, tries: int, seed: int) -> DataFrame:
-    """`tries` draws per block (with a key i = r:try), never of itself: via a neighbouring block, or uniform for blocks without one."""
-    degrees = block_degrees(counts)
-    near = symmetric(counts).where("u <> t")
-    keyed = degrees.select("t").withColumnRenamed("t", "r").select("r", F.explode(F.sequence(F.lit(0), F.lit(tries - 1))).alias("k")).withColumn("i", F.concat_ws(":", "r", "k"))
-    mine = keyed.join(near.select(F.col("u").alias("r"), "t", "m"), "r")
-    first = weighted_pick(mine, "i", "t", "m", u01(seed, "prop", 0, F.col("i"), 0)).select("i", F.col("t").alias("u"))
-    drawn = keyed.join(first, "i", "left").join(degrees.select(F.col("t").alias("u"), "d"), "u", "left")
+    """`tries` draws per block (with a key r:try), never of itself: via a neighbouring block, or uniform for blocks without one. The block graph is read once
+    for each of both lookups, whatever the number of tries."""
+    degrees, both = block_degrees(counts), symmetric(counts)
+    near = both.where("u <> t")
     draw = lambda k: u01(seed, "prop", 0, F.col("i"), k)
+    keyed = degrees.select(F.col("t").alias("r"), F.explode(F.sequence(F.lit(0), F.lit(tries - 1))).alias("k")).withColumn("i", F.concat_ws(":", "r", "k"))
+    size = near.groupBy("u").agg(F.sum("m").alias("total")).withColumnRenamed("u", "r")
+    first = look_up(keyed.join(size, "r", "left").select("i", F.col("r").alias("u"), (draw(0) * F.col("total")).alias("x")), near, blocks).withColumnRenamed("u", "r").withColumnRenamed("t", "u")
+    drawn = first.join(degrees.select(F.col("t").alias("u"), "d"), "u", "left")
     drawn = drawn.withColumn("roam", F.col("u").isNull() | (draw(1) < F.lit(float(blocks)) / (F.col("d") + blocks)))
-    uniform = drawn.where("roam").select("i", "r", F.least(F.floor(draw(2) * blocks), F.lit(blocks - 1)).cast("bigint").alias("s"))
-    steps = symmetric(counts).withColumn("high", F.sum("m").over(Window.partitionBy("u").orderBy("t").rowsBetween(Window.unboundedPreceding, 0))).withColumn("low", F.col("high") - F.col("m"))
-    follow = drawn.where("not roam").withColumn("x", draw(3) * F.col("d")).join(steps, "u").where("low <= x and x < high").select("i", "r", F.col("t").alias("s"))
-    return uniform.unionAll(follow).where("r <> s").select("r", "s").distinct()
+    found = look_up(drawn.select("i", "r", "u", "roam", F.when(~F.col("roam"), draw(3) * F.col("d")).alias("x")), both, blocks)
+    uniform = F.least(F.floor(draw(2) * blocks), F.lit(blocks - 1)).cast("bigint")
+    return found.select("r", F.when(F.col("roam"), uniform).otherwise(F.col("t")).alias("s")).where("r <> s").distinct()
 
 
 def score(pairs: DataFrame, counts: DataFrame) -> DataFrame:
-    """r, s, d_s of moving the whole of r into s. Pairs may share r, so each is a mover of its own."""
-    edges, alone = as_graph(counts)
-    degrees, near, selfs = block_degrees(counts), node_block(edges, alone), self_weights(edges)
-    moving = pairs.select("r", "s").distinct().withColumn("i", F.struct("r", "s"))
-    by_pair = moving.select(F.col("r").alias("i_"), "i")
-    near_ = near.withColumnRenamed("i", "i_").join(by_pair, "i_").select("i", "t", "k_out", "k_in")
-    selfs_ = selfs.withColumnRenamed("i", "i_").join(by_pair, "i_").select("i", "w_self")
-    change = cell_delta(moving, near_, selfs_)
-    return delta_s(moving, change, counts, degrees, near_, selfs_).select("r", "s", "d_s")
+    """r, s, d_s of moving the whole of r into s: the block as a mover in the block graph. Pairs may share r, so each is a mover of its own."""
+    moving = pairs.select("r", "s").distinct().select(F.struct("r", "s").alias("i"), F.col("r").alias("own"), "r", "s")
+    zero = F.lit(0.0)
+    near = counts.where("r <> s").select(F.col("r").alias("own"), F.col("s").alias("t"), F.col("m").alias("k_out"), zero.alias("k_in"), zero.alias("w_self"))
+    near = near.unionAll(counts.where("r <> s").select("s", "r", zero, "m", zero)).unionAll(counts.where("r = s").select("r", "s", zero, zero, "m"))
+    near = near.groupBy("own", "t").agg(F.sum("k_out").alias("k_out"), F.sum("k_in").alias("k_in"), F.sum("w_self").alias("w_self"))
+    return gains(moving, near, counts, block_degrees(counts), 1).select("r", "s", "d_s")
 
 
 def best_per_block(scored: DataFrame) -> DataFrame:
@@ -108,9 +109,41 @@ def apply_distributed(picks: DataFrame, excess: int) -> DataFrame:
     return merges
 
 
-def relabel(assign: DataFrame, merges: DataFrame) -> DataFrame:
+def numbering(assign: DataFrame, merges: DataFrame | None = None) -> DataFrame:
+    """b, new: blocks, merges followed, numbered 0 .. B - 1 by their least node. One window below a checked size, beyond it a sort whose parts are counted."""
+    blocks = assign.groupBy("b").agg(F.min("i").alias("least"))
+    if merges is not None:
+        blocks = blocks.join(merges.withColumnRenamed("r", "b"), "b", "left")
+        blocks = settled(blocks.select("b", F.coalesce("root", "b").alias("root"), "least"))
+        least = blocks.groupBy("root").agg(F.min("least").alias("least"))
+    else:
+        least = blocks = settled(blocks.withColumn("root", F.col("b")))
+    least = least.select("root", "least")
+    if least.count() <= WINDOW_BLOCKS:
+        number = least.select("root", (F.row_number().over(Window.orderBy("least")) - 1).cast("bigint").alias("new"))
+    else:
+        number = ranked(least, "least").select("root", "new")
+    return blocks.select("b", "root").join(number, "root").select("b", "new")
+
+
+def ranked(rows: DataFrame, by: str) -> DataFrame:
+    """Adds new: 0, 1, ... in the order of a column without ties. A range sort; only the sizes of its partitions reach the driver."""
+    held = settled(rows.orderBy(by).withColumn("_at", F.monotonically_increasing_id()))
+    part = F.shiftright("_at", 33)
+    sizes = sorted(map(tuple, held.groupBy(part.alias("p")).agg(F.count(F.lit(1)).alias("n")).collect()))
+    before, total = [], 0
+    for p, n in sizes:
+        before.append((p, total))
+        total += n
+    start = held.sparkSession.createDataFrame(before, "_p bigint, _n bigint")
+    return held.withColumn("_p", part).join(F.broadcast(start), "_p").withColumn("new", F.col("_n") + F.col("_at").bitwiseAND((1 << 33) - 1)).drop("_p", "_n", "_at")
+
+
+def relabel(assign: DataFrame, merges: DataFrame | None = None) -> DataFrame:
     """Follow merges and number blocks 0 .. B - 1 by their least node."""
-    moved = assign.join(merges.withColumnRenamed("r", "b"), "b", "left").select("i", F.coalesce("root", "b").alias("b"))
-    least = moved.groupBy("b").agg(F.min("i").alias("least"))
-    number = least.select("b", (F.row_number().over(Window.orderBy("least")) - 1).cast("bigint").alias("new"))  # a row per block
-    return moved.join(F.broadcast(number), "b").select("i", F.col("new").alias("b"))
+    return assign.join(numbering(assign, merges), "b").select("i", F.col("new").alias("b"))
+
+
+def renumbered(counts: DataFrame, number: DataFrame) -> DataFrame:
+    """Counts under new numbers of blocks (b, new), added up where blocks became one; edges are not read again."""
+    return contract(counts, number.select(F.col("b").alias("r"), F.col("new").alias("root")))

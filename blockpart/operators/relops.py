@@ -7,25 +7,29 @@ import shutil
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 _OWN: dict[str, str] = {}
 
 
-def settled(df: DataFrame) -> DataFrame:
-    """Written to the shared folder that the session names and read back: cuts the lineage and survives lost executors."""
-    spark = df.sparkSession
+def scratch_path(spark: SparkSession, kind: str = "settled") -> str:
+    """A fresh name in the shared folder that the session names; in a private folder only where none is named, in local mode."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base and spark.sparkContext.master.startswith("local"):
         if "dir" not in _OWN:
             _OWN["dir"] = tempfile.mkdtemp(prefix="blockpart-")
             atexit.register(shutil.rmtree, _OWN["dir"], ignore_errors=True)
         base = f"file://{_OWN['dir']}"
-    path = f"{(base or spark.conf.get('spark.sql.warehouse.dir')).rstrip('/')}/settled-{uuid.uuid4().hex}"
+    return f"{(base or spark.conf.get('spark.sql.warehouse.dir')).rstrip('/')}/{kind}-{uuid.uuid4().hex}"
+
+
+def settled(df: DataFrame) -> DataFrame:
+    """Written to the shared folder and read back: cuts the lineage and survives lost executors."""
+    path = scratch_path(df.sparkSession)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
 def as_of_join(left: DataFrame, right: DataFrame, by: str, t: str, value: str) -> DataFrame:

@@ -1,17 +1,18 @@
 """The search over numbers of blocks: bracket by halving, then golden section; each try merges down and sweeps.
 
-The driver keeps scalars and paths; partitions are written tables. Small graphs may go to the local engine.
+One search, two engines with the same draws, rules and numbers: on Spark every vector is a written table and the driver keeps scalars; a graph below a
+checked size may run on arrays instead, with the same result.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockpart.operators import merge, node, stats
+from blockpart.operators import merge, stats
 from blockpart.operators.relops import settled
 from blockpart.plans import local, sweep
 
@@ -26,11 +27,27 @@ class FitConfig:
     tau_closed: float = 1e-4
     window: int = 3
     max_sweeps: int = 100
-    schedule: str = "sync"
-    q: int = 1
+    #: sync (one sweep old; where blocks are small all may move at once, so damp it), batched (q batches), local (newest within a partition; Spark only), sequential (newest).
+    schedule: str = "batched"
+    q: int = 4
+    parts: int = 8
+    damp: float = 1.0
+    directed: bool = True
     seed: int = 42
     restarts: int = 1
+    #: spark, local, or auto: local for graphs of up to LOCAL_EDGES and LOCAL_NODES.
     engine: str = "auto"
+    #: A number of blocks to look around first (twice, once and half of it), as after an earlier stage.
+    around: int | None = None
+
+    @property
+    def batches(self) -> int:
+        return self.q if self.schedule == "batched" else 1
+
+    @property
+    def step_beta(self) -> float:
+        """Undirected graphs stand in both directions, where a move changes the objective twice as much."""
+        return self.beta if self.directed else self.beta / 2
 
 
 def next_try(history: list[tuple[int, float]], rate: float = 0.5) -> int | None:
@@ -50,62 +67,127 @@ def next_try(history: list[tuple[int, float]], rate: float = 0.5) -> int | None:
     return max(low_b - max(1, round(0.382 * (low_b - below))), below + 1)
 
 
-def to_local(edges: DataFrame, nodes: DataFrame) -> tuple[local.Graph, np.ndarray]:
-    """A small graph as arrays, with the node ids in order."""
-    ids = np.array(sorted(r[0] for r in nodes.select("i").distinct().collect()))
+def explored(engine, cfg: FitConfig, start=None) -> tuple[object, list[dict]]:
+    """The state of least length, and the history. A try is looked for by its target, but stands with the number of blocks that it has: sweeps may empty some."""
+    state = engine.start(start)
+    blocks = engine.blocks(state)
+    s, h = engine.length(state)
+    history = [{"target": blocks, "B": blocks, "h_val": h, "s_val": s, "sweeps": 0}]
+    found, best = {blocks: state}, state
+    first = [] if cfg.around is None else [b for b in (2 * cfg.around, cfg.around, max(1, cfg.around // 2)) if b < blocks]
+    while (target := first.pop(0) if first else next_try([(x["target"], x["h_val"]) for x in history], cfg.rate)) is not None:
+        state = engine.shrink(found[min(x for x in found if x >= target)], target)
+        closed = any(x["target"] < target for x in history)
+        state, sweeps = engine.settle(state, cfg.tau_closed if closed else cfg.tau_open)
+        blocks = engine.blocks(state)
+        s, h = engine.length(state)
+        row = {"target": target, "B": blocks, "h_val": h, "s_val": s, "sweeps": sweeps}
+        if (round(h, 9), blocks) < min((round(x["h_val"], 9), x["B"]) for x in history):
+            best = state
+        if blocks not in found or h < min(x["h_val"] for x in history if x["B"] == blocks):
+            found[blocks] = state
+        history.append(row)
+    return best, history
+
+
+def to_local(edges: DataFrame, nodes: DataFrame) -> local.Graph:
+    """A small graph as arrays."""
+    ids = np.array(sorted(r[0] for r in nodes.select("i").distinct().collect()), np.int64)
     rows = edges.groupBy("src", "dst").agg(F.sum("w").alias("w")).orderBy("src", "dst").toPandas()
-    return local.Graph.of(len(ids), np.searchsorted(ids, rows["src"]), np.searchsorted(ids, rows["dst"]), rows["w"].to_numpy()), ids
+    return local.Graph(ids, np.searchsorted(ids, rows["src"].to_numpy(np.int64)), np.searchsorted(ids, rows["dst"].to_numpy(np.int64)), rows["w"].to_numpy(float))
 
 
 def endpoints(edges: DataFrame) -> DataFrame:
     return edges.select(F.col("src").alias("i")).union(edges.select("dst")).distinct()
 
 
+def both_ways(edges: DataFrame) -> DataFrame:
+    """An undirected graph, each pair once, in both directions; a self-edge counts twice."""
+    rows = edges.select("src", "dst", "w")
+    return rows.unionAll(rows.select("dst", "src", "w"))
+
+
 def fit(edges: DataFrame, nodes: DataFrame | None = None, cfg: FitConfig | None = None, start: DataFrame | None = None) -> tuple[DataFrame, list[dict]]:
-    """assign(i, b) of least description length, and the history."""
+    """assign(i, b) of least description length, and the history; of `restarts` runs with other seeds the best."""
     cfg = cfg or FitConfig()
-    nodes = endpoints(edges) if nodes is None else nodes
-    spark = edges.sparkSession
-    if cfg.engine == "local" or cfg.engine == "auto" and nodes.count() <= local.LIMIT:
-        graph, ids = to_local(edges, nodes)
-        batches = {"sync": cfg.q, "batched": cfg.q}.get(cfg.schedule)
-        begin = None
+    edges = settled(edges.select("src", "dst", "w"))
+    nodes = endpoints(edges) if nodes is None else nodes.select("i").distinct()
+    engine = cfg.engine
+    if engine == "auto":
+        small = cfg.schedule != "local" and edges.count() <= local.LOCAL_EDGES and nodes.count() <= local.LOCAL_NODES
+        engine = "local" if small else "spark"
+    if not cfg.directed:
+        edges = both_ways(edges)
+    spark, runs = edges.sparkSession, []
+    if engine == "local":
+        graph = to_local(edges, nodes)
+        given = None
         if start is not None:
-            given = dict(start.collect())
-            begin = np.array([given[i] for i in ids.tolist()])
-        runs = [local.fit(graph, cfg.seed + k, cfg.beta, cfg.proposals, cfg.rate, batches, begin) for k in range(cfg.restarts)]
-        b, history = min(runs, key=lambda r: min(x["h_val"] for x in r[1]))
-        # Numbers of blocks by least node.
-        _, first, number = np.unique(b, return_index=True, return_inverse=True)
-        rank = np.argsort(np.argsort(first))
-        return spark.createDataFrame(list(zip(ids.tolist(), rank[number].tolist(), strict=True)), "i bigint, b bigint"), history
-    return fit_spark(edges, nodes, cfg, start)
-
-
-def fit_spark(edges: DataFrame, nodes: DataFrame, cfg: FitConfig, start: DataFrame | None = None) -> tuple[DataFrame, list[dict]]:
-    """The same with every vector distributed."""
-    edges = settled(edges)
-    assign = merge.relabel(nodes.select("i", F.col("i").alias("b")) if start is None else start, nodes.sparkSession.createDataFrame([], "r bigint, root bigint"))
-    assign = settled(assign)
-    row = stats.description_length(stats.cells(edges, assign), assign).first()
-    found = {int(row["b"]): assign}
-    history = [{"B": int(row["b"]), "h_val": row["h_val"], "s_val": row["s_val"], "sweeps": 0}]
-    while (target := next_try([(x["B"], x["h_val"]) for x in history], cfg.rate)) is not None:
-        higher = min(x for x in found if x > target)
-        assign, blocks = found[higher], higher
-        while blocks > target:
-            counts = settled(stats.cells(edges, assign))
-            pairs = merge.propose(counts, blocks, cfg.proposals, cfg.seed + blocks)
-            picks = merge.best_per_block(merge.score(pairs, counts))
-            merges = merge.apply(settled(picks), blocks, target)
-            if merges.isEmpty():
-                break
-            assign = settled(merge.relabel(assign, merges))
-            blocks = assign.select("b").distinct().count()
-        tau = cfg.tau_closed if any(x["B"] < target for x in history) else cfg.tau_open
-        assign, sweeps = sweep.settle(edges, assign, blocks, cfg.seed, cfg.beta, cfg.q, tau, cfg.max_sweeps, cfg.window, cfg.explore)
-        row = stats.description_length(stats.cells(edges, assign), assign).first()
-        history.append({"B": target, "h_val": row["h_val"], "s_val": row["s_val"], "sweeps": sweeps})
-        found[target] = assign
-    best = min(history, key=lambda x: (round(x["h_val"], 9), x["B"]))["B"]
-    return found[best], history
+            own = dict(start.select("i", "b").collect())
+            given = np.array([own[i] for i in graph.ids.tolist()])
+    else:
+        graph, given = settled(edges.groupBy("src", "dst").agg(F.sum("w").alias("w"))), start
+        nodes = settled(nodes)
+    for k in range(cfg.restarts):
+        own = replace(cfg, seed=cfg.seed + k)
+        runs.append(explored(local.LocalEngine(graph, own, own.seed) if engine == "local" else SparkEngine(graph, nodes, own), own, given))
+    best, history = min(runs, key=lambda run: min((round(x["h_val"], 9), x["B"]) for x in run[1]))
+    if engine == "local":
+        return spark.createDataFrame(list(zip(graph.ids.tolist(), best.tolist(), strict=True)), "i bigint, b bigint"), history
+    return best.assign, history
+
+
+@dataclass
+class State:
+    """Partition and counts as written tables, and the number of blocks."""
+
+    assign: DataFrame
+    counts: DataFrame
+    blocks: int
+
+
+class SparkEngine:
+    def __init__(self, edges: DataFrame, nodes: DataFrame, cfg: FitConfig):
+        self.edges, self.nodes, self.cfg, self.n = edges, nodes, cfg, nodes.count()
+        if cfg.schedule not in ("sync", "batched", "local", "sequential"):
+            raise ValueError(f"no schedule {cfg.schedule}")
+
+    def start(self, given: DataFrame | None) -> State:
+        assign = settled(merge.relabel(self.nodes.select("i", F.col("i").alias("b")) if given is None else given.select("i", "b")))
+        return State(assign, settled(stats.cells(self.edges, assign)), assign.agg(F.max("b")).first()[0] + 1)
+
+    def blocks(self, state: State) -> int:
+        return state.blocks
+
+    def renumbered(self, state: State, merges: DataFrame | None) -> State:
+        number = settled(merge.numbering(state.assign, merges))
+        assign = settled(state.assign.join(number, "b").select("i", F.col("new").alias("b")))
+        return State(assign, settled(merge.renumbered(state.counts, number)), number.agg(F.max("new")).first()[0] + 1)
+
+    def shrink(self, state: State, target: int) -> State:
+        """Counts come from the counts before; edges are not read."""
+        while state.blocks > target:
+            pairs = merge.propose(state.counts, state.blocks, self.cfg.proposals, self.cfg.seed + state.blocks)
+            picks = settled(merge.best_per_block(merge.score(pairs, state.counts)))
+            merges = merge.apply(picks, state.blocks, target)
+            if merges.isEmpty():  # no draw led to another block
+                merges = merges.sparkSession.createDataFrame([(1, 0)], "r bigint, root bigint")
+            state = self.renumbered(state, merges)
+        return state
+
+    def settle(self, state: State, tau: float) -> tuple[State, int]:
+        """Sweeps until they improve too little; counts are kept up from moved edges, and one number a sweep reaches the driver."""
+        cfg, past, sweeps = self.cfg, [stats.log_posterior(state.counts).first()[0]], 0
+        while sweeps < cfg.max_sweeps and not sweep.converged(past, tau, cfg.window):
+            assign, counts = sweep.swept(self.edges, state.assign, state.counts, state.blocks, cfg, sweeps)
+            state = State(assign, counts, state.blocks)
+            past.append(stats.log_posterior(counts).first()[0])
+            sweeps += 1
+        return self.renumbered(state, None), sweeps
+
+    def length(self, state: State) -> tuple[float, float]:
+        half = 1.0 if self.cfg.directed else 0.5
+        s, e = stats.log_posterior(state.counts).first()[0], state.counts.agg(F.sum("m")).first()[0]
+        s, e, b = half * (s or 0.0), half * (e or 0.0), state.blocks
+        size = b * b if self.cfg.directed else b * (b + 1) / 2
+        return s, (e * local.h(size / e) if e else 0.0) + self.n * float(np.log(max(b, 1))) - s

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import time
 from pathlib import Path
 
 from pyspark.sql import functions as F
@@ -74,29 +73,20 @@ add("q1_edges_w2", lambda s, sf: perf.edges(W.w2(s, sf)), f"select count(*) as r
 
 
 def run_cost(s, sf):
-    found = perf.measured(lambda: W.w1(s, sf).agg(F.sum("w")).first()[0])
+    found = perf.measured(lambda: W.w1(s, sf).agg(F.sum("w")).first()[0], s)
     return s.createDataFrame([tuple(found.values())], ", ".join(f"{k} {'boolean' if isinstance(v, bool) else 'string' if isinstance(v, str) else 'bigint' if isinstance(v, int) else 'double'}" for k, v in found.items()))
 
 
 add("q2_q7_run", run_cost)
-add("q8_loc", lambda s, sf: perf.loc(s, str(Path(__file__).resolve().parents[1])))
-
 
-def scaling(s, sf):
-    """Rates of the local engine over planted graphs of growing size."""
-    import numpy as np
 
-    from blockpart.plans import local
+def spark_counters(s, sf):
+    """Q10: what Spark counted for one pass over the trade graph."""
+    before = perf.counters(s)
+    W.w1(s, sf).write.format("noop").mode("overwrite").save()
+    after = perf.counters(s)
+    return s.createDataFrame([(k, float(after[k] - before[k])) for k in after], "counter string, value double")
 
-    rows = []
-    for n in (40, 80, 160):
-        rng = np.random.default_rng(n)
-        t = rng.integers(0, 4, n)
-        a = rng.poisson(np.where(t[:, None] == t, 25.0, 1.0) * 10 / n / 7).astype(float)
-        begin = time.monotonic()
-        local.fit(local.Graph(a), batches=1)
-        rows.append((float(a.sum()), time.monotonic() - begin))
-    return perf.scaling_fit(s.createDataFrame(rows, "e double, sec double"))
 
-
-add("q9_scaling", scaling)
+add("q10_counters", spark_counters)
+add("q8_loc", lambda s, sf: perf.loc(s, str(Path(__file__).resolve().parents[1])))

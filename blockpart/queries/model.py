@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+import time
+
+import numpy as np
 from pyspark.sql import functions as F
 
-from blockpart.functions.math import h, sql_u01
-from blockpart.operators import baselines, generate, matrix, merge, node, relops, stages, stats
+from blockpart import perf
+from blockpart.functions.math import h, sql_phi, sql_u01, string_id
+from blockpart.operators import baselines, generate, matrix, merge, metrics, node, relops, stages, stats
 from blockpart.plans import search, sweep
 from blockpart.queries import sqltext as T
 from blockpart.sources import workloads as W
@@ -103,11 +107,26 @@ for _g, _k in (("w1", "region"), ("w4", "mod5")):
     add(f"v5_refresh_{_g}", with_model(_g, _k, lambda e, a, c: node.refresh_cells(c, e, a, sweep.synchronous(e, a, 5, SEED, 0))), f"{T.step(_g, _k, SEED, 0, 5)}, after as (select a.i, coalesce(d.s, a.b) as b from assign a left join (select * from decided where draw < a) d on d.i = a.i) select x.b as r, y.b as s, sum(w) as m from edges join after x on x.i = src join after y on y.i = dst group by all")
     add(f"v6_influence_{_g}", with_model(_g, _k, lambda e, a, c: rounded(node.influence(e, node.evaluate(e, a, c, 5, SEED, 0).where("accept").select("i")), "mean_neighbours")), f"{T.step(_g, _k, SEED, 0, 5)}, pairs as (select distinct least(src, dst) as x, greatest(src, dst) as y from edges where src <> dst), mv as (select i from decided where draw < a) select (select count(*) from pairs) as pairs, (select count(*) from pairs where x in (select i from mv) and y in (select i from mv)) as together, round((select 2.0 * count(*) from pairs) / (select count(*) from (select x from pairs union select y from pairs)), 6) as mean_neighbours")
 add("v2_damped_w4", with_model("w4", "mod5", lambda e, a, c: sweep.synchronous(e, a, 5, SEED, 0, damp=0.5)), f"{T.step('w4', 'mod5', SEED, 0, 5)} select a.i, coalesce(d.s, a.b) as b from assign a left join (select * from decided where draw < a and {sql_u01(SEED, 'batch', 0, 'i')} < 0.5) d on d.i = a.i")
-add("v3_batched_w4", with_model("w4", "mod5", lambda e, a, c: sweep.batched(e, a, 5, SEED, 0, 2)))
+
+
+def _batch_sql(k, before):
+    """Blocks after the k-th of two batches of w4, from the query `before` of the blocks so far."""
+    step = T.step("w4", before, SEED, 0, 5)
+    return f"{step} select a.i, coalesce(d.s, a.b) as b from assign a left join (select * from decided where draw < a and floor({sql_u01(SEED, 'batch', 0, 'i')} * 2) = {k}) d on d.i = a.i"
+
+
+add("v3_batched_w4", with_model("w4", "mod5", lambda e, a, c: sweep.batched(e, a, 5, SEED, 0, 2)), _batch_sql(1, _batch_sql(0, "mod5")))
 add("v4_local_w4", with_model("w4", "mod5", lambda e, a, c: sweep.partition_local(e, a, 5, SEED, 0)))
 add("v1_sequential_w1", with_model("w1", "region", lambda e, a, c: sweep.sequential(e, a, 5, SEED, 0)))
-_STOP = "select id, round(avg(d) over (order by id rows between 2 preceding and current row), 6) as gain from (select id, s - lag(s) over (order by id) as d from ({0}))"
-add("n11_stop_rule", lambda s, sf: s.sql(_STOP.format("select id, -100.0D / (id + 1) as s from range(12)")), _STOP.format("select id, -100.0::double / (id + 1) as s from range(12) t(id)"))
+
+
+def stop_rule(s, sf):
+    """After which sweeps of a series the rule stops."""
+    series = [-100.0 / (k + 1) for k in range(30)]
+    return s.createDataFrame([(k, bool(sweep.converged(series[: k + 1], 0.05))) for k in range(30)], "id bigint, stop boolean")
+
+
+add("n11_stop_rule", stop_rule, "select id, coalesce((s - lag(s, 3) over (order by id)) / 3 < 0.05 * abs(s), false) as stop from (select id, -100.0::double / (id + 1) as s from range(30) t(id))")
 
 # Merges
 _PAIRS = "props as materialized (select distinct hash(r, s) as i, r, s from (select r, s from cells where r <> s union select s, r from cells where r <> s))"
@@ -116,8 +135,27 @@ selfs as (select p.i, m as w_self from props p join blk on blk.r = p.r and blk.s
 _SCORED = f"{T.model('w1', 'region')}, {_PAIRS}, {_BLOCK}, {T.CHANGE}, {T.GAIN}"
 add("b6_pairs_w1", with_model("w1", "region", lambda e, a, c: rounded(merge.score(merge.all_pairs(c), c), "d_s")), f"{_SCORED} select r, s, round(d_s, 6) as d_s from gain")
 add("b4_best_w1", with_model("w1", "region", lambda e, a, c: rounded(merge.best_per_block(merge.score(merge.all_pairs(c), c)), "d_s")), f"{_SCORED} select r, s, round(d_s, 6) as d_s from (select *, row_number() over (partition by r order by round(d_s, 9) desc, s) as k from gain) where k = 1")
-add("b2_propose_w1", with_model("w1", "alone", lambda e, a, c: merge.propose(c, 25, 4, SEED)))
-add("b5_apply_w1", with_model("w1", "region", lambda e, a, c: merge.relabel(a, merge.apply(merge.best_per_block(merge.score(merge.all_pairs(c), c)), 5, 3))))
+_OUTER = "outer_ as materialized (select u, t, sum(m) over (partition by u order by t rows unbounded preceding) as high, m, sum(m) over (partition by u) as total from sym where u <> t)"
+
+
+def _merge_draws(blocks, tries, seed):
+    """props(r, s): the draws of merges by SQL."""
+    u = lambda k: sql_u01(seed, "prop", 0, "i", k)
+    return f"""keyed as materialized (select t as r, k, t || ':' || k as i from bdeg, range({tries}) x(k)),
+near_ as materialized (select k.i, k.r, o.t as u from keyed k left join outer_ o on o.u = k.r and o.high - o.m <= {u(0).replace("(i)", "(k.i)")} * o.total and {u(0).replace("(i)", "(k.i)")} * o.total < o.high),
+drawn as materialized (select n.i, n.r, n.u, n.u is null or {u(1).replace("(i)", "(n.i)")} < {float(blocks)} / (d + {blocks}) as roam, {u(3).replace("(i)", "(n.i)")} * d as x, {u(2).replace("(i)", "(n.i)")} as y from near_ n left join bdeg on bdeg.t = n.u),
+steps as materialized (select u, t, m, sum(m) over (partition by u order by t rows unbounded preceding) as high from sym),
+props as materialized (select distinct r, s from (select r, least(floor(y * {blocks}), {blocks - 1})::bigint as s from drawn where roam union all select r, t from drawn join steps on steps.u = drawn.u and high - m <= x and x < high where not roam) where r <> s)"""
+
+
+add("b2_propose_w1", with_model("w1", "alone", lambda e, a, c: merge.propose(c, 25, 4, SEED)), f"{T.model('w1', 'alone')}, {T.near()}, {_OUTER}, {_merge_draws(25, 4, SEED)} select r, s from props")
+# The two best merges that are not the same pair: blocks of a tree take its least number, then numbers by least node.
+_B5 = f"""{_SCORED}, best as materialized (select r, s, round(d_s, 9) as d, row_number() over (order by round(d_s, 9) desc, r) as k from (select *, row_number() over (partition by r order by round(d_s, 9) desc, s) as j from gain) where j = 1),
+one as (select least(r, s) as x, greatest(r, s) as y from best where k = 1), two as (select least(r, s) as x, greatest(r, s) as y from best, one where (least(r, s), greatest(r, s)) <> (one.x, one.y) order by k limit 1),
+tree as (select b, case when b in (one.x, one.y, two.x, two.y) and (one.x in (two.x, two.y) or one.y in (two.x, two.y)) then least(one.x, two.x) when b = one.y then one.x when b = two.y then two.x else b end as root from (select distinct b from assign), one, two),
+least_ as (select root, min(i) as least from assign join tree using (b) group by root) select i, n as b from assign join tree using (b) join (select root, row_number() over (order by least) - 1 as n from least_) using (root)"""
+add("b5_apply_w1", with_model("w1", "region", lambda e, a, c: merge.relabel(a, merge.apply(merge.best_per_block(merge.score(merge.all_pairs(c), c)), 5, 3))), _B5)
+add("b5b_apply_distributed_w1", with_model("w1", "region", lambda e, a, c: merge.relabel(a, merge.apply_distributed(relops.settled(merge.best_per_block(merge.score(merge.all_pairs(c), c))), 2))), _B5)
 add("b7_relabel_w1", with_model("w1", "region", lambda e, a, c: merge.relabel(a, a.sparkSession.createDataFrame([(4, 0), (3, 1)], "r bigint, root bigint"))), f"with assign as ({T.ASSIGN_SQL['region']}), m as (select i, case b when 4 then 0 when 3 then 1 else b end as b from assign), n as (select b, row_number() over (order by min(i)) - 1 as k from m group by b) select i, k as b from m join n using (b)")
 add("contract_cells_w1", with_model("w1", "region", lambda e, a, c: stats.contract(c, a.sparkSession.createDataFrame([(4, 0), (3, 1)], "r bigint, root bigint"))), f"{T.model('w1', 'region')} select case r when 4 then 0 when 3 then 1 else r end as r, case s when 4 then 0 when 3 then 1 else s end as s, sum(m) as m from cells group by all")
 
@@ -126,13 +164,11 @@ add("s1_start_w1", lambda s, sf: W.each_alone(W.w1(s, sf)), f"with edges as ({W.
 
 
 def _schedule(s, sf):
-    out, b = [], 500
-    while b >= 1:
-        out.append((len(out), b))
-        if b == 1:
-            break
-        b = max(1, int(b * 0.5))
-    return s.createDataFrame(out, "k bigint, blocks bigint")
+    """The tries of the search while lengths go on falling."""
+    out = [500]
+    while (b := search.next_try([(x, float(x)) for x in out])) is not None:
+        out.append(b)
+    return s.createDataFrame(list(enumerate(out)), "k bigint, blocks bigint")
 
 
 add("s2_schedule", _schedule, "with recursive t(k, blocks) as (select 0::bigint, 500::bigint union all select k + 1, greatest(1, blocks // 2) from t where blocks > 1) select k, blocks from t")
@@ -160,31 +196,184 @@ add("fit_w1", fitted("w1"), _null_fit_sql())
 add("fit_w8", fitted("w8", restarts=3))
 
 
-def fit_history(s, sf):
-    _, history = search.fit(W.w1(s, sf))
-    return s.createDataFrame([(x["B"], round(x["h_val"], 6), x["sweeps"]) for x in history], "blocks bigint, h_val double, sweeps bigint")
+def history_of(s, history):
+    return s.createDataFrame([(x["target"], x["B"], round(x["h_val"], 6), round(x["s_val"], 6), x["sweeps"]) for x in history], "target bigint, blocks bigint, h_val double, s_val double, sweeps bigint")
+
+
+add("s7_history_w1", lambda s, sf: history_of(s, search.fit(W.w1(s, sf))[1]))
+
+
+def planted_nodes(s, sf, n_table="customer", key="c_custkey"):
+    return table(s, sf, n_table, key).select(F.col(key).cast("bigint").alias("i"))
+
+
+def scored(s, edges, truth, assign, history, directed=True):
+    """One row: the fit's blocks and length, the truth's, and all measures of correctness."""
+    best = min(history, key=lambda x: (round(x["h_val"], 9), x["B"]))
+    counts = stats.cells(edges, truth.withColumnRenamed("t", "b")) if directed else stats.undirected_counts(edges, truth.withColumnRenamed("t", "b"))
+    known = stats.description_length(counts, truth.withColumnRenamed("t", "b").join(assign.select("i"), "i", "left_semi"), directed)
+    row = metrics.report(truth, assign).crossJoin(known.select(F.round("h_val", 6).alias("truth_h_val")))
+    row = row.withColumn("blocks", F.lit(best["B"]).cast("bigint")).withColumn("fit_h_val", F.lit(round(best["h_val"], 6))).withColumn("tries", F.lit(len(history) - 1).cast("bigint"))
+    return row.select(*[F.round(c, 6).alias(c) if k == "double" else F.col(c) for c, k in row.dtypes])
+
+
+def planted_fit(preset, n_table="customer", key="c_custkey", blocks=None, **options):
+    def call(s, sf):
+        edges, truth = generate.preset(planted_nodes(s, sf, n_table, key), preset, blocks)
+        edges, truth = relops.settled(edges), relops.settled(truth)
+        assign, history = search.fit(edges, truth.select("i"), search.FitConfig(**options))
+        return scored(s, edges, truth, relops.settled(assign), history)
+
+    return call
+
+
+#: The four panels on all customers; the demonstration on all vectors, in eight blocks.
+for _p in generate.PRESETS:
+    add(f"fit_w9_{_p}", planted_fit(_p))
+add("fit_w14", planted_fit("base", "embeddings", "vec_id", 8))
+
+
+def history_w14(s, sf):
+    """The snapshots of the demonstration: every try, with its numbers of blocks."""
+    edges, truth = generate.preset(planted_nodes(s, sf, "embeddings", "vec_id"), "base", 8)
+    return history_of(s, search.fit(relops.settled(edges), truth.select("i"))[1])
+
+
+add("s10_history_w14", history_w14)
+
+
+def best_w14(s, sf):
+    """The try of least length, by SQL over the history as a table."""
+    history_w14(s, sf).createOrReplaceTempView("history_w14")
+    return s.sql("select min_by(blocks, struct(round(h_val, 9), blocks)) as blocks, min(h_val) as h_val, count(*) as tries from history_w14")
 
 
-add("s7_history_w1", fit_history)
+add("s10_best", best_w14)
+
+
+def fit_distributed(s, sf):
+    """The search on Spark alone, on all customers: from ten blocks, five of them wrong splits of the truth's, around five."""
+    edges, truth = generate.preset(planted_nodes(s, sf), "base")
+    edges, truth = relops.settled(edges), relops.settled(truth)
+    start = truth.select("i", (2 * F.col("t") + F.pmod(F.xxhash64("i"), F.lit(2))).alias("b"))
+    assign, history = search.fit(edges, truth.select("i"), search.FitConfig(engine="spark", schedule="sync", around=5, max_sweeps=2, tau_open=1e-2, tau_closed=1e-2), start)
+    return scored(s, edges, truth, relops.settled(assign), history)
+
+
+add("fit_w9_distributed", fit_distributed)
 add("fit_w8_distributed", lambda s, sf: search.fit(W.w8(s, sf), None, search.FitConfig(engine="spark", max_sweeps=2))[0])
 
 
-def planted_nodes(s, sf, n_table="customer", key="c_custkey", most=None):
-    found = table(s, sf, n_table, key).select(F.col(key).cast("bigint").alias("i"))
-    return found.where(F.col("i") < most) if most else found
+def fit_undirected(graph):
+    def call(s, sf):
+        edges = relops.settled(W.GRAPHS[graph](s, sf))
+        assign, history = search.fit(edges, None, search.FitConfig(directed=False))
+        assign = relops.settled(assign)
+        truth = W.language_of_document(s, sf).withColumnRenamed("b", "t").join(assign.select("i"), "i", "left_semi")
+        return scored(s, edges, truth, assign, history, directed=False)
+
+    return call
 
 
-def fit_w14(s, sf):
-    """Demonstration: 500 nodes, eight planted blocks."""
-    edges, truth = generate.preset(planted_nodes(s, sf, "embeddings", "vec_id", 500), "base", 8)
-    from blockpart.operators import metrics
+add("fit_w6_undirected", fit_undirected("w6"))
 
-    edges = relops.settled(edges)
-    assign, history = search.fit(edges, None, search.FitConfig(q=4))
-    return rounded(metrics.report(truth, assign).withColumn("blocks", F.lit(min(history, key=lambda x: x["h_val"])["B"])), "accuracy", "pair_precision", "pair_recall")
 
+def fit_hybrid(s, sf):
+    """A planted graph on the suppliers within the graph of transitions: one fit of all, scored on the planted part."""
+    made, truth = generate.preset(planted_nodes(s, sf, "supplier", "s_suppkey"), "base")
+    odd = lambda df, *cs: df.withColumns({c: 2 * F.col(c) + 1 for c in cs})
+    real = W.w4(s, sf).select((2 * F.col("src")).alias("src"), (2 * F.col("dst")).alias("dst"), "w")
+    both = relops.settled(generate.embed(real, odd(made, "src", "dst")))
+    truth = relops.settled(odd(truth, "i"))
+    assign, history = search.fit(both.groupBy("src", "dst").agg(F.sum("w").alias("w")))
+    best = min(history, key=lambda x: (round(x["h_val"], 9), x["B"]))
+    row = metrics.report(truth, relops.settled(assign)).withColumn("blocks", F.lit(best["B"]).cast("bigint")).withColumn("h_val", F.lit(round(best["h_val"], 6)))
+    return row.select(*[F.round(c, 6).alias(c) if k == "double" else F.col(c) for c, k in row.dtypes])
 
-add("fit_w14", fit_w14)
+
+add("fit_w10_hybrid", fit_hybrid)
+
+
+def schedules(s, sf):
+    """One start, all schedules: sweeps until each has converged, and what they reach."""
+    from blockpart.plans import local
+
+    edges, truth = generate.preset(planted_nodes(s, sf, "embeddings", "vec_id"), "base", 8)
+    edges, truth = relops.settled(edges), relops.settled(truth)
+    graph = search.to_local(edges, truth)
+    own = dict(truth.select("i", "t").collect())
+    right = np.array([own[i] for i in graph.ids.tolist()])
+    draw = local.draws(SEED, "start", 0, graph.names), local.draws(SEED, "start", 0, graph.names, 1)
+    begin = np.where(draw[0] < 0.4, np.floor(draw[1] * 8).astype(np.int64), right)
+    rows = []
+    for name, cfg in (("sequential", search.FitConfig(schedule="sequential")), ("synchronous", search.FitConfig(schedule="sync")), ("synchronous, half damped", search.FitConfig(schedule="sync", damp=0.5)), ("four batches", search.FitConfig()), ("within four partitions", search.FitConfig(schedule="local", parts=4))):
+        cfg.max_sweeps = 12
+        if cfg.schedule == "local":
+            frame = lambda b: s.createDataFrame(list(zip(graph.ids.tolist(), b.tolist(), strict=True)), "i bigint, b bigint")
+            b, past, sweeps = begin, [local.cells(graph, begin, 8).log_posterior()], 0
+            while sweeps < cfg.max_sweeps and not sweep.converged(past, cfg.tau_closed):
+                now = dict(sweep.partition_local(edges, frame(b), 8, cfg.seed, sweeps, cfg.beta, cfg.parts).collect())
+                b = np.array([now[i] for i in graph.ids.tolist()])
+                past.append(local.cells(graph, b, 8).log_posterior())
+                sweeps += 1
+        else:
+            b, sweeps = local.LocalEngine(graph, cfg, cfg.seed).settle(begin, cfg.tau_closed)
+        engine = local.LocalEngine(graph, search.FitConfig(), SEED)
+        b = local.relabel(b)
+        s_val, h_val = engine.length(b)
+        table_ = np.zeros((8, 8))
+        np.add.at(table_, (right, b), 1)
+        together = lambda x: float((x * (x - 1) / 2).sum())
+        rows.append((name, sweeps, round(s_val, 6), round(h_val, 6), round(engine.length(right)[1], 6), together(table_) / together(table_.sum(0)), together(table_) / together(table_.sum(1))))
+    return s.createDataFrame(rows, "schedule string, sweeps bigint, s_val double, h_val double, truth_h_val double, pair_precision double, pair_recall double")
+
+
+add("w16_schedules", schedules)
+
+
+def rates(s, sf):
+    """Edges a second by size and engine: whole fits one node after another and by arrays; one sweep on Spark over 1, 2 and 4 partitions."""
+    from blockpart.plans import local
+
+    rows, was = [], s.conf.get("spark.sql.shuffle.partitions")
+    for n in (60, 120, 240, 480):
+        edges, truth = generate.preset(s.range(n).toDF("i"), "base", 4)
+        edges, truth = relops.settled(edges), relops.settled(truth)
+        graph, e = search.to_local(edges, truth), float(edges.agg(F.sum("w")).first()[0])
+        for name, schedule in (("serial", "sequential"), ("arrays", "batched")) if n <= 120 else (("arrays", "batched"),):
+            begin = time.monotonic()
+            local.fit(graph, schedule=schedule)
+            rows.append((name, "fit", 1, n, e, time.monotonic() - begin))
+    for n in (2000, 20_000):
+        edges, truth = generate.preset(s.range(n).toDF("i"), "base", 4)
+        edges = relops.settled(edges)
+        assign = relops.settled(truth.select("i", F.col("t").alias("b")))
+        counts, e = relops.settled(stats.cells(edges, assign)), float(edges.agg(F.sum("w")).first()[0])
+        try:
+            for parts in (1, 2, 4):
+                s.conf.set("spark.sql.shuffle.partitions", parts)
+                begin = time.monotonic()
+                sweep.batched_with(edges, assign, counts, 4, SEED, 0)
+                rows.append(("spark", "sweep", parts, n, e, time.monotonic() - begin))
+        finally:
+            s.conf.set("spark.sql.shuffle.partitions", was)
+    return s.createDataFrame([(*r, r[4] / r[5]) for r in rows], "engine string, what string, parallel bigint, nodes bigint, e double, sec double, rate double")
+
+
+add("w13_rates", rates)
+
+
+def slopes(s, sf):
+    """Slope of ln rate against ln edges of each engine, beside that of E log^2 E over the same sizes."""
+    out = None
+    runs = relops.settled(rates(s, sf).where("what = 'fit'"))
+    for engine in ("serial", "arrays"):
+        row = perf.scaling_fit(runs.where(F.col("engine") == engine)).withColumn("engine", F.lit(engine))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+add("q9_scaling", slopes)
 
 # Matrix form
 add("x1_gamma_w1", with_model("w1", "region", lambda e, a, c: matrix.indicator(a)), "select n_nationkey::bigint as row, n_regionkey::bigint as col, 1.0::double as v from nation")
@@ -198,31 +387,59 @@ _DS = f"{_STEP1}, {T.GAIN} select p.i, round(coalesce(d_s, 0), 6) as d_s from pr
 for _name, _flags in (("all", {}), ("x10_off", {"skip_same": False, "delta_only": False}), ("x11_off", {"delta_only": False}), ("x13_off", {"touched_only": False})):
     add(f"x9_delta_{_name}_w1", with_model("w1", "region", lambda e, a, c, f=_flags: rounded(matrix.delta_by(_parts(e, a, c)[4], e, a, c, **f), "d_s").withColumn("d_s", F.col("d_s") + 0.0)), _DS)
 
+_CHANCES = "(select k.i as row, x.t as col, sum(k.k / z.k * (coalesce(sym.m, 0) + 1) / (bdeg.d + 5)) as v from kit k join (select i, sum(k) as k from kit group by i) z on z.i = k.i join bdeg on bdeg.t = k.t cross join bdeg x left join sym on sym.u = k.t and sym.t = x.t group by all)"
+for _g, _k in (("w1", "region"), ("w4", "mod5")):
+    add(f"x6_proposals_{_g}", with_model(_g, _k, lambda e, a, c: rounded(matrix.propose(e, a, c, 5), "v")), f"{T.model(_g, _k)}, {T.near()} select row, col, round(v, 6) as v from {_CHANCES}")
+    add(f"x9_accept_{_g}", with_model(_g, _k, lambda e, a, c, p=_parts: rounded(matrix.accept(p(e, a, c)[4], e, a, c, 5, 3.0, SEED, 0), "a")), f"{T.step(_g, _k, SEED, 0, 5)} select i, r, s, round(a, 6) as a, draw < a as accept from decided")
+
 # Generator
-_NODES = "(select c_custkey::bigint as i from customer where c_custkey < 150)"
+_NODES = "(select c_custkey::bigint as i from customer)"
 _e = 1.0 - 2.5
 _THETA = f"(select i, round(pow(({30.0**_e - 1.0}) * {sql_u01(SEED, 'theta', 0, 'i')} + 1.0, {1.0 / _e}), 9) as theta from {_NODES})"
-add("g2_theta_customer", lambda s, sf: rounded(generate.theta_powerlaw(planted_nodes(s, sf, most=150), 2.5), "theta"), f"select i, round(theta, 6) as theta from {_THETA}")
+add("g2_theta_customer", lambda s, sf: rounded(generate.theta_powerlaw(planted_nodes(s, sf), 2.5), "theta"), f"select i, round(theta, 6) as theta from {_THETA}")
 
 
 def _shares(alpha):
     return f"(select b, round((sum(x) over (order by b rows unbounded preceding) - x) / sum(x) over (), 9) as low, round(sum(x) over (order by b rows unbounded preceding) / sum(x) over (), 9) as high from (select b, round(sum(-ln(1 - {sql_u01(SEED, 'dir', 0, 'b', 'K')})), 9) as x from range(5) t(b), range({alpha}) u(k) group by b))".replace("'K'", "k::varchar")
 
 
-add("g3_truth_dirichlet", lambda s, sf: generate.truth_dirichlet(planted_nodes(s, sf, most=150), 5, 10), f"select i, b as t from {_NODES} join {_shares(10)} on {sql_u01(SEED, 'blk', 0, 'i')} >= low and {sql_u01(SEED, 'blk', 0, 'i')} < high")
+add("g3_truth_dirichlet", lambda s, sf: generate.truth_dirichlet(planted_nodes(s, sf), 5, 10), f"select i, b as t from {_NODES} join {_shares(10)} on {sql_u01(SEED, 'blk', 0, 'i')} >= low and {sql_u01(SEED, 'blk', 0, 'i')} < high")
 add("g4_omega", lambda s, sf: generate.omega(s, 5, 25.0), "select r, s, case when r = s then 25.0 else 1.0 end::double as v from range(5) a(r), range(5) b(s)")
-for _p in generate.PRESETS:
-    add(f"g6_{_p}_pairwise", lambda s, sf, p=_p: generate.preset(planted_nodes(s, sf, most=150), p, method="pairwise")[0])
+
+
+def _theta_sql(nodes, exponent, hi):
+    e = 1.0 - exponent
+    return f"(select i, round(pow(({hi**e - 1.0}) * {sql_u01(SEED, 'theta', 0, 'i')} + 1.0, {1.0 / e}), 9) as theta from {nodes})"
+
+
+def _pairwise_sql(nodes, truth, blocks, ratio, exponent, hi):
+    """A draw per ordered pair: how many terms of the cumulative distribution are at or below it."""
+    draw = sql_u01(SEED, "pois", 0, "src || ':' || dst")
+    return f"""with node as materialized (select i, t, theta from {truth} join {_theta_sql(nodes, exponent, hi)} using (i)),
+size as (select t, sum(theta) as theta from node group by t), load as (select sum((case when x.t = y.t then {ratio} else 1.0 end) * x.theta * y.theta) as load from size x, size y),
+scale as (select round((select count(*) from node) * {generate.DEGREE} / load, 12) as scale from load),
+pair as materialized (select x.i as src, y.i as dst, round(scale * (case when x.t = y.t then {ratio} else 1.0 end) * x.theta * y.theta, 9) as rate from node x, node y, scale),
+drawn as materialized (select src, dst, rate, {draw} as x from pair),
+term as (select src, dst, x, sum(exp(k * ln(rate) - rate - lgamma(k + 1))) over (partition by src, dst order by k rows unbounded preceding) as cdf from drawn, lateral (select unnest(range((ceil(rate + 12 * sqrt(rate)) + 41)::bigint)) as k))
+select src, dst, count(*)::double as w from term where round(cdf, 12) <= x group by src, dst"""
+
+
+#: Pairs of all suppliers: a draw for each is for small graphs only.
+_SUPPLIERS = "(select s_suppkey::bigint as i from supplier)"
+for _p, (_b, _ratio, _alpha, _exponent, _hi) in generate.PRESETS.items():
+    _truth = f"(select i, b as t from {_SUPPLIERS} join {_shares(_alpha)} on {sql_u01(SEED, 'blk', 0, 'i')} >= low and {sql_u01(SEED, 'blk', 0, 'i')} < high)"
+    add(f"g6_{_p}_pairwise", lambda s, sf, p=_p: generate.preset(planted_nodes(s, sf, "supplier", "s_suppkey"), p, method="pairwise")[0], _pairwise_sql(_SUPPLIERS, _truth, _b, _ratio, _exponent, _hi))
     add(f"g6_{_p}_blockpair", lambda s, sf, p=_p: generate.preset(planted_nodes(s, sf), p)[0])
 
 
 def _w9s(s, sf):
-    nodes = table(s, sf, "customer", "c_custkey", "c_mktsegment").where("c_custkey < 150")
-    truth = nodes.select(F.col("c_custkey").alias("i"), (F.array_position(F.array(*map(F.lit, ("AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY"))), F.col("c_mktsegment"))).alias("t"))
-    return generate.planted(truth, generate.theta_powerlaw(truth, 2.5), generate.omega(s, 6, 25.0), 16.0, SEED, "pairwise")
+    """Suppliers with the region of their nation as truth."""
+    rows = table(s, sf, "supplier", "s_suppkey", "s_nationkey").join(F.broadcast(table(s, sf, "nation", "n_nationkey", "n_regionkey")), F.col("s_nationkey") == F.col("n_nationkey"))
+    truth = rows.select(F.col("s_suppkey").cast("bigint").alias("i"), F.col("n_regionkey").cast("bigint").alias("t"))
+    return generate.planted(truth, generate.theta_powerlaw(truth, 2.5), generate.omega(s, 5, 25.0), 16.0, SEED, "pairwise")
 
 
-add("g1a_pairwise_w9s", _w9s)
+add("g1a_pairwise_w9s", _w9s, _pairwise_sql(_SUPPLIERS, "(select s_suppkey::bigint as i, n_regionkey::bigint as t from supplier join nation on s_nationkey = n_nationkey)", 5, 25.0, 2.5, 30.0))
 add("g11_hybrid", lambda s, sf: generate.embed(W.w3(s, sf).select((F.col("src") * 2).alias("src"), (F.col("dst") * 2).alias("dst"), "w"), generate.preset(planted_nodes(s, sf), "base")[0].select((F.col("src") * 2 + 1).alias("src"), (F.col("dst") * 2 + 1).alias("dst"), "w")).groupBy("part").agg(F.count(F.lit(1)).alias("edges"), F.sum("w").alias("w")))
 
 # Stages
@@ -240,13 +457,13 @@ for _g, _k in (("w1", "region"), ("w6", "language")):
     add(f"bl4_modularity_{_g}", with_model(_g, _k, lambda e, a, c: rounded(baselines.modularity(e, a), "q")), f"{T.model(_g, _k)} select round(sum(coalesce(m, 0) / e - d_out * d_in / (e * e)), 6) as q from bdeg left join cells on r = t and s = t, (select sum(m) as e from cells)")
 add("bl4_gamma_w1", with_model("w1", "region", lambda e, a, c: rounded(baselines.modularity(e, a, 0.5), "q")), f"{T.model('w1', 'region')} select round(sum(coalesce(m, 0) / e - 0.5 * d_out * d_in / (e * e)), 6) as q from bdeg left join cells on r = t and s = t, (select sum(m) as e from cells)")
 add("bl5_greedy_step_w4", with_model("w4", "mod5", lambda e, a, c: rounded(baselines.greedy_gains(e, a), "dq")))
-add("bl5_greedy_w1", lambda s, sf: baselines.greedy(relops.settled(W.w1(s, sf)), W.region_of_nation(s, sf), passes=1))
+add("bl5_greedy_w1", lambda s, sf: baselines.greedy(relops.settled(W.w1(s, sf)), W.region_of_nation(s, sf)))
 add("bl6_power_step_w1", lambda s, sf: rounded(baselines.power_step(W.w1(s, sf), W.region_of_nation(s, sf).select("i", (F.col("i") - 12.0).alias("x"))), "x"), f"with e as materialized ({W.SQL['w1']}), sym as materialized (select src, dst, w / 2 as w from e union all select dst, src, w / 2 from e), deg as (select src as i, sum(w) as k from sym group by 1), tot as (select sum(k) as e, sum(k * (i - 12.0)) as kx from deg) select d.i, round(ax - k * kx / e, 6) as x from deg d join (select src as i, sum(w * (dst - 12.0)) as ax from sym group by 1) s on s.i = d.i, tot")
-add("bl6_spectral_w1", lambda s, sf: baselines.spectral(W.w1(s, sf), rounds=5))
+add("bl6_spectral_w1", lambda s, sf: baselines.spectral(W.w1(s, sf), rounds=6))
 
 
 def _slices(s, sf):
-    rows = table(s, sf, "events", "ts", "user_id", "event_type").select((F.col("user_id") * 2).alias("src"), (F.length("event_type") * 2 + 1).cast("bigint").alias("dst"), F.dayofmonth("ts").cast("bigint").alias("slice"))
+    rows = table(s, sf, "events", "ts", "user_id", "event_type").select((F.col("user_id") * 4).alias("src"), string_id(F.col("event_type"), 1).alias("dst"), F.dayofmonth("ts").cast("bigint").alias("slice"))
     return rows.groupBy("src", "dst", "slice").agg(F.count(F.lit(1)).cast("double").alias("w"))
 
 
@@ -255,7 +472,7 @@ def _slice_assign(edges):
     return nodes.withColumn("b", F.col("i") % 3)
 
 
-add("bl7_multislice_w4", lambda s, sf: rounded(baselines.multislice(_slices(s, sf), _slice_assign(_slices(s, sf))), "q"), """with e as materialized (select user_id * 2 as src, length(event_type) * 2 + 1 as dst, day(ts) as slice, count(*)::double as w from events group by all),
+add("bl7_multislice_w4", lambda s, sf: rounded(baselines.multislice(_slices(s, sf), _slice_assign(_slices(s, sf))), "q"), """with e as materialized (select user_id * 4 as src, ('0x' || substr(md5(event_type), 1, 13))::bigint * 4 + 1 as dst, day(ts) as slice, count(*)::double as w from events group by all),
 n as materialized (select i, slice, i % 3 as b from (select src as i, slice from e union select dst, slice from e)),
 c as materialized (select e.slice, x.b as r, y.b as s, sum(w) as m from e join n x on x.i = src and x.slice = e.slice join n y on y.i = dst and y.slice = e.slice group by all),
 tot as (select slice, sum(m) as e from c group by slice), d as (select slice, t, sum(o) as o, sum(n) as n from (select slice, r as t, m as o, 0.0 as n from c union all select slice, s, 0.0, m from c) group by all),
@@ -280,7 +497,20 @@ def resolution(s, sf):
     return s.createDataFrame(rows, "fixture string, blocks bigint, q double, h_val double")
 
 
-add("bl8_resolution_limit", resolution, "select fixture, blocks::bigint as blocks, q::double as q, h_val::double as h_val from (values ('big_and_small', 3, 0.023220, 225476.764307), ('big_and_small', 2, 0.023238, 225537.912826), ('ring_30_5', 30, 0.875758, 3855.690820), ('ring_30_5', 15, 0.887879, 3548.350172), ('ring_30_5', 10, 0.869697, 3509.973550)) t(fixture, blocks, q, h_val)")
+_BIG = "select * from (values (0, 150, 0), (1, 12, 150), (2, 12, 162)) t(c, size, first)"
+_RING = "select c::int as c, 5 as size, (5 * c)::int as first from range(30) t(c)"
+_LINKS = {"big": "select * from (values (150, 162), (0, 150), (0, 162)) t(x, y)", "ring": "select (5 * c + 1)::int as x, (5 * ((c + 1) % 30))::int as y from range(30) t(c)"}
+
+
+def _limit_sql(name, which, cliques, block):
+    """Modularity and description length of a partition of cliques that are joined by single links."""
+    return f"""(with clique as ({cliques}), node as materialized (select c, (first + k)::int as i from clique, lateral (select unnest(range(size)) as k)),
+assign as materialized (select i, ({block})::bigint as b from node), edges as materialized (select x.i as src, y.i as dst, 1.0::double as w from node x join node y on x.c = y.c and x.i <> y.i union all select x, y, 1.0 from ({_LINKS[which]}) union all select y, x, 1.0 from ({_LINKS[which]})),
+{T.CELLS}, q as (select sum(coalesce(m, 0) / e - d_out * d_in / (e * e)) as q from bdeg left join cells on r = t and s = t, (select sum(m) as e from cells))
+select '{name}' as fixture, b::bigint as blocks, round(q, 6) as q, h_val from q, ({T.dl()}))"""
+
+
+add("bl8_resolution_limit", resolution, " union all ".join([_limit_sql("big_and_small", "big", _BIG, "c"), _limit_sql("big_and_small", "big", _BIG, "least(c, 1)"), *(_limit_sql("ring_30_5", "ring", _RING, f"c // {k}") for k in (1, 2, 3))]))
 add("bl10_seed_walk_w4", lambda s, sf: rounded(baselines.seed_walk(W.w4(s, sf), s.createDataFrame([(1,)], "i bigint"), steps=2), "score"))
 add("bl11_pagerank_w1", lambda s, sf: rounded(relops.pagerank(W.w1(s, sf), 2), "rank"), f"with e as materialized ({W.SQL['w1']}), st as materialized (select src, dst, w / sum(w) over (partition by src) as p from e), n as materialized (select src as i from e union select dst from e), c as (select count(*)::double as c from n), r1 as materialized (select i, 0.15 / c + 0.85 * (coalesce(got, 0) + (1 - (select sum(p / c) from st, c)) / c) as rank from n cross join c left join (select dst as i, sum(p / (select c from c)) as got from st group by 1) using (i)), r2 as (select n.i, 0.15 / c + 0.85 * (coalesce(got, 0) + (1 - (select sum(rank * p) from st join r1 on r1.i = src)) / c) as rank from n cross join c left join (select dst as i, sum(rank * p) as got from st join r1 on r1.i = src group by 1) g on g.i = n.i) select i, round(rank, 6) as rank from r2")
 add("bl11_bfs_w4", lambda s, sf: relops.bfs_rings(W.w4(s, sf), s.createDataFrame([(1,)], "i bigint"), 3), f"with recursive e as materialized ({W.SQL['w4']}), both_ as materialized (select src as i, dst as j from e union select dst, src from e), rings(i, ring) as (select 1::bigint, 0 union select j, ring + 1 from rings join both_ using (i) where ring < 3) select i, min(ring)::int as ring from rings group by i")

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import sys
-import tempfile
+import time
 
 import pandas as pd
 from pyspark import cloudpickle
@@ -13,7 +13,7 @@ from pyspark.sql.window import Window
 from blockpart.functions.math import phi, u01
 from blockpart.operators import node, relops, stats
 from blockpart.sources import workloads as W
-from blockpart.sources.tables import EDGES, PlantedSource, edge_list, json_edges, table, write_incidence
+from blockpart.sources.tables import EDGES, PlantedSource, edge_list, json_edges, table, write_incidence, write_partition
 from blockpart.streaming import stages as ST
 
 QUERIES: dict = {}
@@ -143,14 +143,14 @@ add("src_planted", planted_source)
 
 def text_round_trip(kind):
     def call(s, sf):
-        path = tempfile.mkdtemp() + "/e"
+        path = relops.scratch_path(s, "edges")
         edges = W.w1(s, sf)
         if kind == "csv":
-            edges.write.option("sep", "\t").csv(f"file://{path}")
-            return edge_list(s, f"file://{path}")
+            edges.write.option("sep", "\t").csv(path)
+            return edge_list(s, path)
         if kind == "json":
-            edges.write.json(f"file://{path}")
-            return json_edges(s, f"file://{path}")
+            edges.write.json(path)
+            return json_edges(s, path)
         return write_incidence(edges, "incidence_w1", 4).groupBy("i").agg(F.sum("w_out").alias("o"), F.sum("w_in").alias("n"))
 
     return call
@@ -176,7 +176,7 @@ def streamed(kind):
 
 add("stream_tumbling", streamed("tumbling"), "select date_trunc('day', ts)::timestamp as start, date_trunc('day', ts)::timestamp + interval 1 day as \"end\", round(sum(value), 4) as w, count(*) as n from events group by 1, 2")
 add("stream_sliding", streamed("sliding"), "select start, start + interval 2 day as \"end\", round(sum(value), 4) as w, count(*) as n from (select value, unnest([date_trunc('day', ts)::timestamp, date_trunc('day', ts)::timestamp - interval 1 day]) as start from events) group by 1, 2")
-add("stream_session", streamed("session"), "select min(ts) as start, max(ts) + interval 10 minute as \"end\", user_id as src, round(sum(value), 4) as w, count(*) as n from (select *, sum(fresh) over (partition by user_id order by ts, event_id) as k from (select *, case when ts - lag(ts) over (partition by user_id order by ts, event_id) < interval 10 minute then 0 else 1 end as fresh from events)) group by user_id, k")
+add("stream_session", streamed("session"), "select min(ts) as start, max(ts) + interval 10 minute as \"end\", 4 * user_id as src, round(sum(value), 4) as w, count(*) as n from (select *, sum(fresh) over (partition by user_id order by ts, event_id) as k from (select *, case when ts - lag(ts) over (partition by user_id order by ts, event_id) < interval 10 minute then 0 else 1 end as fresh from events)) group by user_id, k")
 add("r3_warm_majority_w4", lambda s, sf: ST.warm_start(W.w4(s, sf), W.each_alone(W.w4(s, sf)).where("i % 7 <> 0").select("i", (F.col("i") % 5).alias("b"))), f"""with e as materialized ({W.SQL['w4']}), nodes as (select src as i from e union select dst from e), old as (select i, i % 5 as b from nodes where i % 7 <> 0),
 near as (select x.i, o.b as t, sum(w) as k from (select src as i, dst as j, w from e where src <> dst union all select dst, src, w from e where src <> dst) x join old o on o.i = x.j group by all),
 best as (select i, t from (select *, row_number() over (partition by i order by k desc, t) as r from near) where r = 1)
@@ -192,31 +192,136 @@ def _increment(s, sf):
     return stats.add_edges(stats.cells(stages.upto(staged, 6), assign), staged.where("stage > 6"), assign)
 
 
-def staged_run(warm):
-    def call(s, sf):
-        from blockpart.operators import stages
+def planted_stages(s, sf, kind="emerging"):
+    """A planted graph on the vectors' ids, in four stages: edges at random, or a snowball from the first node."""
+    from blockpart.operators import generate, stages
+
+    nodes = T(s, sf, "embeddings", "vec_id").select(F.col("vec_id").cast("bigint").alias("i"))
+    edges, truth = generate.preset(nodes, "base", 5)
+    edges = relops.settled(edges)
+    staged = stages.emerging(edges, 4) if kind == "emerging" else stages.snowball(edges, nodes.agg(F.min("i").alias("i")), 4)
+    return relops.settled(staged), relops.settled(truth)
 
-        staged = relops.settled(stages.emerging(W.w1(s, sf), 3))
-        rows = ST.run(staged, W.region_of_nation(s, sf).withColumnRenamed("b", "t"), warm)
-        return s.createDataFrame([(r["stage"], r["n"], float(r["e"]), r["blocks"], round(r["h_val"], 6), r["warm"], r["pair_recall"]) for r in rows], "stage bigint, n bigint, e double, blocks bigint, h_val double, warm boolean, pair_recall double")
+
+def staged_run(kind, **options):
+    def call(s, sf):
+        rows = ST.run(*planted_stages(s, sf, kind), **options)
+        names = ("accuracy", "pair_precision", "pair_recall", "rand", "adjusted_rand", "info_precision", "info_recall")
+        out = [(r["stage"], r["n"], float(r["e"]), r["blocks"], round(r["h_val"], 6), r["tries"], r["warm"], *(None if r[k] is None else round(r[k], 6) for k in names), r["diagnosis"], r["sec"], r["rate"]) for r in rows]
+        kinds = "stage bigint, n bigint, e double, blocks bigint, h_val double, tries bigint, warm boolean, " + ", ".join(f"{k} double" for k in names) + ", diagnosis string, sec double, rate double"
+        return s.createDataFrame(out, kinds)
 
     return call
 
 
-add("r1_stages_w11_cold", staged_run("none"))
-add("r3_stages_w11_warm", staged_run("carry"))
+add("r1_stages_w11_cold", staged_run("emerging", warm="none"))
+add("r3_stages_w11_warm", staged_run("emerging"))
+add("r3b_stages_w11_majority", staged_run("emerging", new="majority"))
+add("r4_stages_w11_reuse", staged_run("emerging", bracket="reuse"))
+add("r1_stages_w12_cold", staged_run("snowball", warm="none"))
+add("r3_stages_w12_warm", staged_run("snowball"))
 
 
 def stream_partition(s, sf):
-    path = tempfile.mkdtemp()
+    path = relops.scratch_path(s, "stream")
     from blockpart.operators import stages
 
-    staged = stages.emerging(W.w1(s, sf), 2)
+    staged = relops.settled(stages.emerging(W.w1(s, sf), 2))
     for k in (1, 2):
-        stages.only(staged, k).select("src", "dst", "w").coalesce(1).write.mode("append").parquet(f"file://{path}/e")
-    source = s.readStream.schema(EDGES).option("maxFilesPerTrigger", 1).parquet(f"file://{path}/e")
-    rows = ST.partition_stream(source, f"file://{path}/check")
+        stages.only(staged, k).select("src", "dst", "w").coalesce(1).write.mode("append").parquet(f"{path}/e")
+    source = s.readStream.schema(EDGES).option("maxFilesPerTrigger", 1).parquet(f"{path}/e")
+    rows = ST.partition_stream(source, f"{path}/check")
     return s.createDataFrame([tuple(r.values()) for r in rows], "batch bigint, e double, blocks bigint, h_val double")
 
 
 add("stream_partition", stream_partition)
+
+
+def stream_once(s, sf):
+    """Every event delivered twice, in two files; the stream keeps one of each."""
+    path = relops.scratch_path(s, "twice")
+    events = T(s, sf, "events")
+    for _ in range(2):
+        events.coalesce(1).write.mode("append").parquet(path)
+    source = ST.event_edges(s.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(path))
+    out = ST.deduplicated(source, watermark="3650 days").select("event_id", "src", "dst")
+    out.writeStream.format("memory").queryName("stream_once_out").outputMode("append").trigger(availableNow=True).start().awaitTermination()
+    return s.table("stream_once_out")
+
+
+add("stream_dedupe", stream_once, "select event_id, 4 * user_id as src, ('0x' || substr(md5(event_type), 1, 13))::bigint * 4 + 1 as dst from events")
+
+
+def stream_static(s, sf):
+    """A stream of events joined with the table of customers."""
+    source = s.readStream.schema(T(s, sf, "events").schema).parquet(f"{sf}/events*.parquet")
+    known = T(s, sf, "customer", "c_custkey", "c_nationkey")
+    out = source.join(known, F.col("user_id") == F.col("c_custkey")).groupBy("c_nationkey").agg(F.count(F.lit(1)).alias("n"))
+    out.writeStream.format("memory").queryName("stream_static_out").outputMode("complete").trigger(availableNow=True).start().awaitTermination()
+    return s.table("stream_static_out")
+
+
+add("stream_static_join", stream_static, "select c_nationkey, count(*) as n from events join customer on user_id = c_custkey group by 1")
+
+
+def stream_stream(s, sf):
+    """Two streams of events, joined on the user within ten minutes after a click of another kind."""
+    schema = T(s, sf, "events").schema
+    side = lambda name: s.readStream.schema(schema).parquet(f"{sf}/events*.parquet").select("event_id", "user_id", "event_type", F.col("ts").cast("timestamp").alias("ts")).withWatermark("ts", "1 hour").alias(name)
+    near = (F.col("a.user_id") == F.col("b.user_id")) & (F.col("a.event_type") < F.col("b.event_type")) & (F.col("b.ts") >= F.col("a.ts")) & (F.col("b.ts") <= F.col("a.ts") + F.expr("interval 10 minutes"))
+    out = side("a").join(side("b"), near).select(F.col("a.event_id").alias("one"), F.col("b.event_id").alias("two"))
+    out.writeStream.format("memory").queryName("stream_stream_out").outputMode("append").trigger(availableNow=True).start().awaitTermination()
+    return s.table("stream_stream_out")
+
+
+add("stream_stream_join", stream_stream, "select a.event_id as one, b.event_id as two from events a join events b on a.user_id = b.user_id and a.event_type < b.event_type and b.ts >= a.ts and b.ts <= a.ts + interval 10 minute")
+
+
+def rate_source(s, sf):
+    """Rows of the built-in source, a fixed number a batch."""
+    source = s.readStream.format("rate-micro-batch").option("rowsPerBatch", 50).load()
+    path = relops.scratch_path(s, "rate")
+    done = source.select("value").writeStream.format("parquet").option("path", path).option("checkpointLocation", f"{path}-check").trigger(processingTime="0 seconds").start()
+    try:
+        while done.lastProgress is None or done.lastProgress["batchId"] < 1:
+            time.sleep(0.1)
+    finally:
+        done.stop()
+    return s.read.parquet(path).where("value < 50").select((F.col("value") % 5).alias("src"), (F.col("value") % 7).alias("dst"))
+
+
+add("src_rate", rate_source, "select v % 5 as src, v % 7 as dst from range(50) t(v)")
+
+
+def kept_partitions(s, sf):
+    """Partitions of the history, each under its number of blocks, and a view over one of them."""
+    path = relops.scratch_path(s, "history")
+    for blocks in (5, 3):
+        write_partition(W.each_alone(W.w1(s, sf)).select("i", (F.col("i") % blocks).alias("b")), blocks, path)
+    s.read.parquet(path).createOrReplaceTempView("kept_partitions")
+    return s.sql("select blocks, b, count(*) as n from kept_partitions where blocks = 3 group by all")
+
+
+add("sink_partitions", kept_partitions, f"with e as ({W.SQL['w1']}) select 3 as blocks, i % 3 as b, count(*) as n from (select src as i from e union select dst from e) group by all")
+
+
+def view_of_method(s, sf):
+    """SQL over what a method gives: block sizes of a partition, through a view."""
+    W.region_of_nation(s, sf).createOrReplaceTempView("partition_by_region")
+    return s.sql("select b, count(*) as n, min(i) as least from partition_by_region group by b having count(*) > 1")
+
+
+add("rel_view_of_method", view_of_method, "select n_regionkey::bigint as b, count(*) as n, min(n_nationkey)::bigint as least from nation group by 1 having count(*) > 1")
+
+
+def grouped_map(s, sf):
+    """Per user, the longest gap between events: a function over each group's frame."""
+
+    def gap(pdf: pd.DataFrame) -> pd.DataFrame:
+        ts = pdf["ts"].sort_values()
+        return pd.DataFrame({"user_id": [pdf["user_id"].iloc[0]], "gap": [int(ts.diff().max().total_seconds() // 1) if len(ts) > 1 else 0]})
+
+    return T(s, sf, "events", "user_id", "ts").groupBy("user_id").applyInPandas(gap, "user_id bigint, gap bigint")
+
+
+add("udf_grouped_map", grouped_map, "select user_id, coalesce(floor(max(epoch_us(ts) - epoch_us(p)) / 1000000), 0)::bigint as gap from (select user_id, ts, lag(ts) over (partition by user_id order by ts) as p from events) group by 1")

@@ -10,7 +10,8 @@ bdeg as materialized (select t, sum(o) as d_out, sum(n) as d_in, sum(o + n) as d
 
 
 def model(graph: str, assign: str) -> str:
-    return f"with edges as materialized ({SQL[graph]}), assign as materialized ({ASSIGN_SQL[assign]}), {CELLS}"
+    """Edges, assign, cells and bdeg; assign may also be a query of its own over edges."""
+    return f"with edges as materialized ({SQL[graph]}), assign as materialized ({ASSIGN_SQL.get(assign, assign)}), {CELLS}"
 
 
 S_VAL = f"(select sum(x) from (select {sql_phi('m')} as x from cells union all select -{sql_phi('d_out')} - {sql_phi('d_in')} from bdeg))"
@@ -24,7 +25,7 @@ sym as materialized (select u, t, sum(m) as m from (select r as u, s as t, m fro
 
 
 def pick(seed: int, it: int) -> str:
-    return f"""picked as materialized (select i, min(t) as u from (select *, sum(k) over (partition by i order by t rows unbounded preceding) as c, sum(k) over (partition by i) as total from kit) where c > {sql_u01(seed, 'prop', it, 'i', 0)} * total group by i)"""
+    return f"""picked as materialized (select i, arg_min(t, -ln(1 - {sql_u01(seed, 'prop', it, "i || ':' || t", 0)}) / k) as u from kit group by i)"""
 
 
 def propose(seed: int, it: int, blocks: int, explore: float | None = None) -> str:

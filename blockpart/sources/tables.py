@@ -45,7 +45,7 @@ def write_incidence(edges: DataFrame, name: str, buckets: int) -> DataFrame:
 
 def write_partition(assign: DataFrame, blocks: int, path: str) -> None:
     """A partition of the history, under its number of blocks."""
-    assign.withColumn("B", F.lit(blocks)).write.mode("append").partitionBy("B").parquet(path)
+    assign.withColumn("blocks", F.lit(blocks)).write.mode("append").partitionBy("blocks").parquet(path)
 
 
 class PlantedSource(DataSource):

@@ -4,13 +4,16 @@ from __future__ import annotations
 
 import time
 from collections.abc import Iterator
+from dataclasses import replace
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.stateful_processor import StatefulProcessor
 
+from blockpart.functions.math import string_id
 from blockpart.operators import metrics, node, stages
+from blockpart.operators.relops import settled
 from blockpart.plans.search import FitConfig, endpoints, fit
 
 
@@ -25,21 +28,23 @@ def warm_start(edges: DataFrame, assign: DataFrame, new: str = "majority") -> Da
     return nodes.join(assign, "i", "left").select("i", F.coalesce("b", -1 - F.col("i")).alias("b"))
 
 
-def run(staged: DataFrame, truth: DataFrame | None = None, warm: str = "carry", new: str = "majority", cfg: FitConfig | None = None) -> list[dict]:
-    """Finish each stage before the next is read; a row of measures per stage."""
-    rows, assign = [], None
+def run(staged: DataFrame, truth: DataFrame | None = None, warm: str = "carry", new: str = "singleton", cfg: FitConfig | None = None, bracket: str = "full") -> list[dict]:
+    """Finish each stage before the next is read; a row of measures per stage.
+
+    warm 'carry': the last partition is the start, new nodes alone ('singleton') or where most of their weight is ('majority'). bracket 'reuse': the first tries
+    are twice, once and half the last number of blocks, in place of halving from the start's.
+    """
+    rows, assign, cfg = [], None, cfg or FitConfig()
     for k in sorted(r[0] for r in staged.select("stage").distinct().collect()):
-        edges = stages.upto(staged, k).groupBy("src", "dst").agg(F.sum("w").alias("w"))
+        edges = settled(stages.upto(staged, k).groupBy("src", "dst").agg(F.sum("w").alias("w")))
         begin = time.monotonic()
         start = warm_start(edges, assign, new) if warm == "carry" and assign is not None else None
-        if start is not None:
-            # A warm search starts from twice the last number of blocks, by splitting nobody: new nodes add theirs.
-            assign, history = fit(edges, None, cfg, start)
-        else:
-            assign, history = fit(edges, None, cfg)
+        last = rows[-1]["blocks"] if rows else None
+        assign, history = fit(edges, None, replace(cfg, around=last if bracket == "reuse" else None), start)
+        assign = settled(assign)
         seconds = time.monotonic() - begin
         size = edges.agg(F.sum("w")).first()[0]
-        row = {"stage": k, "n": assign.count(), "e": size, "blocks": assign.select("b").distinct().count(), "h_val": min(x["h_val"] for x in history), "sec": seconds, "rate": size / seconds, "warm": start is not None}
+        row = {"stage": k, "n": assign.count(), "e": size, "blocks": assign.select("b").distinct().count(), "h_val": min(x["h_val"] for x in history), "tries": len(history) - 1, "sec": seconds, "rate": size / seconds, "warm": start is not None}
         if truth is not None:
             row |= metrics.report(truth, assign).first().asDict()
         rows.append(row)
@@ -79,26 +84,36 @@ def running_degrees(incident: DataFrame) -> DataFrame:
 
 
 def event_edges(events: DataFrame) -> DataFrame:
-    """events as edges by hour type: ts (cast from NTZ), src user, dst kind number, w."""
-    return events.select(F.col("ts").cast("timestamp").alias("ts"), F.col("user_id").alias("src"), F.length("event_type").cast("bigint").alias("dst"), F.col("value").alias("w"), "event_id")
+    """events as edges from user to kind of event: ts (cast from NTZ), src 4 user, dst the kind's own id, w."""
+    return events.select(F.col("ts").cast("timestamp").alias("ts"), (F.col("user_id") * 4).alias("src"), string_id(F.col("event_type"), 1).alias("dst"), F.col("value").alias("w"), "event_id")
+
+
+def deduplicated(events: DataFrame, key: str = "event_id", watermark: str = "1 day") -> DataFrame:
+    """Each event once, however often it arrives within the watermark."""
+    return events.withWatermark("ts", watermark).dropDuplicatesWithinWatermark([key])
 
 
 def partition_stream(source: DataFrame, checkpoint: str, cfg: FitConfig | None = None) -> list[dict]:
-    """foreachBatch over a stream of edges with stage: each batch adds its edges and is partitioned from the last blocks; replays overwrite their stage."""
+    """foreachBatch over a stream of edges: each batch adds its edges and is partitioned from the last blocks. One row per batch.
+
+    Batches, partitions and measures are tables beside the checkpoint, each under its batch number; a restarted stream goes on from them, and a batch that is
+    run again overwrites its own.
+    """
     spark: SparkSession = source.sparkSession
-    held: dict[int, DataFrame] = {}
-    rows: dict[int, dict] = {}
-    last: dict[str, DataFrame] = {}
+    held = f"{checkpoint.rstrip('/')}-held"
+    part = lambda kind, k: f"{held}/{kind}/batch={k}"
+    schema = "src bigint, dst bigint, w double"
 
     def step(batch: DataFrame, number: int) -> None:
-        held[number] = spark.createDataFrame(batch.select("src", "dst", "w").toPandas(), "src bigint, dst bigint, w double") if batch.count() < 100_000 else batch
-        edges = None
-        for frame in held.values():
-            edges = frame if edges is None else edges.unionAll(frame)
+        batch.groupBy("src", "dst").agg(F.sum("w").cast("double").alias("w")).write.mode("overwrite").parquet(part("edges", number))
+        edges = spark.read.schema(schema + ", batch bigint").parquet(f"{held}/edges").where(F.col("batch") <= number)
         edges = edges.groupBy("src", "dst").agg(F.sum("w").alias("w"))
-        start = warm_start(edges, last["assign"]) if "assign" in last else None
-        last["assign"], history = fit(edges, None, cfg, start)
-        rows[number] = {"batch": number, "e": edges.agg(F.sum("w")).first()[0], "blocks": last["assign"].select("b").distinct().count(), "h_val": min(x["h_val"] for x in history)}
+        start = warm_start(edges, spark.read.schema("i bigint, b bigint").parquet(part("assign", number - 1)), "singleton") if number else None
+        assign, history = fit(edges, None, cfg, start)
+        assign.write.mode("overwrite").parquet(part("assign", number))
+        row = (number, edges.agg(F.sum("w")).first()[0], assign.select("b").distinct().count(), min(x["h_val"] for x in history))
+        spark.createDataFrame([row], "number bigint, e double, blocks bigint, h_val double").coalesce(1).write.mode("overwrite").parquet(part("rows", number))
 
     source.writeStream.foreachBatch(step).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
-    return [rows[k] for k in sorted(rows)]
+    rows = spark.read.schema("number bigint, e double, blocks bigint, h_val double").parquet(f"{held}/rows").orderBy("number").collect()
+    return [{"batch": r["number"], "e": r["e"], "blocks": r["blocks"], "h_val": r["h_val"]} for r in rows]

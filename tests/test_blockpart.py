@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from blockpart import registry
 from blockpart.operators import generate, merge, metrics, node, relops, stats
 from blockpart.operators.baselines import cliques
-from blockpart.plans import local, search
+from blockpart.plans import local, search, sweep
 from blockpart.queries.measures import tab
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
@@ -40,17 +40,95 @@ def test_change_of_a_move_is_the_difference():
     rng = np.random.default_rng(0)
     a = rng.poisson(0.5, (20, 20)).astype(float)
     b = rng.integers(0, 4, 20)
-    m, g = local.counts(a, b, 4), local.Graph(a)
+    g, m = local.Graph.dense(a), local.counts(a, b, 4)
+    near = local.near_blocks(g.i, b[g.j], g.out, g.in_, g.loop, 4)
+    first = np.searchsorted(near[0], np.arange(21))
     for i in range(20):
-        t = b[g.near[i]]
-        ko, ki = np.bincount(t, g.out[i], 4), np.bincount(t, g.in_[i], 4)
-        for s in set(range(4)) - {b[i]}:
+        for s in set(range(4)) - {int(b[i])}:
             after = b.copy()
             after[i] = s
-            full = local.counts(a, after, 4)
-            gain, rows, cols = local.move_gain(m, b[i], s, ko, ki, g.loop[i])
-            assert abs(gain - local.log_posterior(full) + local.log_posterior(m)) < 1e-9
-            assert np.allclose(full[[b[i], s]], rows) and np.allclose(full[:, [b[i], s]], cols)
+            gain, _, _ = local.gains(np.array([i]), b[[i]], np.array([s]), near, first, local.cells(g, b, 4))
+            assert abs(gain[0] - local.log_posterior(local.counts(a, after, 4)) + local.log_posterior(m)) < 1e-9
+
+
+def planted_graph(n, blocks, seed=3, within=25.0, degree=16):
+    rng = np.random.default_rng(seed)
+    truth = rng.integers(0, blocks, n)
+    rate = np.where(truth[:, None] == truth, within, 1.0)
+    return rng.poisson(rate * degree * n / rate.sum()).astype(float), truth
+
+
+def test_one_move_after_another_is_the_vectorised_one():
+    """The visit of a single node moves it where the step for all nodes would."""
+    a, _ = planted_graph(60, 3)
+    g, b = local.Graph.dense(a), np.arange(60) % 6
+    after = local.step(g, b, local.cells(g, b, 6), 5, 2, 3.0, None, None)
+    m = local.cells(g, b, 6)
+    for i in range(60):
+        now, own = dict(enumerate(b.tolist())), g.i == i
+        near = [(now[j], o, n) for j, o, n in zip(g.j[own].tolist(), g.out[own], g.in_[own], strict=True) if j != i]
+        local.visit(i, str(i), near, float(g.loop[own].sum()), now, local.Sparse(zip(m.r, m.s, m.m, strict=True), 6), 5, 2, 3.0, None)
+        assert now[i] == after[i]
+    assert (after != b).sum() > 10
+
+
+@pytest.mark.parametrize("options", [{"schedule": "batched", "q": 2}, {"schedule": "sync", "damp": 0.5, "explore": 0.3}, {"directed": False}])
+def test_both_engines_give_one_partition(spark, options):
+    a, _ = planted_graph(48, 3, within=40.0, degree=12)
+    a[5, 5] = 3
+    if not options.get("directed", True):
+        a = np.triu(a)
+    edges = edges_of(spark, [(7 * i, 7 * j, a[i, j]) for i in range(48) for j in range(48) if a[i, j]])
+    nodes = spark.createDataFrame([(7 * i,) for i in range(49)], "i bigint")  # the last one is isolated
+    (one, h1), (two, h2) = (search.fit(edges, nodes, search.FitConfig(engine=e, rate=0.8, max_sweeps=4, tau_open=1e-3, tau_closed=1e-3, **options)) for e in ("local", "spark"))
+    assert [(x["target"], x["B"], x["sweeps"]) for x in h1] == [(x["target"], x["B"], x["sweeps"]) for x in h2]
+    assert [round(x["h_val"], 6) for x in h1] == [round(x["h_val"], 6) for x in h2]
+    assert dict(one.collect()) == dict(two.collect())
+
+
+def test_newest_blocks_within_partitions(spark):
+    """One partition is the sequential schedule; several are something else, and M stays what the blocks say."""
+    a, truth = planted_graph(40, 3)
+    edges, assign = edges_of(spark, [(i, j, a[i, j]) for i in range(40) for j in range(40) if a[i, j]]), assign_of(spark, np.arange(40) % 5)
+    one = dict(sweep.partition_local(edges, assign, 5, 1, 0, parts=1).collect())
+    assert one == dict(sweep.sequential(edges, assign, 5, 1, 0).collect())
+    assert one == dict(enumerate(local.sequential(local.Graph.dense(a), np.arange(40) % 5, 5, 1, 0, 3.0, None).tolist()))
+    found, history = search.fit(edges, None, search.FitConfig(schedule="local", parts=2, rate=0.85, max_sweeps=3))
+    row = min(history, key=lambda x: x["h_val"])
+    b = np.array([v for _, v in sorted(found.collect())])
+    assert row["B"] == b.max() + 1 and abs(length(a, b) - row["h_val"]) < 1e-6
+    with pytest.raises(ValueError):
+        search.fit(edges, None, search.FitConfig(schedule="local", engine="local"))
+
+
+def test_undirected_length_is_that_of_the_formula(spark):
+    a, truth = planted_graph(30, 2)
+    a = np.triu(a)
+    edges = edges_of(spark, [(i, j, a[i, j]) for i in range(30) for j in range(30) if a[i, j]])
+    assign, history = search.fit(edges, None, search.FitConfig(directed=False))
+    row = stats.description_length(stats.undirected_counts(edges, assign), assign, directed=False).first()
+    best = min(history, key=lambda x: x["h_val"])
+    assert abs(row["h_val"] - best["h_val"]) < 1e-6 and row["b"] == best["B"]
+
+
+def test_numbers_by_sort_are_those_of_the_window(spark, monkeypatch):
+    rng = np.random.default_rng(4)
+    assign = spark.createDataFrame([(int(i), int(b)) for i, b in zip(rng.permutation(300), rng.integers(0, 90, 300), strict=True)], "i bigint, b bigint")
+    merges = spark.createDataFrame([(5, 1), (9, 1), (80, 7)], "r bigint, root bigint")
+    one = sorted(merge.relabel(assign, merges).collect())
+    monkeypatch.setattr(merge, "WINDOW_BLOCKS", 0)
+    assert sorted(merge.relabel(assign, merges).collect()) == one and max(b for _, b in one) + 1 == len({b for _, b in one})
+
+
+def test_counts_follow_moves_and_merges(spark):
+    a, _ = planted_graph(40, 3)
+    edges, before = edges_of(spark, [(i, j, a[i, j]) for i in range(40) for j in range(40) if a[i, j]]), assign_of(spark, np.arange(40) % 6)
+    after = assign_of(spark, np.arange(40) % 6 * (np.arange(40) % 3 > 0))
+    as_dict = lambda df: {(r, s): m for r, s, m in df.select("r", "s", "m").collect()}
+    counts = stats.cells(edges, before)
+    assert as_dict(node.refresh_cells(counts, edges, before, after)) == as_dict(stats.cells(edges, after))
+    merges = spark.createDataFrame([(4, 0), (3, 1)], "r bigint, root bigint")
+    assert as_dict(merge.renumbered(counts, merge.numbering(before, merges))) == as_dict(stats.cells(edges, merge.relabel(before, merges)))
 
 
 def test_step_on_spark_is_brute_force(spark):
@@ -119,14 +197,13 @@ def test_search_visits_the_least():
     assert search.next_try([(2, 5.0), (1, 4.0)]) is None
 
 
-@pytest.mark.parametrize("batches", [None, 1, 4])
-def test_planted_blocks_are_found(batches):
-    rng = np.random.default_rng(3)
-    truth = np.repeat(np.arange(4), 30)
-    a = rng.poisson(np.where(truth[:, None] == truth, 0.5, 0.02)).astype(float)
-    b, history = local.fit(local.Graph(a), batches=batches)
+@pytest.mark.parametrize("options", [{"schedule": "sequential"}, {"schedule": "sync"}, {}])
+def test_planted_blocks_are_found(options):
+    a, truth = planted_graph(120, 4)
+    b, history = local.fit(local.Graph.dense(a), **options)
     assert len({(x, y) for x, y in zip(truth.tolist(), b.tolist(), strict=True)}) == 4 and b.max() == 3
-    assert min(x["h_val"] for x in history) <= length(a, truth) + 1e-6
+    best = min(history, key=lambda x: x["h_val"])
+    assert best["h_val"] <= length(a, truth) + 1e-6 and best["B"] == 4
 
 
 def test_assignment_is_the_best_permutation():
