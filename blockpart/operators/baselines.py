@@ -86,7 +86,7 @@ def spectral(edges: DataFrame, rounds: int = 15, seed: int = 42, levels: int = 2
         own = inner.groupBy(F.col("src").alias("i")).agg(F.sum("w").alias("own"))
         rows = live.join(size, "b").join(own, "i", "left").select("i", "b", "k", (F.coalesce("own", F.lit(0.0)) - F.col("k") * F.col("d") / e).alias("off"))
         rows = settled(rows)
-        shift = 2 * (rows.agg(F.max("k")).first()[0] or 0.0)
+        shift = rows.agg(F.max("k")).first()[0] or 0.0
         x = rows.select("i", "b", "k", "off", (u01(seed, "batch", level, F.col("i")) - 0.5).alias("x"))
         for _ in range(rounds):
             pull = x.groupBy("b").agg(F.sum(F.col("k") * F.col("x")).alias("kx"))

@@ -69,10 +69,12 @@ def next_try(history: list[tuple[int, float]], rate: float = 0.5) -> int | None:
 
 def explored(engine, cfg: FitConfig, start=None) -> tuple[object, list[dict]]:
     """The state of least length, and the history. A try is looked for by its target, but stands with the number of blocks that it has: sweeps may empty some."""
-    state = engine.start(start)
+    state, sweeps = engine.start(start), 0
+    if start is not None:  # a partition from elsewhere is a sample to go on from; nodes alone are not
+        state, sweeps = engine.settle(state, cfg.tau_open)
     blocks = engine.blocks(state)
     s, h = engine.length(state)
-    history = [{"target": blocks, "B": blocks, "h_val": h, "s_val": s, "sweeps": 0}]
+    history = [{"target": blocks, "B": blocks, "h_val": h, "s_val": s, "sweeps": sweeps}]
     found, best = {blocks: state}, state
     first = [] if cfg.around is None else [b for b in (2 * cfg.around, cfg.around, max(1, cfg.around // 2)) if b < blocks]
     while (target := first.pop(0) if first else next_try([(x["target"], x["h_val"]) for x in history], cfg.rate)) is not None:

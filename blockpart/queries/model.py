@@ -331,42 +331,47 @@ def schedules(s, sf):
 add("w16_schedules", schedules)
 
 
-def rates(s, sf):
-    """Edges a second by size and engine: whole fits one node after another and by arrays; one sweep on Spark over 1, 2 and 4 partitions."""
+def fit_rates(s):
+    """Seconds of whole fits on one machine by size: one node after another, and by arrays."""
     from blockpart.plans import local
 
-    rows, was = [], s.conf.get("spark.sql.shuffle.partitions")
+    rows = []
     for n in (60, 120, 240, 480):
         edges, truth = generate.preset(s.range(n).toDF("i"), "base", 4)
-        edges, truth = relops.settled(edges), relops.settled(truth)
-        graph, e = search.to_local(edges, truth), float(edges.agg(F.sum("w")).first()[0])
+        graph = search.to_local(relops.settled(edges), truth)
         for name, schedule in (("serial", "sequential"), ("arrays", "batched")) if n <= 120 else (("arrays", "batched"),):
             begin = time.monotonic()
             local.fit(graph, schedule=schedule)
-            rows.append((name, "fit", 1, n, e, time.monotonic() - begin))
-    for n in (2000, 20_000):
-        edges, truth = generate.preset(s.range(n).toDF("i"), "base", 4)
-        edges = relops.settled(edges)
-        assign = relops.settled(truth.select("i", F.col("t").alias("b")))
-        counts, e = relops.settled(stats.cells(edges, assign)), float(edges.agg(F.sum("w")).first()[0])
-        try:
-            for parts in (1, 2, 4):
-                s.conf.set("spark.sql.shuffle.partitions", parts)
-                begin = time.monotonic()
-                sweep.batched_with(edges, assign, counts, 4, SEED, 0)
-                rows.append(("spark", "sweep", parts, n, e, time.monotonic() - begin))
-        finally:
-            s.conf.set("spark.sql.shuffle.partitions", was)
-    return s.createDataFrame([(*r, r[4] / r[5]) for r in rows], "engine string, what string, parallel bigint, nodes bigint, e double, sec double, rate double")
+            rows.append((name, "fit", 1, n, float(graph.w.sum()), time.monotonic() - begin))
+    return rows
+
+
+def rates(s, sf):
+    """Edges a second by size and engine: whole fits on one machine; one sweep on Spark over 1, 2 and 4 partitions."""
+    rows, was, n = fit_rates(s), s.conf.get("spark.sql.shuffle.partitions"), 5000
+    edges, truth = generate.preset(s.range(n).toDF("i"), "base", 4)
+    edges = relops.settled(edges)
+    assign = relops.settled(truth.select("i", F.col("t").alias("b")))
+    counts, e = relops.settled(stats.cells(edges, assign)), float(edges.agg(F.sum("w")).first()[0])
+    try:
+        for parts in (1, 2, 4):
+            s.conf.set("spark.sql.shuffle.partitions", parts)
+            begin = time.monotonic()
+            sweep.batched_with(edges, assign, counts, 4, SEED, 0)
+            rows.append(("spark", "sweep", parts, n, e, time.monotonic() - begin))
+    finally:
+        s.conf.set("spark.sql.shuffle.partitions", was)
+    return s.createDataFrame([(*r, r[4] / r[5]) for r in rows], RATES + ", rate double")
 
 
+RATES = "engine string, what string, parallel bigint, nodes bigint, e double, sec double"
 add("w13_rates", rates)
 
 
 def slopes(s, sf):
     """Slope of ln rate against ln edges of each engine, beside that of E log^2 E over the same sizes."""
     out = None
-    runs = relops.settled(rates(s, sf).where("what = 'fit'"))
+    runs = s.createDataFrame(fit_rates(s), RATES)
     for engine in ("serial", "arrays"):
         row = perf.scaling_fit(runs.where(F.col("engine") == engine)).withColumn("engine", F.lit(engine))
         out = row if out is None else out.unionByName(row)
