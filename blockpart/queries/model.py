@@ -193,7 +193,14 @@ def _null_fit_sql():
 
 #: A null control: the answer is one block, whose length SQL can tell.
 add("fit_w1", fitted("w1"), _null_fit_sql())
-add("fit_w8", fitted("w8", restarts=3))
+#: Of three roles all five partitions can be told.
+_ALL_OF_THREE = f"""with e as materialized ({W.SQL['w8']}), lab as (select p, blocks, unnest([0, 1, 2])::bigint as i, unnest([0, x, y])::bigint as b from (values (0, 1, 0, 0), (1, 2, 0, 1), (2, 2, 1, 0), (3, 2, 1, 1), (4, 3, 1, 2)) v(p, blocks, x, y)),
+c as materialized (select a.p, a.b as r, z.b as s, sum(w) as m from e join lab a on a.i = src join lab z on z.i = dst and z.p = a.p group by all),
+part as (select p, {sql_phi('m')} as x from c union all select p, -{sql_phi('d')} from (select p, r, sum(m) as d from c group by p, r) union all select p, -{sql_phi('d')} from (select p, s, sum(m) as d from c group by p, s)),
+total as (select p, sum(x) as s_val from part group by p), size as (select sum(w) as e from e),
+length as (select p, blocks, e * {T.H_OF('(blocks * blocks / e)')} + 3 * ln(blocks) - s_val as h_val from total join (select distinct p, blocks from lab) using (p), size)
+select i, b, blocks::bigint as blocks, round(h_val, 6) as h_val from lab join (select p, h_val from length order by round(h_val, 9), blocks limit 1) using (p)"""
+add("fit_w8", fitted("w8", restarts=3), _ALL_OF_THREE)
 
 
 def history_of(s, history):
@@ -461,7 +468,14 @@ add("stage_diff_w4", lambda s, sf: relops.stage_diff(stages.emerging(W.w4(s, sf)
 for _g, _k in (("w1", "region"), ("w6", "language")):
     add(f"bl4_modularity_{_g}", with_model(_g, _k, lambda e, a, c: rounded(baselines.modularity(e, a), "q")), f"{T.model(_g, _k)} select round(sum(coalesce(m, 0) / e - d_out * d_in / (e * e)), 6) as q from bdeg left join cells on r = t and s = t, (select sum(m) as e from cells)")
 add("bl4_gamma_w1", with_model("w1", "region", lambda e, a, c: rounded(baselines.modularity(e, a, 0.5), "q")), f"{T.model('w1', 'region')} select round(sum(coalesce(m, 0) / e - 0.5 * d_out * d_in / (e * e)), 6) as q from bdeg left join cells on r = t and s = t, (select sum(m) as e from cells)")
-add("bl5_greedy_step_w4", with_model("w4", "mod5", lambda e, a, c: rounded(baselines.greedy_gains(e, a), "dq")))
+_GREEDY = f"""{T.model('w4', 'mod5')}, {T.near()}, tot as (select sum(m) as e from cells),
+size as materialized (select i, sum(o) as o, sum(n) as n from (select src as i, w as o, 0.0 as n from edges union all select dst, 0.0, w from edges) group by i),
+pull as materialized (select x.i, x.t, a.b as r, (k_out + k_in) / e - (z.o * (d.d_in - case when x.t = a.b then z.n else 0 end) + z.n * (d.d_out - case when x.t = a.b then z.o else 0 end)) / (e * e) as p
+  from near x join assign a on a.i = x.i join size z on z.i = x.i join bdeg d on d.t = x.t, tot),
+alone as (select a.i, -(z.o * (d.d_in - z.n) + z.n * (d.d_out - z.o)) / (e * e) as p from assign a join size z on z.i = a.i join bdeg d on d.t = a.b, tot),
+gains as (select p.i, p.t, round(p.p - coalesce(y.p, l.p), 12) as dq from pull p left join pull y on y.i = p.i and y.t = y.r join alone l on l.i = p.i where p.t <> p.r)
+select i, t as s, round(dq, 6) as dq from (select *, row_number() over (partition by i order by dq desc, t) as k from gains where dq > 0) where k = 1"""
+add("bl5_greedy_step_w4", with_model("w4", "mod5", lambda e, a, c: rounded(baselines.greedy_gains(e, a), "dq")), _GREEDY)
 add("bl5_greedy_w1", lambda s, sf: baselines.greedy(relops.settled(W.w1(s, sf)), W.region_of_nation(s, sf)))
 add("bl6_power_step_w1", lambda s, sf: rounded(baselines.power_step(W.w1(s, sf), W.region_of_nation(s, sf).select("i", (F.col("i") - 12.0).alias("x"))), "x"), f"with e as materialized ({W.SQL['w1']}), sym as materialized (select src, dst, w / 2 as w from e union all select dst, src, w / 2 from e), deg as (select src as i, sum(w) as k from sym group by 1), tot as (select sum(k) as e, sum(k * (i - 12.0)) as kx from deg) select d.i, round(ax - k * kx / e, 6) as x from deg d join (select src as i, sum(w * (dst - 12.0)) as ax from sym group by 1) s on s.i = d.i, tot")
 add("bl6_spectral_w1", lambda s, sf: baselines.spectral(W.w1(s, sf), rounds=6))
@@ -516,7 +530,10 @@ select '{name}' as fixture, b::bigint as blocks, round(q, 6) as q, h_val from q,
 
 
 add("bl8_resolution_limit", resolution, " union all ".join([_limit_sql("big_and_small", "big", _BIG, "c"), _limit_sql("big_and_small", "big", _BIG, "least(c, 1)"), *(_limit_sql("ring_30_5", "ring", _RING, f"c // {k}") for k in (1, 2, 3))]))
-add("bl10_seed_walk_w4", lambda s, sf: rounded(baselines.seed_walk(W.w4(s, sf), s.createDataFrame([(1,)], "i bigint"), steps=2), "score"))
+_WALK = f"""with e as materialized ({W.SQL['w4']}), st as materialized (select src, dst, w / sum(w) over (partition by src) as p from e),
+n1 as materialized (select i, sum(x) as x from (select dst as i, 0.85 * p as x from st where src = 1 union all select 1, 0.15) group by i),
+n2 as (select i, sum(x) as x from (select dst as i, 0.85 * n1.x * p as x from st join n1 on n1.i = src union all select 1, 0.15) group by i) select i, round(x, 6) as score from n2"""
+add("bl10_seed_walk_w4", lambda s, sf: rounded(baselines.seed_walk(W.w4(s, sf), s.createDataFrame([(1,)], "i bigint"), steps=2), "score"), _WALK)
 add("bl11_pagerank_w1", lambda s, sf: rounded(relops.pagerank(W.w1(s, sf), 2), "rank"), f"with e as materialized ({W.SQL['w1']}), st as materialized (select src, dst, w / sum(w) over (partition by src) as p from e), n as materialized (select src as i from e union select dst from e), c as (select count(*)::double as c from n), r1 as materialized (select i, 0.15 / c + 0.85 * (coalesce(got, 0) + (1 - (select sum(p / c) from st, c)) / c) as rank from n cross join c left join (select dst as i, sum(p / (select c from c)) as got from st group by 1) using (i)), r2 as (select n.i, 0.15 / c + 0.85 * (coalesce(got, 0) + (1 - (select sum(rank * p) from st join r1 on r1.i = src)) / c) as rank from n cross join c left join (select dst as i, sum(rank * p) as got from st join r1 on r1.i = src group by 1) g on g.i = n.i) select i, round(rank, 6) as rank from r2")
 add("bl11_bfs_w4", lambda s, sf: relops.bfs_rings(W.w4(s, sf), s.createDataFrame([(1,)], "i bigint"), 3), f"with recursive e as materialized ({W.SQL['w4']}), both_ as materialized (select src as i, dst as j from e union select dst, src from e), rings(i, ring) as (select 1::bigint, 0 union select j, ring + 1 from rings join both_ using (i) where ring < 3) select i, min(ring)::int as ring from rings group by i")
 add("bl12_trivial_w1", lambda s, sf: rounded(stats.description_length(stats.cells(W.w1(s, sf), baselines.trivial(W.region_of_nation(s, sf).select("i"))["one"]), baselines.trivial(W.region_of_nation(s, sf).select("i"))["one"]), "s_val", "model", "labels", "data", "h_val"), f"with edges as materialized ({W.SQL['w1']}), assign as (select n_nationkey::bigint as i, 0::bigint as b from nation), {T.CELLS} {T.dl()}")

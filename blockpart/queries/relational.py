@@ -10,7 +10,7 @@ from pyspark import cloudpickle
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from blockpart.functions.math import phi, u01
+from blockpart.functions.math import phi, sql_u01, u01
 from blockpart.operators import node, relops, stats
 from blockpart.sources import workloads as W
 from blockpart.sources.tables import EDGES, PlantedSource, edge_list, json_edges, table, write_incidence, write_partition
@@ -127,7 +127,9 @@ def poisson_udf(s, sf):
     return rows.select("c_custkey", quantile("x", F.lit(50.0)).alias("n"))
 
 
-add("udf_pandas_poisson", poisson_udf)
+_QUANTILE = """with cdf as materialized (select k, sum(exp(k * ln(50.0) - 50 - lgamma(k + 1))) over (order by k) as c from range(300) t(k))
+select c_custkey, (select count(*) from cdf where c <= x) as n from (select c_custkey, """ + sql_u01(42, "pois", 0, "c_custkey") + """ as x from customer)"""
+add("udf_pandas_poisson", poisson_udf, _QUANTILE)
 
 
 # Sources and sinks
