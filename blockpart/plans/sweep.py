@@ -39,10 +39,11 @@ def swept(edges: DataFrame, assign: DataFrame, counts: DataFrame, blocks: int, c
     return after, settled(node.refresh_cells(counts, edges, assign, after))
 
 
-def synchronous(edges: DataFrame, assign: DataFrame, blocks: int, seed: int, it: int, beta: float = 3.0, explore: float | None = None, damp: float = 1.0) -> DataFrame:
-    """New assign; all nodes see the previous sweep. damp < 1: only so large a hashed share may move."""
+def synchronous(edges: DataFrame, assign: DataFrame, blocks: int, seed: int, it: int, beta: float = 3.0, explore: float | None = None, damp: float = 1.0, counts: DataFrame | None = None) -> DataFrame:
+    """New assign; all nodes see the previous sweep. damp < 1: only so large a hashed share may move. Counts that are known need not be made again."""
     only = None if damp >= 1 else u01(seed, "batch", it, F.col("i")) < damp
-    return node.apply_moves(assign, node.evaluate(edges, assign, settled(stats.cells(edges, assign)), blocks, seed, it, beta, explore, only))
+    counts = settled(stats.cells(edges, assign)) if counts is None else counts
+    return node.apply_moves(assign, node.evaluate(edges, assign, counts, blocks, seed, it, beta, explore, only))
 
 
 def batched(edges: DataFrame, assign: DataFrame, blocks: int, seed: int, it: int, q: int, beta: float = 3.0, explore: float | None = None) -> DataFrame:

@@ -36,11 +36,13 @@ def assign_of(kind, s, sf, edges):
     return alone if kind == "alone" else alone.select("i", (F.col("i") % 5).alias("b"))
 
 
-def with_model(graph, kind, then):
+def with_model(graph, kind, then, counted=True):
+    """A query over a graph, a partition and, unless it has no use for them, the counts, each written once."""
+
     def call(s, sf):
         edges = relops.settled(W.GRAPHS[graph](s, sf))
         assign = relops.settled(assign_of(kind, s, sf, edges))
-        return then(edges, assign, relops.settled(stats.cells(edges, assign)))
+        return then(edges, assign, relops.settled(stats.cells(edges, assign)) if counted else None)
 
     return call
 
@@ -95,18 +97,18 @@ for _g, _k in (("w1", "region"), ("w4", "mod5")):
         return node.hastings(relops.settled(node.delta_s(props, change, c, deg, near, selfs)), change, c, deg, weights, selfs, 5)
 
     _m, _n = T.model(_g, _k), T.near()
-    add(f"n1_nodeblock_{_g}", with_model(_g, _k, lambda e, a, c: node.node_block(e, a)), f"{_m}, {_n} select i, t, k_out, k_in from near")
-    add(f"n2_neighbour_block_{_g}", with_model(_g, _k, lambda e, a, c: node.neighbour_block(node.node_weights(node.node_block(e, a), node.self_weights(e), a), SEED, 0)), f"{_m}, {_n}, {T.pick(SEED, 0)} select i, u from picked")
+    add(f"n1_nodeblock_{_g}", with_model(_g, _k, lambda e, a, c: node.node_block(e, a), False), f"{_m}, {_n} select i, t, k_out, k_in from near")
+    add(f"n2_neighbour_block_{_g}", with_model(_g, _k, lambda e, a, c: node.neighbour_block(node.node_weights(node.node_block(e, a), node.self_weights(e), a), SEED, 0), False), f"{_m}, {_n}, {T.pick(SEED, 0)} select i, u from picked")
     add(f"n3_propose_{_g}", with_model(_g, _k, lambda e, a, c: _parts(e, a, c)[4]), f"{_m}, {_n}, {T.propose(SEED, 0, 5)} select i, r, u, s, kind from props")
     add(f"n3_fixed_eps_{_g}", with_model(_g, _k, lambda e, a, c: _parts(e, a, c, 0.3)[4]), f"{_m}, {_n}, {T.propose(SEED, 0, 5, 0.3)} select i, r, u, s, kind from props")
     add(f"n5_celldelta_{_g}", with_model(_g, _k, lambda e, a, c: _parts(e, a, c)[5]), f"{_m}, {_n}, {T.propose(SEED, 0, 5)}, {T.CHANGE} select i, p, q, dm from chg")
     add(f"n6_deltas_{_g}", with_model(_g, _k, lambda e, a, c: rounded(_gain(e, a, c), "d_s")), f"{_m}, {_n}, {T.propose(SEED, 0, 5)}, {T.CHANGE}, {T.GAIN} select i, r, s, k_out, k_in, round(d_s, 6) as d_s from gain")
     add(f"n7_hastings_{_g}", with_model(_g, _k, lambda e, a, c: rounded(_hast(e, a, c), "p_fwd", "p_bwd")), f"{_m}, {_n}, {T.propose(SEED, 0, 5)}, {T.CHANGE}, {T.GAIN}, {T.hastings(5)} select i, round(p_fwd, 6) as p_fwd, round(p_bwd, 6) as p_bwd from chance")
     add(f"n8_accept_{_g}", with_model(_g, _k, lambda e, a, c: node.evaluate(e, a, c, 5, SEED, 0).select("i", "r", "s", F.round("a", 6).alias("a"), "accept")), f"{T.step(_g, _k, SEED, 0, 5)} select i, r, s, round(a, 6) as a, draw < a as accept from decided")
-    add(f"v2_sweep1_{_g}", with_model(_g, _k, lambda e, a, c: sweep.synchronous(e, a, 5, SEED, 0)), f"{T.step(_g, _k, SEED, 0, 5)} select a.i, coalesce(d.s, a.b) as b from assign a left join (select * from decided where draw < a) d on d.i = a.i")
-    add(f"v5_refresh_{_g}", with_model(_g, _k, lambda e, a, c: node.refresh_cells(c, e, a, sweep.synchronous(e, a, 5, SEED, 0))), f"{T.step(_g, _k, SEED, 0, 5)}, after as (select a.i, coalesce(d.s, a.b) as b from assign a left join (select * from decided where draw < a) d on d.i = a.i) select x.b as r, y.b as s, sum(w) as m from edges join after x on x.i = src join after y on y.i = dst group by all")
+    add(f"v2_sweep1_{_g}", with_model(_g, _k, lambda e, a, c: sweep.synchronous(e, a, 5, SEED, 0, counts=c)), f"{T.step(_g, _k, SEED, 0, 5)} select a.i, coalesce(d.s, a.b) as b from assign a left join (select * from decided where draw < a) d on d.i = a.i")
+    add(f"v5_refresh_{_g}", with_model(_g, _k, lambda e, a, c: node.refresh_cells(c, e, a, sweep.synchronous(e, a, 5, SEED, 0, counts=c))), f"{T.step(_g, _k, SEED, 0, 5)}, after as (select a.i, coalesce(d.s, a.b) as b from assign a left join (select * from decided where draw < a) d on d.i = a.i) select x.b as r, y.b as s, sum(w) as m from edges join after x on x.i = src join after y on y.i = dst group by all")
     add(f"v6_influence_{_g}", with_model(_g, _k, lambda e, a, c: rounded(node.influence(e, node.evaluate(e, a, c, 5, SEED, 0).where("accept").select("i")), "mean_neighbours")), f"{T.step(_g, _k, SEED, 0, 5)}, pairs as (select distinct least(src, dst) as x, greatest(src, dst) as y from edges where src <> dst), mv as (select i from decided where draw < a) select (select count(*) from pairs) as pairs, (select count(*) from pairs where x in (select i from mv) and y in (select i from mv)) as together, round((select 2.0 * count(*) from pairs) / (select count(*) from (select x from pairs union select y from pairs)), 6) as mean_neighbours")
-add("v2_damped_w4", with_model("w4", "mod5", lambda e, a, c: sweep.synchronous(e, a, 5, SEED, 0, damp=0.5)), f"{T.step('w4', 'mod5', SEED, 0, 5)} select a.i, coalesce(d.s, a.b) as b from assign a left join (select * from decided where draw < a and {sql_u01(SEED, 'batch', 0, 'i')} < 0.5) d on d.i = a.i")
+add("v2_damped_w4", with_model("w4", "mod5", lambda e, a, c: sweep.synchronous(e, a, 5, SEED, 0, damp=0.5, counts=c)), f"{T.step('w4', 'mod5', SEED, 0, 5)} select a.i, coalesce(d.s, a.b) as b from assign a left join (select * from decided where draw < a and {sql_u01(SEED, 'batch', 0, 'i')} < 0.5) d on d.i = a.i")
 
 
 def _batch_sql(k, before):
@@ -115,9 +117,9 @@ def _batch_sql(k, before):
     return f"{step} select a.i, coalesce(d.s, a.b) as b from assign a left join (select * from decided where draw < a and floor({sql_u01(SEED, 'batch', 0, 'i')} * 2) = {k}) d on d.i = a.i"
 
 
-add("v3_batched_w4", with_model("w4", "mod5", lambda e, a, c: sweep.batched(e, a, 5, SEED, 0, 2)), _batch_sql(1, _batch_sql(0, "mod5")))
-add("v4_local_w4", with_model("w4", "mod5", lambda e, a, c: sweep.partition_local(e, a, 5, SEED, 0)))
-add("v1_sequential_w1", with_model("w1", "region", lambda e, a, c: sweep.sequential(e, a, 5, SEED, 0)))
+add("v3_batched_w4", with_model("w4", "mod5", lambda e, a, c: sweep.batched(e, a, 5, SEED, 0, 2), False), _batch_sql(1, _batch_sql(0, "mod5")))
+add("v4_local_w4", with_model("w4", "mod5", lambda e, a, c: sweep.partition_local(e, a, 5, SEED, 0), False))
+add("v1_sequential_w1", with_model("w1", "region", lambda e, a, c: sweep.sequential(e, a, 5, SEED, 0), False))
 
 
 def stop_rule(s, sf):
@@ -388,10 +390,10 @@ def slopes(s, sf):
 add("q9_scaling", slopes)
 
 # Matrix form
-add("x1_gamma_w1", with_model("w1", "region", lambda e, a, c: matrix.indicator(a)), "select n_nationkey::bigint as row, n_regionkey::bigint as col, 1.0::double as v from nation")
-add("x3_gag_w1", with_model("w1", "region", lambda e, a, c: matrix.block_counts(e, a)), f"{T.model('w1', 'region')} select r as row, s as col, m as v from cells")
-add("x4_rows_w1", with_model("w1", "region", lambda e, a, c: matrix.row_contrib(e, a)), f"{T.model('w1', 'region')} select src as row, b as col, sum(w) as v from edges join assign on i = dst group by all")
-add("x5_cols_w1", with_model("w1", "region", lambda e, a, c: matrix.col_contrib(e, a)), f"{T.model('w1', 'region')} select dst as row, b as col, sum(w) as v from edges join assign on i = src group by all")
+add("x1_gamma_w1", with_model("w1", "region", lambda e, a, c: matrix.indicator(a), False), "select n_nationkey::bigint as row, n_regionkey::bigint as col, 1.0::double as v from nation")
+add("x3_gag_w1", with_model("w1", "region", lambda e, a, c: matrix.block_counts(e, a), False), f"{T.model('w1', 'region')} select r as row, s as col, m as v from cells")
+add("x4_rows_w1", with_model("w1", "region", lambda e, a, c: matrix.row_contrib(e, a), False), f"{T.model('w1', 'region')} select src as row, b as col, sum(w) as v from edges join assign on i = dst group by all")
+add("x5_cols_w1", with_model("w1", "region", lambda e, a, c: matrix.col_contrib(e, a), False), f"{T.model('w1', 'region')} select dst as row, b as col, sum(w) as v from edges join assign on i = src group by all")
 _STEP1 = f"{T.model('w1', 'region')}, {T.near()}, {T.propose(SEED, 0, 5)}, {T.CHANGE}"
 add("x7_dense_tensor_w1", with_model("w1", "region", lambda e, a, c: matrix.tensor(_parts(e, a, c)[4], e, a, c, dense=True)), f"{_STEP1} select v.i, x.t as p, y.t as q, coalesce(m, 0) + coalesce(dm, 0) as m from moving v cross join bdeg x cross join bdeg y left join cells on cells.r = x.t and cells.s = y.t left join chg on chg.i = v.i and chg.p = x.t and chg.q = y.t")
 add("x8_sparse_tensor_w1", with_model("w1", "region", lambda e, a, c: matrix.tensor(_parts(e, a, c)[4], e, a, c)), f"{_STEP1} select i, p, q, dm from chg")
@@ -466,8 +468,8 @@ add("stage_diff_w4", lambda s, sf: relops.stage_diff(stages.emerging(W.w4(s, sf)
 
 # Baselines
 for _g, _k in (("w1", "region"), ("w6", "language")):
-    add(f"bl4_modularity_{_g}", with_model(_g, _k, lambda e, a, c: rounded(baselines.modularity(e, a), "q")), f"{T.model(_g, _k)} select round(sum(coalesce(m, 0) / e - d_out * d_in / (e * e)), 6) as q from bdeg left join cells on r = t and s = t, (select sum(m) as e from cells)")
-add("bl4_gamma_w1", with_model("w1", "region", lambda e, a, c: rounded(baselines.modularity(e, a, 0.5), "q")), f"{T.model('w1', 'region')} select round(sum(coalesce(m, 0) / e - 0.5 * d_out * d_in / (e * e)), 6) as q from bdeg left join cells on r = t and s = t, (select sum(m) as e from cells)")
+    add(f"bl4_modularity_{_g}", with_model(_g, _k, lambda e, a, c: rounded(baselines.modularity(e, a), "q"), False), f"{T.model(_g, _k)} select round(sum(coalesce(m, 0) / e - d_out * d_in / (e * e)), 6) as q from bdeg left join cells on r = t and s = t, (select sum(m) as e from cells)")
+add("bl4_gamma_w1", with_model("w1", "region", lambda e, a, c: rounded(baselines.modularity(e, a, 0.5), "q"), False), f"{T.model('w1', 'region')} select round(sum(coalesce(m, 0) / e - 0.5 * d_out * d_in / (e * e)), 6) as q from bdeg left join cells on r = t and s = t, (select sum(m) as e from cells)")
 _GREEDY = f"""{T.model('w4', 'mod5')}, {T.near()}, tot as (select sum(m) as e from cells),
 size as materialized (select i, sum(o) as o, sum(n) as n from (select src as i, w as o, 0.0 as n from edges union all select dst, 0.0, w from edges) group by i),
 pull as materialized (select x.i, x.t, a.b as r, (k_out + k_in) / e - (z.o * (d.d_in - case when x.t = a.b then z.n else 0 end) + z.n * (d.d_out - case when x.t = a.b then z.o else 0 end)) / (e * e) as p
@@ -475,7 +477,7 @@ pull as materialized (select x.i, x.t, a.b as r, (k_out + k_in) / e - (z.o * (d.
 alone as (select a.i, -(z.o * (d.d_in - z.n) + z.n * (d.d_out - z.o)) / (e * e) as p from assign a join size z on z.i = a.i join bdeg d on d.t = a.b, tot),
 gains as (select p.i, p.t, round(p.p - coalesce(y.p, l.p), 12) as dq from pull p left join pull y on y.i = p.i and y.t = y.r join alone l on l.i = p.i where p.t <> p.r)
 select i, t as s, round(dq, 6) as dq from (select *, row_number() over (partition by i order by dq desc, t) as k from gains where dq > 0) where k = 1"""
-add("bl5_greedy_step_w4", with_model("w4", "mod5", lambda e, a, c: rounded(baselines.greedy_gains(e, a), "dq")), _GREEDY)
+add("bl5_greedy_step_w4", with_model("w4", "mod5", lambda e, a, c: rounded(baselines.greedy_gains(e, a), "dq"), False), _GREEDY)
 add("bl5_greedy_w1", lambda s, sf: baselines.greedy(relops.settled(W.w1(s, sf)), W.region_of_nation(s, sf)))
 add("bl6_power_step_w1", lambda s, sf: rounded(baselines.power_step(W.w1(s, sf), W.region_of_nation(s, sf).select("i", (F.col("i") - 12.0).alias("x"))), "x"), f"with e as materialized ({W.SQL['w1']}), sym as materialized (select src, dst, w / 2 as w from e union all select dst, src, w / 2 from e), deg as (select src as i, sum(w) as k from sym group by 1), tot as (select sum(k) as e, sum(k * (i - 12.0)) as kx from deg) select d.i, round(ax - k * kx / e, 6) as x from deg d join (select src as i, sum(w * (dst - 12.0)) as ax from sym group by 1) s on s.i = d.i, tot")
 add("bl6_spectral_w1", lambda s, sf: baselines.spectral(W.w1(s, sf), rounds=6))
