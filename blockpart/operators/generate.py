@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from blockpart.functions.math import u01
+from blockpart.operators.relops import by_weight, counted, weight_cells
 
 #: The four panels: blocks, within/between strength, Dirichlet alpha, power-law exponent, largest theta.
 PRESETS = {"base": (5, 25.0, 10, 2.5, 30.0), "overlap": (5, 8.0, 10, 2.5, 30.0), "sizes": (5, 25.0, 2, 2.5, 30.0), "hubs": (5, 25.0, 10, 2.05, 100.0)}
@@ -78,20 +79,12 @@ def planted(truth: DataFrame, theta: DataFrame, strength: DataFrame, mean_degree
         return drawn.where("w > 0")
     draw = np.random.default_rng(seed)
     totals = [(r["r"], r["s"], int(draw.poisson(scale * r["load"])), r["tr"], r["ts"]) for r in pairs.orderBy("r", "s").collect()]
-    rows = nodes.sparkSession.createDataFrame(totals, "r bigint, s bigint, n bigint, tr double, ts double").where("n > 0").select("r", "s", "tr", "ts", F.explode(F.sequence(F.lit(1), F.col("n"))).alias("k"))
+    rows = nodes.sparkSession.createDataFrame(totals, "r bigint, s bigint, n bigint, tr double, ts double").where("n > 0")
+    rows = counted(rows, F.lit(1).cast("bigint"), F.col("n"), "k")
     ident = F.concat_ws(":", "r", "s", "k")
     rows = rows.select("r", "s", (u01(seed, "end", 0, ident, 0) * F.col("tr")).alias("xr"), (u01(seed, "end", 0, ident, 1) * F.col("ts")).alias("xs"))
-    own = Window.partitionBy("t").orderBy("i")
-    steps = nodes.withColumn("high", F.sum("theta").over(own.rowsBetween(Window.unboundedPreceding, 0))).withColumn("low", F.col("high") - F.col("theta"))
-    # Draws find their node by a bucket of the cumulative weight, so a range join has few candidates.
-    wide = size.agg(F.max("theta")).first()[0] / 512
-    steps = steps.select("t", "i", "low", "high", F.explode(F.sequence(F.floor(F.col("low") / wide), F.floor(F.col("high") / wide))).alias("cell"))
-
-    def end(frame: DataFrame, block: str, x: str, name: str) -> DataFrame:
-        at = frame.withColumn("cell", F.floor(F.col(x) / wide)).join(steps.withColumnRenamed("t", block), [block, "cell"])
-        return at.where((F.col(x) >= F.col("low")) & (F.col(x) < F.col("high"))).withColumnRenamed("i", name).drop("low", "high", "cell")
-
-    both = end(end(rows, "r", "xr", "src"), "s", "xs", "dst")
+    cells = weight_cells(nodes, "t", "i", "theta")
+    both = by_weight(by_weight(rows, "r", "xr", cells, "src"), "s", "xs", cells, "dst")
     return both.groupBy("src", "dst").agg(F.count(F.lit(1)).cast("double").alias("w"))
 
 
@@ -131,10 +124,8 @@ def embed(real: DataFrame, made: DataFrame, share: float = 0.05, seed: int = 42)
         """Cumulative degrees within hashed groups: first a group, then a node of it."""
         grouped = nodes.withColumn("g", F.pmod(F.xxhash64("i"), F.lit(256)))
         tops = grouped.groupBy("g").agg(F.sum("k").alias("kg")).withColumn("hg", F.sum("kg").over(Window.orderBy("g").rowsBetween(Window.unboundedPreceding, 0))).withColumn("all", F.sum("kg").over(Window.partitionBy()))
-        inner = grouped.withColumn("high", F.sum("k").over(Window.partitionBy("g").orderBy("i").rowsBetween(Window.unboundedPreceding, 0)))
         x = frame.join(F.broadcast(tops.withColumn("lg", F.col("hg") - F.col("kg"))), (u01(seed, "cross", 0, F.col("n"), k) * F.col("all") >= F.col("lg")) & (u01(seed, "cross", 0, F.col("n"), k) * F.col("all") < F.col("hg"))).withColumn("y", u01(seed, "cross", 0, F.col("n"), k) * F.col("all") - F.col("lg"))
-        found = x.join(inner.select("g", F.col("i").alias(name), "high", (F.col("high") - F.col("k")).alias("low")), "g")
-        return found.where("low <= y and y < high").drop("g", "kg", "hg", "lg", "all", "y", "low", "high")
+        return by_weight(x.drop("kg", "hg", "lg", "all"), "g", "y", weight_cells(grouped, "g", "i", "k"), name).drop("g")
 
     cross = end(end(draws, a, "x", 0), b, "y_", 1)
     turn = u01(seed, "cross", 0, F.col("n"), 2) < 0.5

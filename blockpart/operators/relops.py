@@ -7,7 +7,7 @@ import shutil
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -32,11 +32,59 @@ def settled(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def in_parts(rows: DataFrame, *by: str) -> DataFrame:
+    """Written in the order of `by`, with _part, the range of rows that a row is in, and _at, its place. Ranges are cut by rows, so a hot key spans many."""
+    held = rows.repartitionByRange(*by).sortWithinPartitions(*by).withColumn("_at", F.monotonically_increasing_id())
+    return settled(held).withColumn("_part", F.shiftright("_at", 33))
+
+
+def running(held: DataFrame, key: str, value: str, name: str) -> DataFrame:
+    """Adds `name` to rows of `in_parts` in an order led by `key`: the sum of `value` within `key` up to and with each row; sums within ranges, raised by those of the ranges before."""
+    own = Window.partitionBy(key, "_part").orderBy("_at").rowsBetween(Window.unboundedPreceding, 0)
+    earlier = Window.partitionBy(key).orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)  # a row per range
+    starts = held.groupBy(key, "_part").agg(F.sum(value).alias("_sum")).select(key, "_part", F.coalesce(F.sum("_sum").over(earlier), F.lit(0.0)).alias("_start"))
+    found = held.withColumn(name, F.sum(value).over(own)).join(starts, [key, "_part"])
+    return found.withColumn(name, F.col(name) + F.col("_start")).drop("_at", "_part", "_start")
+
+
+def counted(df: DataFrame, low: Column, high: Column, name: str, chunk: int = 1 << 16) -> DataFrame:
+    """A row for each whole number from low to high, in two steps, so that no row holds a long array and no task all numbers of one row."""
+    chunks = df.withColumn("_low", low).withColumn("_high", high).withColumn("_k", F.explode(F.sequence(F.lit(0).cast("bigint"), F.floor((F.col("_high") - F.col("_low")) / chunk))))
+    first = F.col("_low") + F.col("_k") * chunk
+    return chunks.repartition("_low", "_high", "_k").withColumn(name, F.explode(F.sequence(first, F.least(first + (chunk - 1), F.col("_high"))))).drop("_low", "_high", "_k")
+
+
+def weight_cells(nodes: DataFrame, key: str, node: str, weight: str) -> tuple[DataFrame, DataFrame]:
+    """For `by_weight`: the sum and number of the nodes of each key, and the nodes' ranges of running weights (in the order of `node`) in as many cells as the key has nodes."""
+    held = in_parts(nodes.select(F.col(key).alias("_key"), F.col(node).alias("_node"), F.col(weight).cast("double").alias("_w")), "_key", "_node")
+    cell = lambda c: F.floor(c * F.col("_n") / F.col("_total"))
+    sizes = held.groupBy("_key").agg(F.sum("_w").alias("_total"), F.count(F.lit(1)).alias("_n"))
+    steps = running(held, "_key", "_w", "_to").withColumn("_from", F.col("_to") - F.col("_w")).join(sizes, "_key")
+    return sizes, counted(steps.drop("_w"), cell(F.col("_from")), cell(F.col("_to")), "_cell").drop("_n", "_total")
+
+
+def by_weight(draws: DataFrame, key: str, x: str, cells: tuple[DataFrame, DataFrame], name: str) -> DataFrame:
+    """Draws with `name`: the node of the same key in whose range of running weights x lies; x is from 0 to below the key's sum, and goes. A draw meets the nodes of one cell, about one, whatever their number."""
+    sizes, steps = cells
+    placed = draws.withColumn("_key", F.col(key)).join(sizes, "_key").withColumn("_cell", F.floor(F.col(x) * F.col("_n") / F.col("_total"))).drop("_n", "_total")
+    found = placed.join(steps, ["_key", "_cell"]).where((F.col("_from") <= F.col(x)) & (F.col(x) < F.col("_to")))
+    return found.drop("_key", "_cell", "_from", "_to", x).withColumnRenamed("_node", name)
+
+
 def as_of_join(left: DataFrame, right: DataFrame, by: str, t: str, value: str) -> DataFrame:
-    """Each left row with the latest right value at or before its time: one union, one window."""
+    """Each left row with the latest right value at or before its time: one union, ranges of its order, and what each range is left by the ones before.
+
+    Right rows without a key or a time match nothing, nor do left rows without a key.
+    """
+    right = right.where(F.col(by).isNotNull() & F.col(t).isNotNull())
     rows = left.withColumn("_v", F.lit(None).cast(right.schema[value].dataType)).withColumn("_side", F.lit(1)).unionByName(right.select(by, t, F.col(value).alias("_v")).withColumn("_side", F.lit(0)), allowMissingColumns=True)
-    own = Window.partitionBy(by).orderBy(t, "_side").rowsBetween(Window.unboundedPreceding, 0)
-    return rows.withColumn(value, F.last("_v", ignorenulls=True).over(own)).where("_side = 1").drop("_v", "_side")
+    held = in_parts(rows, by, t, "_side")
+    own = Window.partitionBy(by, "_part").orderBy("_at").rowsBetween(Window.unboundedPreceding, 0)
+    earlier = Window.partitionBy(by).orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)  # a row per range
+    last = held.groupBy(by, "_part").agg(F.max_by("_v", F.when(F.col("_v").isNotNull(), F.col("_at"))).alias("_last"))
+    last = last.select(by, "_part", F.last("_last", ignorenulls=True).over(earlier).alias("_last"))
+    found = held.withColumn("_v", F.last("_v", ignorenulls=True).over(own)).where("_side = 1").join(last, [by, "_part"], "left")
+    return found.select(*[f"`{c}`" for c in left.columns if c != value], F.coalesce("_v", "_last").alias(value))
 
 
 def interval_join(a: DataFrame, b: DataFrame, by: str, t: str, seconds: int) -> DataFrame:

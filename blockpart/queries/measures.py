@@ -54,7 +54,7 @@ add("c5_recall_tab", lambda s, sf: r6(metrics.block_recall(tab(s), metrics.assoc
 add("c6_pairs_tab", lambda s, sf: metrics.pair_counts(tab(s)), f"with {TAB}, {PAIR} select * from pc")
 add("c7_c10_rand_tab", lambda s, sf: r6(metrics.pair_measures(tab(s))), f"with {TAB}, {PAIR} {RAND}")
 add("c12_c15_info_tab", lambda s, sf: r6(metrics.information(tab(s))), f"with {TAB}, {INFO} {INFO_OUT}")
-add("c16_diagnosis_tab", lambda s, sf: metrics.diagnosis(tab(s)), f"with {TAB} select count(distinct t) as truths, count(distinct o) as outputs, 'over' as diagnosis from cont")
+add("c16_diagnosis_tab", lambda s, sf: metrics.diagnosis(tab(s)), f"with {TAB}, n as (select count(distinct t) as truths, count(distinct o) as outputs from cont) select *, case when outputs > truths then 'over' when outputs < truths then 'under' else 'equal' end as diagnosis from n")
 
 
 def docs_cont(s, sf):

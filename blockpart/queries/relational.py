@@ -29,7 +29,8 @@ add("rel_predicates", lambda s, sf: T(s, sf, "orders", "o_orderkey", "o_ordersta
 add("rel_case_phi", lambda s, sf: T(s, sf, "part", "p_partkey", "p_size").select("p_partkey", F.round(phi(F.col("p_size") - 5), 6).alias("phi")), "select p_partkey, round(case when p_size - 5 > 0 then (p_size - 5) * ln((p_size - 5)::double) else 0.0 end, 6) as phi from part")
 add("rel_sample", lambda s, sf: T(s, sf, "customer", "c_custkey").where(u01(42, "batch", 0, F.col("c_custkey")) < 0.1), "select c_custkey from customer where ('0x' || substr(md5(concat_ws('|', '42', 'batch', '0', c_custkey::varchar, '0')), 1, 13))::bigint / 4503599627370496.0 < 0.1")
 add("rel_semi", lambda s, sf: T(s, sf, "customer", "c_custkey").join(T(s, sf, "orders", F.col("o_custkey").alias("c_custkey")), "c_custkey", "left_semi"), "select c_custkey from customer where c_custkey in (select o_custkey from orders)")
-add("rel_anti", lambda s, sf: T(s, sf, "customer", "c_custkey").join(T(s, sf, "orders", F.col("o_custkey").alias("c_custkey")), "c_custkey", "left_anti"), "select c_custkey from customer where c_custkey not in (select o_custkey from orders)")
+urgent = lambda s, sf: T(s, sf, "orders", F.col("o_custkey").alias("c_custkey"), "o_orderpriority").where("o_orderpriority = '1-URGENT'")
+add("rel_anti", lambda s, sf: T(s, sf, "customer", "c_custkey").join(urgent(s, sf), "c_custkey", "left_anti"), "select c_custkey from customer where c_custkey not in (select o_custkey from orders where o_orderpriority = '1-URGENT')")
 add("rel_left_coalesce", lambda s, sf: T(s, sf, "part", "p_partkey").join(T(s, sf, "lineitem", "l_partkey", "l_quantity").groupBy("l_partkey").agg(F.sum("l_quantity").alias("q")), F.col("p_partkey") == F.col("l_partkey"), "left").select("p_partkey", F.coalesce("q", F.lit(0.0)).alias("q")), "select p_partkey, coalesce(q, 0) as q from part left join (select l_partkey, sum(l_quantity) as q from lineitem group by 1) on l_partkey = p_partkey")
 add("rel_broadcast", lambda s, sf: T(s, sf, "customer", "c_custkey", "c_nationkey").join(F.broadcast(T(s, sf, "nation", "n_nationkey", "n_name")), F.col("c_nationkey") == F.col("n_nationkey")).groupBy("n_name").agg(F.count(F.lit(1)).alias("n")), "select n_name, count(*) as n from customer join nation on c_nationkey = n_nationkey group by 1")
 add("rel_hints", lambda s, sf: T(s, sf, "orders", "o_orderkey", "o_custkey").hint("merge").join(T(s, sf, "lineitem", "l_orderkey", "l_quantity").hint("shuffle_hash"), F.col("o_orderkey") == F.col("l_orderkey")).groupBy("o_custkey").agg(F.sum("l_quantity").alias("q")), "select o_custkey, sum(l_quantity) as q from orders join lineitem on o_orderkey = l_orderkey group by 1")

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from blockpart.functions.math import string_id
+from blockpart.operators.relops import in_parts
 from blockpart.sources.tables import table
 
 #: Vectors (64 floats) that are broadcast at a time to find neighbours.
@@ -37,12 +38,13 @@ def w3(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def w4(spark: SparkSession, sf: str) -> DataFrame:
-    """User of an event to user of the next; ordered day by day, days stitched at their ends."""
-    events = table(spark, sf, "events", "event_id", "ts", "user_id").withColumn("day", F.date_trunc("day", "ts"))
-    own = Window.partitionBy("day").orderBy("ts", "event_id")
-    first = events.groupBy("day").agg(F.min_by("user_id", F.struct("ts", "event_id")).alias("head"))
-    following = first.select("day", F.lead("head").over(Window.orderBy("day")).alias("next_head"))  # a row per day
-    pairs = events.withColumn("next", F.lead("user_id").over(own)).join(F.broadcast(following), "day").select(F.col("user_id").alias("src"), F.coalesce("next", "next_head").alias("dst"), "ts")
+    """User of an event to user of the next; ordered in ranges of rows, which are stitched at their ends."""
+    events = in_parts(table(spark, sf, "events", "ts", "event_id", "user_id"), "ts", "event_id").withColumn("user", F.struct("user_id"))
+    own = Window.partitionBy("_part").orderBy("_at")
+    first = events.groupBy("_part").agg(F.min_by("user", "_at").alias("head"))
+    following = first.select("_part", F.lead("head").over(Window.orderBy("_part")).alias("next_head"))  # a row per range
+    pairs = events.withColumn("next", F.lead("user").over(own)).join(F.broadcast(following), "_part")
+    pairs = pairs.select(F.col("user_id").alias("src"), F.coalesce("next", "next_head")["user_id"].alias("dst"))
     return pairs.where("dst is not null").groupBy("src", "dst").agg(F.count(F.lit(1)).cast("double").alias("w"))
 
 

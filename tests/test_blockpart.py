@@ -324,3 +324,82 @@ def test_query_is_its_sql(spark, sf_dir, name):
     norm = lambda rows: sorted(tuple("" if v is None else f"{float(v):.9g}" if isinstance(v, (int, float)) else str(v) for v in r) for r in rows)
     quoted = ", ".join(f'"{c}"' for c in columns)
     assert norm(frame.select(*columns).collect()) == norm(con.sql(f"select {quoted} from ({registry.oracle_sql()[name]})").fetchall())
+
+
+@pytest.fixture
+def many_ranges(spark):
+    """Small tables in as many ranges as there are shuffle partitions."""
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    yield
+    spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+
+
+def test_ranges_split_hot_keys(spark, many_ranges):
+    rng = np.random.default_rng(5)
+    rows = [(0 if rng.random() < 0.9 else int(rng.integers(1, 5)), k, float(rng.integers(1, 9))) for k in range(3000)]
+    rows += [(7, 3000, 5000.0)]  # one node with more weight than all of its key's cells
+    rows += [(7, 3001 + k, 1.0) for k in range(50)]
+    nodes = spark.createDataFrame(rows, "key bigint, node bigint, w double").repartition(3)
+    held = relops.in_parts(nodes, "key", "node")
+    assert held.where("key = 0").select("_part").distinct().count() > 1
+    want, ends = {}, {}
+    for key, node_id, w in sorted(rows):
+        want[node_id] = ends[key] = ends.get(key, 0.0) + w
+    assert {r["node"]: r["high"] for r in relops.running(held, "key", "w", "high").collect()} == want
+    draws = [(n, key, float(rng.random()) * ends[key]) for n, key in enumerate(rng.choice(sorted(ends), 500).tolist())]
+    found = relops.by_weight(spark.createDataFrame(draws, "n bigint, key bigint, x double"), "key", "x", relops.weight_cells(nodes, "key", "node", "w"), "hit")
+    first = lambda key, x: next(node_id for k, node_id, w in sorted(rows) if k == key and x < want[node_id])
+    assert {r["n"]: r["hit"] for r in found.collect()} == {n: first(key, x) for n, key, x in draws}
+
+
+def test_counted_goes_in_chunks(spark):
+    rows = spark.createDataFrame([(1, -1, 9), (2, 4, 4), (3, 0, 25)], "k bigint, a bigint, b bigint")
+    found = relops.counted(rows, F.col("a"), F.col("b"), "c", chunk=10).select("k", "c").collect()
+    assert sorted(map(tuple, found)) == [(k, c) for k, a, b in ((1, -1, 9), (2, 4, 4), (3, 0, 25)) for c in range(a, b + 1)]
+
+
+def test_as_of_join_of_a_hot_key_and_nulls(spark, many_ranges):
+    rng = np.random.default_rng(6)
+    key = lambda: None if rng.random() < 0.05 else 0 if rng.random() < 0.8 else int(rng.integers(1, 4))
+    left = [(n, key(), None if n % 97 == 0 else int(rng.integers(0, 1000))) for n in range(800)]
+    right = sorted({(key(), int(rng.integers(0, 1000))): 0 for _ in range(40)}, key=str)
+    right = [(k, t, float(n)) for n, (k, t) in enumerate(right)] + [(0, None, -1.0)]
+    frame = spark.createDataFrame(left, "n bigint, u bigint, t bigint")
+    assert relops.in_parts(frame, "u", "t").where("u = 0").select("_part").distinct().count() > 1
+    found = relops.as_of_join(frame, spark.createDataFrame(right, "u bigint, t bigint, v double"), "u", "t", "v")
+    assert found.columns == ["n", "u", "t", "v"]
+    known = lambda u, t: max(((x, v) for k, x, v in right if k == u and x is not None and x <= t), default=(0, None))[1] if u is not None and t is not None else None
+    assert {r["n"]: r["v"] for r in found.collect()} == {n: known(u, t) for n, u, t in left}
+
+
+def test_as_of_join_of_empty_tables(spark):
+    left, right = spark.createDataFrame([], "n bigint, u bigint, t bigint"), spark.createDataFrame([], "u bigint, t bigint, v double")
+    assert relops.as_of_join(left, right, "u", "t", "v").collect() == []
+    one = spark.createDataFrame([(1, 2, 3)], "n bigint, u bigint, t bigint")
+    assert [tuple(r) for r in relops.as_of_join(one, right, "u", "t", "v").collect()] == [(1, 2, 3, None)]
+
+
+def test_running_degrees_keep_their_state(spark, tmp_path):
+    from blockpart.streaming import stages as streams
+
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        batches = [[(1, 2.0, 1), (2, 1.0, 1), (1, 3.0, 1)], [(1, 4.0, 2), (3, 1.0, 2)]]
+        for rows in batches:
+            spark.createDataFrame(rows, "i bigint, w double, stage int").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+            source = spark.readStream.schema("i bigint, w double, stage int").parquet(str(tmp_path / "in"))
+            got = []
+            out = streams.running_degrees(source).writeStream.outputMode("update").foreachBatch(lambda df, k, got=got: got.extend(map(tuple, df.collect())))
+            out.option("checkpointLocation", str(tmp_path / "check")).trigger(availableNow=True).start().awaitTermination()
+        assert sorted(got) == [(1, 9.0, 1), (3, 1.0, 2)]
+    finally:
+        spark.conf.unset("spark.sql.streaming.stateStore.providerClass")
+
+
+def test_transitions_are_stitched_between_ranges(spark, many_ranges, sf_dir):
+    from blockpart.sources import workloads
+
+    found = {(r["src"], r["dst"]): r["w"] for r in workloads.w4(spark, sf_dir).collect()}
+    con = duckdb.connect()
+    con.execute(f"create view events as select * from '{sf_dir}/events.parquet'")
+    assert found == {(a, b): w for a, b, w in con.execute(workloads.SQL["w4"]).fetchall()}
