@@ -403,3 +403,9 @@ def test_transitions_are_stitched_between_ranges(spark, many_ranges, sf_dir):
     con = duckdb.connect()
     con.execute(f"create view events as select * from '{sf_dir}/events.parquet'")
     assert found == {(a, b): w for a, b, w in con.execute(workloads.SQL["w4"]).fetchall()}
+
+
+@pytest.mark.parametrize("name", ["stream_dedupe", "stream_session"])
+def test_streams_end_in_files(spark, sf_dir, name):
+    """What a stream gives lies in the shared folder, not in the driver."""
+    assert registry.queries()[name](spark, sf_dir).inputFiles()
