@@ -409,3 +409,37 @@ def test_transitions_are_stitched_between_ranges(spark, many_ranges, sf_dir):
 def test_streams_end_in_files(spark, sf_dir, name):
     """What a stream gives lies in the shared folder, not in the driver."""
     assert registry.queries()[name](spark, sf_dir).inputFiles()
+
+
+def test_neighbours_are_found_in_runs_of_bounded_size():
+    """Few scores at a time, ties, copies and self pairs: the same as all at once."""
+    from blockpart.sources import workloads
+
+    rng = np.random.default_rng(5)
+    v = rng.normal(size=(300, 8))
+    v[200:260] = v[100]
+    ids, asked = np.arange(300), np.array([0, 50, 100, 210])
+    held = None
+    for at in range(0, 300, 70):
+        part = slice(at, at + 70)
+        held = workloads.nearest(asked, v[asked], np.linalg.norm(v[asked], axis=1), ids[part], v[part], 4, held, most=40)
+    unit = v / np.linalg.norm(v, axis=1)[:, None]
+    for q, i in enumerate(asked):
+        score = np.round(unit @ unit[i], 9)
+        best = [j for j in np.lexsort((ids, -score)) if j != i][:4]
+        assert held[1][held[0] == q].tolist() == best
+
+
+def test_draws_meet_nodes_without_sending_them_through_the_driver(spark):
+    nodes = spark.range(50).select("id", (F.col("id") % 3).alias("t"), F.lit(1.0).alias("w"))
+    draws = spark.range(40).select("id", (F.col("id") % 3).alias("g"), (F.col("id") * 0.4).alias("x"))
+    found = relops.by_weight(draws, "g", "x", relops.weight_cells(nodes, "t", "id", "w"), "node")
+    plan = found._jdf.queryExecution().sparkPlan().toString()
+    assert any("SortMergeJoin" in line and "_cell" in line for line in plan.splitlines())
+    assert found.count() == 40
+
+
+def test_a_draw_for_every_pair_of_many_nodes(spark):
+    """Beyond 3,000 nodes the pairs were refused; all are drawn, and their sum is that of the rates."""
+    edges, _ = generate.preset(spark.range(3100).toDF("i"), "base", method="pairwise")
+    assert abs(edges.agg(F.sum("w")).first()[0] - 3100 * 16) < 6 * (3100 * 16) ** 0.5
