@@ -443,3 +443,13 @@ def test_a_draw_for_every_pair_of_many_nodes(spark):
     """Beyond 3,000 nodes the pairs were refused; all are drawn, and their sum is that of the rates."""
     edges, _ = generate.preset(spark.range(3100).toDF("i"), "base", method="pairwise")
     assert abs(edges.agg(F.sum("w")).first()[0] - 3100 * 16) < 6 * (3100 * 16) ** 0.5
+
+
+@pytest.mark.parametrize("name", [n for n in registry.queries() if n.endswith("_tab")])
+def test_measures_read_a_given_table(spark, sf_dir, name, monkeypatch):
+    from blockpart.queries import measures
+
+    read = []
+    monkeypatch.setattr(measures, "table", lambda s, sf, t, *c, real=measures.table: read.append(t) or real(s, sf, t, *c))
+    registry.queries()[name](spark, sf_dir)
+    assert read
