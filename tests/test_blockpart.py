@@ -453,3 +453,8 @@ def test_measures_read_a_given_table(spark, sf_dir, name, monkeypatch):
     monkeypatch.setattr(measures, "table", lambda s, sf, t, *c, real=measures.table: read.append(t) or real(s, sf, t, *c))
     registry.queries()[name](spark, sf_dir)
     assert read
+
+
+def test_resolution_limit_is_shown_on_given_tables(spark, sf_dir):
+    rows = registry.queries()["bl8_resolution_limit"](spark, sf_dir)
+    assert rows.inputFiles() and {r["blocks"] for r in rows.collect() if r["fixture"] == "ring_5"} == {30, 15, 10}
